@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, id_files, licences, main_text, media, mixing
+from . import bpe, id_files, licences, main_text, media, mixing, neighbours, quality
 from .common import table
 
 
@@ -18,6 +18,14 @@ def op2_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.media_digest(table(spark, sf_dir, "documents"))
 
 
+def op3_prefix_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neighbours.search(table(spark, sf_dir, "embeddings"))
+
+
+def op4_quality_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licences.scan_licences(table(spark, sf_dir, "documents")).drop("findings")
 
@@ -35,7 +43,7 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix_sources, op2_media_columns, op6_license_scan, op7_main_text, op8_id_files, op9_bpe)}
+    return {f.__name__: f for f in (op1_mix_sources, op2_media_columns, op3_prefix_forest, op4_quality_votes, op6_license_scan, op7_main_text, op8_id_files, op9_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -32,7 +32,7 @@ from .common import ensure_checkpoint_dir, slices
 
 END_ID = 2
 #: Payload bytes at which a shard is closed, pieces kept in an encoder's table.
-SHARD_BYTES, TABLE = 4 << 20, 500_000
+SHARD_BYTES, TABLE = 4 << 20, 800_000
 #: Marks a piece without a blank before it; as a lone surrogate it can't be in a text.
 _BARE = "\ud800"
 
@@ -100,12 +100,18 @@ class PieceEncoder:
 
     def learn(self, new: list[str]) -> None:
         """Fills the table for new pieces; letters and a closing run of signs are two tokens, whatever stands around them."""
-        full = [p[1:] if p[0] == _BARE else " " + p for p in (p or " " for p in new)]
-        full = [f if p else " " for f, p in zip(full, new)]
+        full = [p[1:] if p[:1] == _BARE else " " + p for p in new]
+        if _BARE in new:  # a text that begins with its first blank has an empty first piece
+            full[new.index(_BARE)] = ""
+            self.table[_BARE] = b""
         parts = [m.groups() if (m := self._tail.fullmatch(f)) and m[1].lstrip(" ").isalpha() else (f,) for f in full]
-        wanted = list({x for ps in parts for x in ps})
-        ids = dict(zip(wanted, self.raw(wanted)))
-        self.table.update((p, b"".join([ids[x] for x in ps])) for p, ps in zip(new, parts))
+        parts = [ps for ps in parts if ps != ("",)] if "" in full else parts
+        new = [p for p in new if p != _BARE]
+        name = lambda x: x[1:] if x[0] == " " else _BARE + x
+        table = self.table
+        wanted = [x for x in {x for ps in parts for x in ps} if name(x) not in table]
+        table.update(zip(map(name, wanted), self.raw(wanted)))
+        table.update((p, b"".join([table[name(x)] for x in ps])) for p, ps in zip(new, parts) if len(ps) > 1)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         if len(self.table) > TABLE:
