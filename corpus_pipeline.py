@@ -1,8 +1,73 @@
-"""The corpus pipeline; its stages follow."""
+"""The corpus pipeline: quality, near copies, secrets, mixing and encoding, each stage on all its predecessor kept.
 
-STAGES = []
+run() chains the stages through Parquet in the folder the cluster shares, so a lost executor repeats only the
+tasks of one stage.
+"""
+
+from __future__ import annotations
+
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from fieldlift.llm import bpe, mixing, near_copies, quality, secrets
+from fieldlift.llm.common import ensure_checkpoint_dir, table
+from fieldlift.session import ship
+
+#: No SQL form: learned votes and hashed rounding have none. tests/llm checks run() against a brute-force version.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the neighbour vote accepts."""
+    ship(spark)
+    return quality.keep_good(docs, table(spark, sf_dir, "labels"))
+
+
+def near_copies_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each component, the one with the smallest doc_id; of repeated ids one row."""
+    ship(spark)
+    named = near_copies.join_documents(docs)
+    # repeated rows of one doc_id with different texts are in components of their own; any that names itself stays
+    keep = named.filter(F.col("doc_id").isNull() | (F.col("component_id") == F.col("doc_id"))).select(F.col("doc_id").alias("_id")).distinct()
+    kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep["_id"]), "left_semi")
+    return near_copies.first_rows(kept)
+
+
+def secrets_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, secrets in their texts replaced."""
+    ship(spark)
+    return secrets.redact(docs)
+
+
+def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The mixed corpus: each document as often as its source's target asks for."""
+    ship(spark)
+    return mixing.mix_documents(docs)
+
+
+def encoding_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token counts and digests of every row of the mix."""
+    ship(spark)
+    return bpe.encode_digest(docs)
+
+
+STAGES = [
+    ("quality classifier", quality_stage),
+    ("n-gram Jaccard join", near_copies_stage),
+    ("secret scans", secrets_stage),
+    ("mixing sources to target weights", mixing_stage),
+    ("BPE encoding and decoding", encoding_stage),
+]
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages in order over the documents table."""
+    ensure_checkpoint_dir(spark)
+    folder = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4().hex}"
+    docs = table(spark, sf_dir, "documents")
+    for k, (_, stage) in enumerate(STAGES):
+        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
+        docs = spark.read.parquet(f"{folder}/{k}")
+    return docs

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, id_files, licences, main_text, media, mixing, neighbours, quality
+from . import bpe, id_files, licences, main_text, media, mixing, near_copies, neighbours, quality, secrets
 from .common import table
 
 
@@ -26,6 +26,10 @@ def op4_quality_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op5_near_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_copies.join_documents(table(spark, sf_dir, "documents"))
+
+
 def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licences.scan_licences(table(spark, sf_dir, "documents")).drop("findings")
 
@@ -42,8 +46,12 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digest(table(spark, sf_dir, "documents"))
 
 
+def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.scan_digest(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix_sources, op2_media_columns, op3_prefix_forest, op4_quality_votes, op6_license_scan, op7_main_text, op8_id_files, op9_bpe)}
+    return {f.__name__: f for f in (op1_mix_sources, op2_media_columns, op3_prefix_forest, op4_quality_votes, op5_near_copies, op6_license_scan, op7_main_text, op8_id_files, op9_bpe, op10_secret_scan)}
 
 
 def oracle_sql() -> dict[str, str]:
