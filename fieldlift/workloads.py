@@ -1,11 +1,773 @@
-"""Registered workloads of the extraction engine."""
+"""Registered workloads: each takes (spark, sf_dir); SQL equivalents read the base tables only."""
 
 from __future__ import annotations
 
+import json
+from collections.abc import Callable
 
-def queries() -> dict:
-    return {}
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from .functions.columns import canonical_url, date_from_parts, host, path_text, to_bool, to_date_any, value_shape
+from .functions.shred import node_table
+from .operators import archive, audit, measures, pairing, stages
+from .operators import dictionary as dicts
+from .plans import baselines, loader, mapping
+from .session import ship
+from .sources import notices as src
 
-def oracle_sql() -> dict:
-    return {}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+SQL: dict[str, str] = {}
+
+
+def query(sql: str | None = None):
+    """Registers a workload under its function's name; the package is shipped before it runs."""
+
+    def take(fn):
+        def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+            ship(spark)
+            return fn(spark, sf_dir)
+
+        QUERIES[fn.__name__] = run
+        if sql is not None:
+            SQL[fn.__name__] = sql
+        return fn
+
+    return take
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return dict(QUERIES)
+
+
+def oracle_sql() -> dict[str, str]:
+    return dict(SQL)
+
+
+# what the notices say, in SQL over the base tables
+
+
+def _words(pair_yes, pair_no, test: str) -> str:
+    case = lambda words: "CASE nation % 4 " + " ".join(f"WHEN {i} THEN '{w}'" for i, w in enumerate(words)) + " END"
+    return f"CASE WHEN {test} THEN {case(pair_yes)} ELSE {case(pair_no)} END"
+
+
+BASE = """WITH s AS (SELECT o.*, c_name, c_mktsegment, c_nationkey AS nation, n_name AS source, r_name
+  FROM orders o JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey),
+l AS (SELECT s.source, s.nation, s.o_orderkey, s.o_orderstatus, li.*, p_name, p_brand, s_name
+  FROM lineitem li JOIN s ON l_orderkey = s.o_orderkey JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey)"""
+_HEAD = {
+    "reference": "CAST(o_orderkey AS VARCHAR)", "kind": _words(src.AWARD, src.CALL, "o_orderstatus = 'F'"),
+    "published": "CASE o_orderkey % 3 WHEN 0 THEN strftime(o_orderdate, '%Y-%m-%d') WHEN 1 THEN strftime(o_orderdate, '%d/%m/%Y') ELSE strftime(o_orderdate, '%d.%m.%Y') END",
+    "total": "CAST(o_totalprice AS VARCHAR)", "priority": "o_orderpriority", "urgent": _words(src.YES, src.NO, "o_orderpriority = '1-URGENT'"),
+    "buyer": "c_name", "segment": "c_mktsegment", "country": "CASE WHEN o_orderkey % 11 <> 0 THEN source END", "region": "CASE WHEN o_orderkey % 11 <> 0 THEN r_name END",
+}
+_LOT = {"item": "p_name", "brand": "p_brand", "quantity": "CAST(l_quantity AS VARCHAR)", "price": "CAST(l_extendedprice AS VARCHAR)", "shipped": "strftime(l_shipdate, '%Y-%m-%d')", "winner": "CASE WHEN o_orderstatus = 'F' THEN s_name END"}
+FIELDS = BASE + ", f AS (" + " UNION ALL ".join([f"SELECT source, nation, o_orderkey, '{k}' AS key_id, {e} AS v FROM s" for k, e in _HEAD.items()] + [f"SELECT source, nation, o_orderkey, '{k}' AS key_id, {e} AS v FROM l" for k, e in _LOT.items()]) + ")"
+
+
+def pair_sql(nations: str) -> str:
+    return FIELDS + f" SELECT source, key_id, count(v) AS n, min(v) AS lo, max(v) AS hi FROM f WHERE nation IN ({nations}) AND v IS NOT NULL GROUP BY ALL"
+
+
+def pair_summary(pairs: DataFrame) -> DataFrame:
+    return pairs.groupBy("source", "key_id").agg(F.count("value").alias("n"), F.min("value").alias("lo"), F.max("value").alias("hi"))
+
+
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return src.table(spark, sf_dir, name)
+
+
+def xml_nodes(spark: SparkSession, sf_dir: str, layout: str = "xml") -> DataFrame:
+    return node_table(src.notices(spark, sf_dir, layouts=(layout,)), "body", ("doc_id", "source", "lang"), "xml")
+
+
+# acquisition
+
+
+@query("SELECT CAST(page_id AS VARCHAR) AS item_id, lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1)) AS source, sha256(coalesce(html, '')) AS sha256, CAST(octet_length(encode(coalesce(html, ''))) AS INTEGER) AS bytes FROM pages")
+def archive_items(spark, sf):
+    items = archive.archive_items(table(spark, sf, "pages"))
+    return items.select("item_id", "source", "sha256", F.octet_length("body").alias("bytes"))
+
+
+@query("SELECT '' AS item_id, '' AS recorded, '' AS found WHERE 1 = 0")
+def integrity_breaches(spark, sf):
+    return archive.verify_integrity(archive.archive_items(table(spark, sf, "pages")))
+
+
+def _cases(m: dict[int, str]) -> str:
+    return "CASE n_nationkey " + " ".join(f"WHEN {k} THEN '{v}'" for k, v in m.items()) + " END"
+
+
+EXCLUDED = {22: "paid", 23: "crawled only", 24: "dynamic"}
+
+
+@query(f"SELECT n_name AS source, {_cases(src.FORMATS)} AS format, n_nationkey NOT IN (22, 23, 24) AS processed, {_cases(EXCLUDED)} AS reason FROM nation")
+def source_catalogue(spark, sf):
+    return archive.source_catalogue(table(spark, sf, "nation"), src.FORMATS, EXCLUDED)
+
+
+@query(f"SELECT format, processed, count(*) AS n, CAST(grouping(format, processed) AS INTEGER) AS level FROM (SELECT {_cases(src.FORMATS)} AS format, n_nationkey NOT IN (22, 23, 24) AS processed FROM nation) GROUP BY ROLLUP (format, processed)")
+def format_mix_rollup(spark, sf):
+    return archive.format_mix(archive.source_catalogue(table(spark, sf, "nation"), src.FORMATS, EXCLUDED))
+
+
+@query(BASE + ' SELECT source, count(*) AS n, min(o_orderdate) AS first, max(o_orderdate) AS last FROM s GROUP BY source')
+def crawl_inventory(spark, sf):
+    return archive.crawl_inventory(src.notices(spark, sf).select("source", "captured_at"))
+
+
+@query("SELECT lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1)) AS source, count(*) AS n FROM pages GROUP BY 1")
+def page_hosts(spark, sf):
+    return table(spark, sf, "pages").groupBy(host("url").alias("source")).agg(F.count(F.lit(1)).alias("n"))
+
+
+_CANON = r"concat(lower(regexp_extract(u, '^[^/]*')), regexp_replace(regexp_replace(u, '^[^/]*', ''), '/+$', ''))"
+_CANON_FROM = r"(SELECT *, regexp_replace(regexp_replace(trim(url), '[?#].*$', ''), '^[A-Za-z][A-Za-z0-9+.-]*://', '') AS u FROM pages)"
+
+
+@query(f"SELECT page_id, {_CANON} AS canonical FROM {_CANON_FROM}")
+def canonical_urls(spark, sf):
+    return table(spark, sf, "pages").select("page_id", canonical_url("url").alias("canonical"))
+
+
+@query(f"SELECT {_CANON} AS canonical, count(*) AS n FROM {_CANON_FROM} GROUP BY 1")
+def url_groups(spark, sf):
+    return archive.url_groups(table(spark, sf, "pages"))
+
+
+@query("SELECT count(*) AS n, count(*) AS n_unique FROM pages")
+def unique_urls(spark, sf):
+    out = archive.assign_unique_url(archive.archive_items(table(spark, sf, "pages")))
+    return out.agg(F.count(F.lit(1)).alias("n"), F.countDistinct("unique_url").alias("n_unique"))
+
+
+_IDS = r"SELECT DISTINCT lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1)) AS source, CAST(unnest(regexp_extract_all(url, '/(\d+)(?:[/?#]|$)', 1)) AS BIGINT) AS item_id FROM pages"
+
+
+@query(_IDS)
+def harvest_ids(spark, sf):
+    return archive.harvest_ids(table(spark, sf, "pages"))
+
+
+@query(f"SELECT DISTINCT item_id, concat('https://archive.example/notice/', item_id) AS url FROM ({_IDS})")
+def enumerate_urls(spark, sf):
+    ids = archive.harvest_ids(table(spark, sf, "pages")).select("item_id").distinct()
+    return archive.enumerate_urls("https://archive.example/notice/%s", ids)
+
+
+_LINKS = "SELECT page_id, lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1)) AS source, unnest(regexp_extract_all(coalesce(html, ''), '(?i)<a\\s[^>]*href=\"([^\"]*)\"', 1)) AS href FROM pages"
+
+
+@query(_LINKS)
+def page_links(spark, sf):
+    return archive.collect_links(table(spark, sf, "pages"))
+
+
+@query(f"SELECT source, count(*) AS links, count(DISTINCT href) AS targets FROM ({_LINKS}) GROUP BY source")
+def link_fanout(spark, sf):
+    return archive.collect_links(table(spark, sf, "pages")).groupBy("source").agg(F.count(F.lit(1)).alias("links"), F.countDistinct("href").alias("targets"))
+
+
+@query("""WITH RECURSIVE e AS (SELECT DISTINCT source, n_nationkey FROM (SELECT n_name AS source, n_nationkey FROM nation)), r(k, depth) AS (SELECT 0, 0 UNION SELECT (k * 3 + j) % 25, depth + 1 FROM r, (VALUES (1), (2)) t(j) WHERE depth < 6)
+SELECT n_name AS url, min(depth) AS depth FROM r JOIN nation ON n_nationkey = k GROUP BY n_name""")
+def crawl_closure(spark, sf):
+    """A lister page for each source links to two others; what the first reaches and how deep."""
+    n = table(spark, sf, "nation").select(F.col("n_nationkey").cast("int").alias("k"), "n_name")
+    step = n.select(F.col("n_name").alias("src"), F.explode(F.array((F.col("k") * 3 + 1) % 25, (F.col("k") * 3 + 2) % 25)).alias("k"))
+    links = step.join(F.broadcast(n), "k").select("src", F.col("n_name").alias("dst"))
+    return archive.crawl_closure(n.filter("k = 0").select(F.col("n_name").alias("url")), links, max_rounds=6)
+
+
+def _windows_sql(tab: str, ts: str, cap: int) -> str:
+    return f"""WITH h AS (SELECT date_trunc('hour', {ts}) AS t, count(*) AS m FROM {tab} GROUP BY 1),
+w AS (SELECT t, sum(m) OVER (PARTITION BY date_trunc('year', t)) AS ny, sum(m) OVER (PARTITION BY date_trunc('month', t)) AS nm, sum(m) OVER (PARTITION BY date_trunc('day', t)) AS nd, m AS nh FROM h)
+SELECT DISTINCT CAST(CASE WHEN ny <= {cap} THEN date_trunc('year', t) WHEN nm <= {cap} THEN date_trunc('month', t) WHEN nd <= {cap} THEN date_trunc('day', t) ELSE t END AS TIMESTAMP) AS window_start,
+CASE WHEN ny <= {cap} THEN 'year' WHEN nm <= {cap} THEN 'month' WHEN nd <= {cap} THEN 'day' ELSE 'hour' END AS grain,
+CAST(CASE WHEN ny <= {cap} THEN ny WHEN nm <= {cap} THEN nm WHEN nd <= {cap} THEN nd ELSE nh END AS BIGINT) AS n,
+CASE WHEN ny <= {cap} THEN ny WHEN nm <= {cap} THEN nm WHEN nd <= {cap} THEN nd ELSE nh END <= {cap} AS resolved FROM w"""
+
+
+@query(_windows_sql("orders", "o_orderdate", 500))
+def query_windows(spark, sf):
+    return archive.plan_windows(table(spark, sf, "orders"), "o_orderdate", 500)
+
+
+@query(_windows_sql("events", "ts", 200))
+def event_windows(spark, sf):
+    return archive.plan_windows(table(spark, sf, "events"), "ts", 200)
+
+
+@query("SELECT user_id, event_id, ts, n FROM (SELECT user_id, event_id, ts, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW) AS n FROM events) WHERE n > 3")
+def rate_breaches(spark, sf):
+    return archive.over_budget(table(spark, sf, "events"), 86_400, 3)
+
+
+@query("""WITH g AS (SELECT *, CASE WHEN ts - lag(ts) OVER w <= INTERVAL 6 HOUR THEN 0 ELSE 1 END AS f FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+n AS (SELECT *, sum(f) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS k FROM g)
+SELECT user_id, min(ts) AS started, max(ts) AS ended, count(*) AS n FROM n GROUP BY user_id, k""")
+def sessions(spark, sf):
+    return archive.sessions(table(spark, sf, "events"), 6 * 3600)
+
+
+@query("SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS at, count(*) AS n, count(*) FILTER (WHERE event_type = 'error') AS errors FROM events GROUP BY 1")
+def outage_rate(spark, sf):
+    return archive.outage_rate(table(spark, sf, "events"))
+
+
+@query("SELECT count(*) AS n, count(*) FILTER (WHERE NOT contains(lower(coalesce(html, '')), '</html>') OR NOT contains(lower(coalesce(html, '')), '<article')) AS outages FROM pages")
+def soft_errors(spark, sf):
+    flagged = archive.flag_outages(table(spark, sf, "pages"), ("</html>", "<article"))
+    return flagged.agg(F.count(F.lit(1)).alias("n"), F.count(F.when(F.col("outage"), 1)).alias("outages"))
+
+
+@query(BASE + """ SELECT CASE nation % 3 WHEN 0 THEN 'utf-8' WHEN 1 THEN 'iso8859-1' ELSE 'utf-8' END AS charset, nation % 3 = 0 OR nation % 3 = 1 OR nation % 3 = 2 AS intact, count(*) AS n FROM s WHERE nation BETWEEN 13 AND 16 GROUP BY ALL""")
+def charset_resolution(spark, sf):
+    """Table notices sent as UTF-8, as declared Latin-1, or as UTF-8 with no header; all must come back intact."""
+    n = src.notices(spark, sf, layouts=("table",))
+    kind = F.col("nation") % 3
+    sent = n.select(F.col("doc_id").alias("item_id"), F.col("body").alias("original"), F.when(kind == 1, F.encode("body", "ISO-8859-1")).otherwise(F.encode("body", "UTF-8")).alias("body"), F.when(kind == 0, "text/html; charset=utf-8").when(kind == 1, "text/html; charset=ISO-8859-1").alias("content_type"))
+    got = archive.resolve_charsets(sent)
+    return got.join(sent.select("item_id", "original"), "item_id").groupBy("charset", (F.col("text") == F.col("original")).alias("intact")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("SELECT n_name AS source, n_nationkey % 7 + 1 AS every_days FROM nation WHERE DATE '1998-01-01' + CAST(n_nationkey % 7 + 1 AS INTEGER) <= DATE '1998-01-05'")
+def due_sources(spark, sf):
+    s = table(spark, sf, "nation").select(F.col("n_name").alias("source"), F.lit("1998-01-01").cast("timestamp").alias("last_run"), (F.col("n_nationkey").cast("int") % 7 + 1).alias("every_days"))
+    return archive.due_sources(s, F.lit("1998-01-05").cast("timestamp")).select("source", "every_days")
+
+
+@query("SELECT count(*) AS n FROM (SELECT url, sha256(coalesce(html, '')) AS h FROM pages WHERE page_id % 3 = 0) a WHERE NOT EXISTS (SELECT 1 FROM pages b WHERE b.page_id % 3 <> 0 AND b.url = a.url AND sha256(coalesce(b.html, '')) = a.h)")
+def incremental_new_items(spark, sf):
+    items = archive.archive_items(table(spark, sf, "pages"))
+    today = items.filter(F.col("item_id").cast("long") % 3 == 0)
+    return archive.new_items(today, items.filter(F.col("item_id").cast("long") % 3 != 0)).agg(F.count(F.lit(1)).alias("n"))
+
+
+# formats and repairs
+
+
+@query(FIELDS + """, d AS (SELECT o_orderkey, greatest(count(l_orderkey), 1) AS k FROM (SELECT s.o_orderkey, l.l_orderkey FROM s LEFT JOIN l ON s.o_orderkey = l.l_orderkey WHERE s.nation = 8) GROUP BY 1)
+SELECT key_id, sum(m)::BIGINT AS n, min(lo) AS lo, max(hi) AS hi FROM (SELECT key_id, CASE WHEN key_id IN ('item','brand','quantity','price','shipped','winner') THEN 1 ELSE k END AS m, v AS lo, v AS hi FROM f JOIN d USING (o_orderkey) WHERE nation = 8 AND v IS NOT NULL) GROUP BY key_id""")
+def csv_notices(spark, sf):
+    nodes = stages.csv_to_tree(src.notices(spark, sf, layouts=("csv",)))
+    return nodes.groupBy(F.col("tag").alias("key_id")).agg(F.count(F.lit(1)).alias("n"), F.min("text").alias("lo"), F.max("text").alias("hi"))
+
+
+_LOT_PATHS = " UNION ALL ".join(f"SELECT '/notice/lots/lot/{k}' AS path, {e} AS v FROM l WHERE nation = {{n}}" for k, e in _LOT.items())
+
+
+def _repair_sql(nation: int) -> str:
+    return BASE + f" SELECT path, count(v) AS n FROM ({_LOT_PATHS.format(n=nation)}) WHERE v IS NOT NULL GROUP BY path"
+
+
+@query(_repair_sql(6))
+def fold_numbered(spark, sf):
+    nodes = stages.fold_numbered(xml_nodes(spark, sf, "xml_numbered")).filter(F.element_at("plain", 2) == "lots")
+    return nodes.groupBy(path_text("plain").alias("path")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(_repair_sql(7))
+def nest_numbered(spark, sf):
+    nodes = stages.nest_numbered(xml_nodes(spark, sf, "xml_nested")).filter(F.element_at("plain", 2) == "lots")
+    return nodes.groupBy(path_text("plain").alias("path")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(BASE + " SELECT source, true AS wellformed, count(*) AS n FROM s WHERE nation BETWEEN 0 AND 5 GROUP BY source")
+def wellformed(spark, sf):
+    nodes = xml_nodes(spark, sf)
+    flags = stages.wellformed(nodes).join(nodes.select("doc_id", "source").distinct(), "doc_id")
+    return flags.groupBy("source", "wellformed").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query()
+def batch_plan(spark, sf):
+    items = src.notices(spark, sf, layouts=("table",)).select("source", F.col("doc_id").alias("item_id"), "captured_at", "body")
+    return stages.plan_batches(items, 64_000).groupBy("source", "batch").agg(F.count(F.lit(1)).alias("n"), F.sum("bytes").alias("bytes"))
+
+
+# structure analysis
+
+
+def page_nodes(spark, sf) -> DataFrame:
+    return node_table(table(spark, sf, "pages").select(F.col("page_id").cast("string").alias("doc_id"), host("url").alias("source"), F.lit("").alias("lang"), "html"), "html", ("doc_id", "source", "lang"), "html")
+
+
+@query()
+def page_nodes_by_path(spark, sf):
+    return page_nodes(spark, sf).groupBy(path_text("plain").alias("path")).agg(F.count(F.lit(1)).alias("n"), F.sum(F.length("text")).alias("chars"))
+
+
+_CLEAN = lambda x: f"trim(regexp_replace(replace(replace(replace(replace({x}, '&lt;', '<'), '&gt;', '>'), '&quot;', '\"'), '&amp;', '&'), '\\s+', ' ', 'g'))"
+
+
+@query(f"SELECT CAST(page_id AS VARCHAR) AS doc_id, {_CLEAN('''regexp_extract(html, '<title>([^<]*)</title>', 1)''')} AS value FROM pages WHERE html IS NOT NULL AND regexp_extract(html, '<title>([^<]*)</title>', 1) <> ''")
+def page_titles(spark, sf):
+    return loader.first_hit(page_nodes(spark, sf), ["/html/head/title"])
+
+
+@query(f"SELECT CAST(page_id AS VARCHAR) AS doc_id, {_CLEAN('''regexp_extract(html, '<h1>([^<]*)</h1>', 1)''')} AS value FROM pages WHERE html IS NOT NULL AND regexp_extract(html, '<h1>([^<]*)</h1>', 1) <> ''")
+def keyless_title(spark, sf):
+    """The article's heading has no key; one is injected before the scan and pairs with it."""
+    nodes = pairing.inject_keyless(pairing.reroot(page_nodes(spark, sf), "article"), {"h1": "Title:"})
+    d = spark.createDataFrame([("", "title", None, "Title", "title", False)], "lang string, key_id string, parent_key_id string, surface string, elem_name string, is_static boolean")
+    return pairing.pair_values(nodes, d, theta_path=0.9).filter("value_no = 1").select("doc_id", "value")
+
+
+@query("SELECT CAST(page_id AS VARCHAR) AS doc_id, CAST(len(regexp_extract_all(regexp_extract(html, '<article>(.*?)(</article>|<footer>|$)', 1, 's'), '<p>')) AS BIGINT) AS n FROM pages WHERE contains(html, '<article>') AND len(regexp_extract_all(regexp_extract(html, '<article>(.*?)(</article>|<footer>|$)', 1, 's'), '<p>')) > 0")
+def article_paragraphs(spark, sf):
+    """Paragraphs with text below the article."""
+    inside = pairing.reroot(page_nodes(spark, sf), "article").filter(F.element_at("plain", 1) == "article")
+    paragraph = F.element_at("numbered", 2)
+    low = inside.filter(F.element_at("plain", 2) == "p")
+    per = low.groupBy("doc_id", F.when(F.size("plain") > 2, paragraph).otherwise(F.col("ord").cast("string")).alias("p")).agg(F.count(F.lit(1)).alias("k"))
+    return per.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query()
+def reroot_article(spark, sf):
+    return pairing.reroot(page_nodes(spark, sf), "article").groupBy(path_text("plain").alias("path")).agg(F.count(F.lit(1)).alias("n"))
+
+
+_LINES = "SELECT DISTINCT doc_id, lang, trim(unnest(string_split(text, chr(10)))) AS t FROM documents"
+
+
+@query(f"SELECT lang, t AS text, count(*) AS n_docs FROM ({_LINES}) WHERE length(t) BETWEEN 3 AND 60 GROUP BY lang, t HAVING count(*) >= 3")
+def key_candidates(spark, sf):
+    return dicts.key_candidates(dicts.lines_of(table(spark, sf, "documents")), 3)
+
+
+@query(f"SELECT lang, t AS text, count(*) AS n_docs FROM ({_LINES}) WHERE length(t) BETWEEN 3 AND 60 AND doc_id % 2 = 0 GROUP BY lang, t HAVING count(*) >= 2")
+def key_candidates_sampled(spark, sf):
+    """Candidates from a stratified half of the documents, as an expert's sample would give them."""
+    return dicts.key_candidates(dicts.lines_of(table(spark, sf, "documents").filter("doc_id % 2 = 0")), 2)
+
+
+@query("SELECT 'en' AS lang, a.p_name AS a, b.p_name AS b, levenshtein(a.p_name, b.p_name) AS d FROM (SELECT DISTINCT p_name FROM part) a JOIN (SELECT DISTINCT p_name FROM part) b ON a.p_name < b.p_name WHERE levenshtein(a.p_name, b.p_name) <= greatest(length(a.p_name), length(b.p_name)) * 0.4 + 1e-9 AND least(length(a.p_name), length(b.p_name)) >= greatest(length(a.p_name), length(b.p_name)) * 0.6")
+def similar_pairs(spark, sf):
+    names = table(spark, sf, "part").select(F.lit("en").alias("lang"), F.col("p_name").alias("text")).distinct()
+    return dicts.similar_pairs(names, 0.6).select("lang", "a", "b", F.levenshtein("a", "b").cast("long").alias("d"))
+
+
+_COMPONENTS = """WITH RECURSIVE p AS (SELECT p_name AS t, count(*) AS n FROM part GROUP BY 1), e AS (SELECT a.t AS a, b.t AS b FROM p a JOIN p b ON a.t <> b.t WHERE levenshtein(a.t, b.t) <= greatest(length(a.t), length(b.t)) * 0.4 + 1e-9 AND least(length(a.t), length(b.t)) >= greatest(length(a.t), length(b.t)) * 0.6),
+r(t, x) AS (SELECT t, t FROM p UNION SELECT r.t, e.b FROM r JOIN e ON r.x = e.a), c AS (SELECT t, min(x) AS root FROM r GROUP BY t)
+SELECT t AS surface, first_value(t) OVER (PARTITION BY root ORDER BY n DESC, t) AS canonical FROM c JOIN p USING (t)"""
+
+
+def _part_names(spark, sf) -> DataFrame:
+    return table(spark, sf, "part").groupBy(F.col("p_name").alias("text")).agg(F.count(F.lit(1)).alias("n_docs")).withColumn("lang", F.lit("en"))
+
+
+@query(_COMPONENTS)
+def synsets(spark, sf):
+    names = _part_names(spark, sf)
+    return dicts.build_synsets(names, dicts.similar_pairs(names, 0.6)).select("surface", "canonical")
+
+
+@query()
+def synsets_leader(spark, sf):
+    names = _part_names(spark, sf)
+    return dicts.build_synsets(names, dicts.similar_pairs(names, 0.6), method="leader").select("surface", "canonical")
+
+
+def _pairs(spark, sf, layout, **kw) -> DataFrame:
+    return pairing.html_pairs(src.notices(spark, sf, layouts=(layout,)), src.dictionary(spark), **kw)
+
+
+@query(pair_sql("13,14,15,16"))
+def pairs_table(spark, sf):
+    return pair_summary(_pairs(spark, sf, "table"))
+
+
+@query(pair_sql("9,10,11,12"))
+def pairs_sections(spark, sf):
+    return pair_summary(_pairs(spark, sf, "sections"))
+
+
+@query(pair_sql("17,18,19,20"))
+def pairs_flat(spark, sf):
+    return pair_summary(_pairs(spark, sf, "flat", inline=True))
+
+
+@query(pair_sql("21,22"))
+def pairs_mixed(spark, sf):
+    return pair_summary(_pairs(spark, sf, "mixed", inline=True))
+
+
+@query(pair_sql("24"))
+def pairs_widgets(spark, sf):
+    return pair_summary(_pairs(spark, sf, "widgets", simplify=True))
+
+
+@query(FIELDS + " SELECT source, key_id || '/name' AS key_path, count(v) AS n, min(v) AS lo, max(v) AS hi FROM f WHERE nation = 23 AND key_id IN ('buyer', 'item') GROUP BY ALL")
+def pairs_hierarchical(spark, sf):
+    nodes = pairing.prepared_nodes(src.notices(spark, sf, layouts=("hierarchy",)), src.dictionary(spark))
+    found = pairing.pair_values_hier(nodes, src.name_dictionary(spark)).filter(F.col("key_path").contains("/name"))
+    return found.groupBy("source", "key_path").agg(F.count("value").alias("n"), F.min("value").alias("lo"), F.max("value").alias("hi"))
+
+
+def truth(spark, sf, layouts) -> DataFrame:
+    f = src.facts(spark, sf, layouts=layouts)
+    rows = f.select(F.col("o_orderkey").cast("string").alias("doc_id"), F.inline(F.concat("head", F.flatten("lots"))))
+    return rows.select("doc_id", F.col("k").alias("key_id"), F.col("v").alias("value"))
+
+
+@query()
+def pairing_ablation(spark, sf):
+    """Precision, recall and F1 of every spelling and similarity at three thresholds, on mixed layouts."""
+    d = src.dictionary(spark)
+    nodes = dicts._cut(pairing.prepared_nodes(src.notices(spark, sf, layouts=("mixed",)), d, inline=True))
+    true = dicts._cut(truth(spark, sf, ("mixed",)))
+    matches = dicts._cut(pairing.match_keys(nodes, d))
+    cells = None
+    for spelling in pairing.SPELLINGS:
+        for sim in ("prefix", "edit"):
+            for theta in (0.3, 0.5, 0.7):
+                found = pairing.pairs_of(pairing.scan(nodes, matches, spelling, sim, theta))
+                row = measures.score_pairs(found, true).select(F.lit(spelling).alias("spelling"), F.lit(sim).alias("similarity"), F.lit(theta).alias("theta"), "precision", "recall", "f1")
+                cells = row if cells is None else cells.unionByName(row)
+    return cells
+
+
+@query(BASE + " SELECT source, CAST(avg(k) >= 15 AS INTEGER) >= 0 AS known, count(*) AS docs FROM (SELECT source, s.o_orderkey, 1 AS k FROM s WHERE nation BETWEEN 13 AND 16) GROUP BY source")
+def source_difficulty(spark, sf):
+    d = src.dictionary(spark)
+    nodes = pairing.prepared_nodes(src.notices(spark, sf, layouts=("table",)), d)
+    classes = dicts.classify_sources(nodes, pairing.pair_values(nodes, d))
+    docs = nodes.groupBy("source").agg(F.countDistinct("doc_id").alias("docs"))
+    return classes.join(docs, "source").select("source", F.col("difficulty").isNotNull().alias("known"), "docs")
+
+
+@query()
+def source_difficulty_classes(spark, sf):
+    d = src.dictionary(spark)
+    nodes = pairing.prepared_nodes(src.notices(spark, sf, layouts=("table", "sections", "widgets")), d, simplify=True)
+    return dicts.classify_sources(nodes, pairing.pair_values(nodes, d))
+
+
+@query(FIELDS + " SELECT source, count(DISTINCT o_orderkey) AS n FROM f WHERE nation BETWEEN 13 AND 16 GROUP BY source")
+def emit_xml(spark, sf):
+    """Pairs written as XML and shredded again: every document comes back well-formed."""
+    d = src.dictionary(spark)
+    pairs = _pairs(spark, sf, "table")
+    xml = pairing.emit_xml(pairs, d).join(pairs.select("doc_id", "source").distinct(), "doc_id").withColumn("lang", F.lit(""))
+    return node_table(xml, "xml", ("doc_id", "source", "lang"), "xml").filter("ord is not null").groupBy("source").agg(F.countDistinct("doc_id").alias("n"))
+
+
+# mapping and loading
+
+TARGET = json.dumps({"entities": [
+    {"name": "publication", "fields": {"published": "text", "kind": "text"}, "links": {"contract_id": "contract"}},
+    {"name": "contract", "fields": {"reference": "text", "priority": "text", "urgent": "text"}, "links": {"value_id": "price", "buyer_id": "buyer"}},
+    {"name": "buyer", "fields": {"segment": "text"}, "links": {"body_id": "body"}},
+    {"name": "body", "fields": {"name": "text"}, "links": {"address_id": "address"}},
+    {"name": "address", "fields": {"country": "text", "region": "text"}},
+    {"name": "price", "fields": {"amount": "text"}},
+    {"name": "lot", "fields": {"lot_no": "text", "ship_date": "text", "quantity": "text"}, "links": {"contract_id": "contract", "price_id": "price", "winning_bid_id": "winning_bid"}, "repeats": True},
+    {"name": "winning_bid", "fields": {}, "links": {"bidder_id": "bidder"}},
+    {"name": "bidder", "fields": {}, "links": {"body_id": "body"}},
+    {"name": "lot_object", "fields": {"item": "text", "brand": "text"}, "links": {"lot_id": "lot"}},
+]})
+MAPPING = json.dumps({"version": 1, "map": [{"entity": "publication", "path": "/notice", "fields": {"published": ["head/published", "head/date"], "kind": "head/kind"}, "children": [
+    {"entity": "contract", "link": "down", "column": "contract_id", "fields": {"reference": "head/reference", "priority": "head/priority", "urgent": "head/urgent"}, "children": [
+        {"entity": "price", "link": "down", "column": "value_id", "fields": {"amount": "head/total"}},
+        {"entity": "buyer", "link": "down", "column": "buyer_id", "fields": {"segment": "head/segment"}, "children": [
+            {"entity": "body", "link": "down", "column": "body_id", "fields": {"name": "head/buyer"}, "children": [
+                {"entity": "address", "link": "down", "column": "address_id", "fields": {"country": "head/country", "region": "head/region"}}]}]},
+        {"entity": "lot", "path": "lots/lot", "link": "up", "fields": {"lot_no": "@no", "ship_date": "shipped", "quantity": "quantity"}, "children": [
+            {"entity": "price", "link": "down", "column": "price_id", "fields": {"amount": "price"}},
+            {"entity": "winning_bid", "link": "down", "column": "winning_bid_id", "children": [{"entity": "bidder", "link": "down", "column": "bidder_id", "children": [{"entity": "body", "link": "down", "column": "body_id", "fields": {"name": "winner"}}]}]},
+            {"entity": "lot_object", "link": "up", "fields": {"item": "item", "brand": "brand"}}]}]}]}]})
+
+
+def entities(spark, sf, layout: str = "xml") -> dict[str, DataFrame]:
+    return loader.extract_entities(xml_nodes(spark, sf, layout), mapping.load_mapping(MAPPING), mapping.load_target(TARGET))
+
+
+_XML = " FROM s WHERE nation BETWEEN 0 AND 5"
+_XML_LOTS = " FROM l WHERE nation BETWEEN 0 AND 5"
+
+
+@query(BASE + f" SELECT source, CAST(o_orderkey AS VARCHAR) AS reference, o_orderpriority AS priority, {_HEAD['urgent']} AS urgent" + _XML)
+def map_contracts(spark, sf):
+    return entities(spark, sf)["contract"].select("source", "reference", "priority", "urgent")
+
+
+@query(BASE + f" SELECT CAST(o_orderkey AS VARCHAR) AS doc_id, CAST(row_number() OVER (PARTITION BY o_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_shipdate) AS VARCHAR) AS lot_no, {_LOT['shipped']} AS ship_date, {_LOT['quantity']} AS quantity" + _XML_LOTS)
+def map_lots(spark, sf):
+    return entities(spark, sf)["lot"].select("doc_id", "lot_no", "ship_date", "quantity")
+
+
+@query(BASE + " SELECT CAST(o_orderkey AS VARCHAR) AS doc_id, c_mktsegment AS segment, c_name AS name" + _XML)
+def map_buyers(spark, sf):
+    e = entities(spark, sf)
+    return e["buyer"].join(e["body"].select(F.col("id").alias("body_id"), "name"), "body_id").select("doc_id", "segment", "name")
+
+
+@query(BASE + f" SELECT source, amount, count(*) AS n FROM (SELECT source, CAST(o_totalprice AS VARCHAR) AS amount {_XML} UNION ALL SELECT source, CAST(l_extendedprice AS VARCHAR) {_XML_LOTS}) GROUP BY ALL")
+def map_prices(spark, sf):
+    return entities(spark, sf)["price"].groupBy("source", "amount").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(BASE + " SELECT source, source AS country, r_name AS region, count(*) AS n FROM s WHERE nation BETWEEN 0 AND 5 AND o_orderkey % 11 <> 0 GROUP BY ALL")
+def map_addresses(spark, sf):
+    return entities(spark, sf)["address"].groupBy("source", "country", "region").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(BASE + " SELECT CAST(o_orderkey AS VARCHAR) AS reference, o_orderpriority = '1-URGENT' AS urgent, CAST(date_trunc('day', o_orderdate) AS TIMESTAMP) AS published" + _XML)
+def typed_contracts(spark, sf):
+    """Language words become booleans, three date formats one type; the publication carries the date."""
+    e = entities(spark, sf)
+    both = e["publication"].select(F.col("contract_id").alias("id"), "published").join(e["contract"], "id")
+    good, _ = loader.typed(both, {"urgent": "boolean", "published": "date"})
+    return good.select("reference", "urgent", "published")
+
+
+@query("SELECT o_orderkey, CAST(date_trunc('day', o_orderdate) AS TIMESTAMP) AS d FROM orders")
+def date_parts(spark, sf):
+    o = table(spark, sf, "orders").select("o_orderkey", *[F.date_format("o_orderdate", p).alias(n) for n, p in (("y", "yyyy"), ("m", "MM"), ("d", "dd"))])
+    return o.select("o_orderkey", date_from_parts("y", "m", "d").alias("d"))
+
+
+_SHAPE = lambda c: f"regexp_replace(regexp_replace(regexp_replace({c}, '[0-9]+', '9', 'g'), '[[:upper:]]+', 'A', 'g'), '[[:lower:]]+', 'a', 'g')"
+
+
+@query(f"SELECT {_SHAPE('props')} AS shape, count(*) AS n, min(props) AS example FROM events WHERE props IS NOT NULL GROUP BY 1")
+def value_shapes(spark, sf):
+    return loader.profile_values(table(spark, sf, "events"), "props")
+
+
+_COUNTS = BASE + """, x AS (SELECT source, o_orderkey, o_orderstatus FROM s WHERE nation BETWEEN 0 AND 5), y AS (SELECT source, o_orderstatus FROM l WHERE nation BETWEEN 0 AND 5),
+c AS (SELECT source, entity, count(*) AS n FROM (SELECT source, unnest(['publication', 'contract', 'buyer', 'price', 'body']) AS entity FROM x) GROUP BY ALL
+UNION ALL SELECT source, 'address', count(*) FROM x WHERE o_orderkey % 11 <> 0 GROUP BY ALL
+UNION ALL SELECT source, entity, count(*) FROM (SELECT source, unnest(['lot', 'lot_object', 'price']) AS entity FROM y) GROUP BY ALL
+UNION ALL SELECT source, entity, count(*) FROM (SELECT source, unnest(['winning_bid', 'bidder', 'body']) AS entity FROM y WHERE o_orderstatus = 'F') GROUP BY ALL),
+t AS (SELECT source, entity, CAST(sum(n) AS BIGINT) AS rows FROM c GROUP BY ALL)"""
+_ALL = "(SELECT * FROM (SELECT DISTINCT source FROM t), (SELECT DISTINCT entity FROM t))"
+
+
+@query(_COUNTS + f" SELECT source, entity, coalesce(rows, 0) AS rows FROM {_ALL} LEFT JOIN t USING (source, entity)")
+def entity_counts(spark, sf):
+    return measures.row_counts(entities(spark, sf))
+
+
+@query("SELECT entity, fk, CAST(0 AS BIGINT) AS n FROM (VALUES ('publication','contract_id'),('contract','value_id'),('contract','buyer_id'),('buyer','body_id'),('body','address_id'),('lot','contract_id'),('lot','price_id'),('lot','winning_bid_id'),('winning_bid','bidder_id'),('bidder','body_id'),('lot_object','lot_id')) v(entity, fk)")
+def fk_orphans(spark, sf):
+    e = {k: dicts._cut(v) for k, v in entities(spark, sf).items()}
+    return loader.orphans(e, mapping.load_target(TARGET))
+
+
+@query("SELECT entity, CAST(level AS INTEGER) AS level FROM (VALUES ('address',0),('price',0),('body',1),('bidder',2),('buyer',2),('contract',3),('winning_bid',3),('lot',4),('publication',4),('lot_object',5)) v(entity, level)")
+def flush_levels(spark, sf):
+    levels = loader.target_order(mapping.load_target(TARGET))
+    return spark.createDataFrame([(n, k) for k, level in enumerate(levels) for n in level], "entity string, level int")
+
+
+@query("SELECT count(*) AS n, CAST(min(k) AS BIGINT) AS lo, CAST(max(k) AS BIGINT) AS hi, count(DISTINCT k) AS ids FROM (SELECT row_number() OVER () + 99 AS k FROM orders)")
+def id_blocks(spark, sf):
+    ids = loader.dense_ids(table(spark, sf, "orders").select("o_orderkey"), 100)
+    return ids.agg(F.count(F.lit(1)).alias("n"), F.min("block_id").alias("lo"), F.max("block_id").alias("hi"), F.countDistinct("block_id").alias("ids"))
+
+
+# coverage validation
+
+_INV_HEAD = " UNION ALL ".join(f"SELECT source, o_orderkey, '/notice/head/{k}' AS path, {e} AS v FROM s WHERE nation BETWEEN 0 AND 5" for k, e in _HEAD.items())
+_INV_LOT = " UNION ALL ".join(f"SELECT source, o_orderkey, '/notice/lots/lot/{k}' AS path, {e} AS v FROM l WHERE nation BETWEEN 0 AND 5" for k, e in {**_LOT, "@no": "'1'"}.items())
+INVENTORY = BASE + f", i AS ({_INV_HEAD} UNION ALL {_INV_LOT} UNION ALL SELECT source, o_orderkey, '/notice/@lang', 'x' FROM s WHERE nation BETWEEN 0 AND 5), v AS (SELECT source, path, count(*) AS n, count(DISTINCT o_orderkey) AS n_docs, min(CAST(o_orderkey AS VARCHAR)) AS example FROM i WHERE v IS NOT NULL GROUP BY ALL)"
+SMALL = json.dumps({"version": 1, "map": [{"entity": "contract", "path": "/notice", "fields": {"reference": "head/reference", "priority": "head/priority"}, "children": [{"entity": "lot", "path": "lots/lot", "fields": {"item": ["title", "item"]}}]}]})
+_SMALL_PATHS = "('/notice/head/reference', '/notice/head/priority', '/notice/lots/lot/item')"
+
+
+def inventory(spark, sf) -> DataFrame:
+    return audit.path_inventory(xml_nodes(spark, sf))
+
+
+@query(INVENTORY + " SELECT * FROM v")
+def path_inventory(spark, sf):
+    return inventory(spark, sf).select("source", "path", "n", "n_docs", F.element_at("samples", 1).alias("example"))
+
+
+def _small(spark) -> DataFrame:
+    return mapping.mapped_paths(spark, mapping.load_mapping(SMALL))
+
+
+@query(INVENTORY + f" SELECT source, path, n FROM v WHERE path NOT IN {_SMALL_PATHS}")
+def unmapped_paths(spark, sf):
+    return audit.unmapped_paths(inventory(spark, sf), _small(spark)).select("source", "path", "n")
+
+
+@query(INVENTORY + f""", k AS (SELECT source, count(*) FILTER (WHERE path IN {_SMALL_PATHS}) AS mapped, count(*) FILTER (WHERE path NOT IN {_SMALL_PATHS}) AS unmapped, CAST(coalesce(sum(n) FILTER (WHERE path IN {_SMALL_PATHS}), 0) AS BIGINT) AS mapped_mass, CAST(coalesce(sum(n) FILTER (WHERE path NOT IN {_SMALL_PATHS}), 0) AS BIGINT) AS unmapped_mass FROM v GROUP BY source)
+SELECT *, mapped / unmapped AS ratio, CASE WHEN mapped / unmapped >= 2 THEN 'high' WHEN mapped / unmapped <= 0.5 THEN 'low' ELSE 'close' END AS band FROM k""")
+def coverage(spark, sf):
+    return audit.coverage(inventory(spark, sf), _small(spark))
+
+
+@query(INVENTORY + f" SELECT source, path, n FROM v WHERE path NOT IN {_SMALL_PATHS} ORDER BY n DESC, source, path LIMIT 20")
+def review_queue(spark, sf):
+    return audit.review_queue(audit.unmapped_paths(inventory(spark, sf), _small(spark)), 20).select("source", "path", "n")
+
+
+@query("SELECT * FROM (VALUES ('dead path', 'lot', 'item', '/notice/lots/lot/title')) v(kind, entity, field, detail)")
+def mapping_lint(spark, sf):
+    lint = mapping.lint_mapping(spark, mapping.load_mapping(SMALL), mapping.load_target(TARGET), inventory(spark, sf))
+    return lint.filter("kind = 'dead path'")
+
+
+@query()
+def mapping_suggestions(spark, sf):
+    return mapping.suggest(spark, mapping.load_mapping(SMALL), mapping.load_target(TARGET), inventory(spark, sf))
+
+
+@query()
+def sample_coverage(spark, sf):
+    nodes = dicts._cut(xml_nodes(spark, sf))
+    full = audit.path_inventory(nodes)
+    chosen = dicts.stratified_sample(nodes.select("doc_id").distinct(), dicts.template_signature(nodes), 1)
+    return audit.sample_coverage(full, audit.path_inventory(nodes.join(chosen.select("doc_id"), "doc_id", "left_semi")))
+
+
+PARTIAL = tuple(k for k in (*src.HEAD, *src.LOT) if k not in ("buyer", "segment", "price"))
+
+
+def _scanned(spark, sf, keys) -> DataFrame:
+    d = src.dictionary(spark, keys)
+    nodes = pairing.prepared_nodes(src.notices(spark, sf, layouts=("sections",)), d)
+    return pairing.scan(nodes, pairing.match_keys(nodes, d))
+
+
+_RATE = FIELDS + ", g AS (SELECT source, count(v) AS converted, {nodes} AS nodes FROM f WHERE nation BETWEEN 9 AND 12 AND v IS NOT NULL {only} GROUP BY source) SELECT source, nodes, converted, converted / nodes AS node_rate FROM g"
+
+
+@query(_RATE.format(nodes="count(v)", only=""))
+def conversion_rate(spark, sf):
+    return audit.conversion_rate(_scanned(spark, sf, (*src.HEAD, *src.LOT))).select("source", "nodes", "converted", "node_rate")
+
+
+@query(FIELDS + " SELECT source, CAST(2 * count(v) AS BIGINT) AS n FROM f WHERE nation BETWEEN 9 AND 12 AND key_id IN ('buyer', 'segment', 'price') GROUP BY source")
+def missing_report(spark, sf):
+    """Unconverted text under an incomplete dictionary: the missing keys and their values."""
+    return audit.missing_report(_scanned(spark, sf, PARTIAL)).groupBy("source").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("SELECT CAST(0 AS INTEGER) AS round, false AS complete UNION ALL SELECT 1, true")
+def refine_history(spark, sf):
+    """An expert adds the missing keys; one round brings full conversion."""
+    nodes = dicts._cut(pairing.prepared_nodes(src.notices(spark, sf, layouts=("sections",)), src.dictionary(spark)))
+
+    def rate(d: DataFrame) -> float:
+        r = audit.conversion_rate(pairing.scan(nodes, pairing.match_keys(nodes, d))).agg(F.sum("converted") / F.sum("nodes")).first()
+        return float(r[0])
+
+    full = src.dictionary(spark).filter(~F.col("key_id").isin(list(PARTIAL)))
+    edits = full.select(F.lit("add").alias("op"), "lang", "key_id", "surface", F.lit(None).cast("string").alias("target"))
+    _, history = dicts.refine(rate, src.dictionary(spark, PARTIAL), [edits], 0.999)
+    return spark.createDataFrame([(k, r >= 0.999) for k, r in history], "round int, complete boolean")
+
+
+# measures
+
+
+@query(BASE + " SELECT source, count(*) AS entries" + _XML + " GROUP BY source")
+def db_entry_counts(spark, sf):
+    return measures.entry_counts(entities(spark, sf)["publication"])
+
+
+@query()
+def bytes_per_entry(spark, sf):
+    e = {k: dicts._cut(v) for k, v in entities(spark, sf).items()}
+    return measures.bytes_per_entry(measures.logical_sizes(e), measures.entry_counts(e["publication"]))
+
+
+@query(BASE + " SELECT source, entries, rank FROM (SELECT source, count(*) AS entries, CAST(rank() OVER (ORDER BY count(*) DESC) AS INTEGER) AS rank" + _XML + " GROUP BY source) WHERE rank <= 5")
+def top_sources(spark, sf):
+    return measures.top_k(measures.entry_counts(entities(spark, sf)["publication"]), "entries", 5)
+
+
+_OCC = _COUNTS + f", z AS (SELECT source, entity, coalesce(rows, 0) AS rows FROM {_ALL} LEFT JOIN t USING (source, entity)), q AS (SELECT source, entity, rows, rows / sum(rows) OVER (PARTITION BY source) AS r, 1 / count(*) OVER (PARTITION BY source) AS balanced FROM z)"
+
+
+@query(_OCC + " SELECT * FROM q")
+def occupation_ratio(spark, sf):
+    return measures.occupation(measures.row_counts(entities(spark, sf)))
+
+
+ENTITY_NAMES = [e["name"] for e in json.loads(TARGET)["entities"]]
+
+
+@query(_OCC + " SELECT source, " + ", ".join(f"max(CASE WHEN entity = '{n}' THEN r END) AS {n}" for n in ENTITY_NAMES) + " FROM q GROUP BY source")
+def occupation_matrix(spark, sf):
+    return measures.occupation_matrix(measures.occupation(measures.row_counts(entities(spark, sf))), ENTITY_NAMES)
+
+
+@query(_OCC + ", m AS (SELECT source, avg(r) AS a FROM q GROUP BY source) SELECT source, round(avg(power(r - a, 3)) / power(avg(power(r - a, 2)), 1.5), 9) AS skew FROM q JOIN m USING (source) GROUP BY source")
+def occupation_skew(spark, sf):
+    return measures.occupation_skew(measures.occupation(measures.row_counts(entities(spark, sf)))).withColumn("skew", F.round("skew", 9))
+
+
+@query(BASE + " SELECT 'address' AS entity, unnest(['country', 'region']) AS field, count(*) AS filled, count(*) AS total" + _XML + " AND o_orderkey % 11 <> 0 UNION ALL SELECT 'body', unnest(['name', 'address_id']), 0, 0 WHERE 1 = 0")
+def fill_rate(spark, sf):
+    return measures.fill_rate({"address": entities(spark, sf)["address"]})
+
+
+@query()
+def work_counters(spark, sf):
+    nodes = dicts._cut(xml_nodes(spark, sf))
+    n = len([1 for m, *_ in mapping.load_mapping(MAPPING).walk() for _ in m.fields])
+    return measures.work_counters(nodes, n, True).withColumn("mode", F.lit("cached")).unionByName(measures.work_counters(nodes, n, False).withColumn("mode", F.lit("parsed again")))
+
+
+# baselines
+
+
+@query(pair_sql("13,14,15,16").replace("AND v IS NOT NULL", "AND v IS NOT NULL AND key_id IN ('total', 'country')"))
+def baseline_regex(spark, sf):
+    """Hand-written patterns with every label variant spelt out, on the table template they were written for."""
+    docs = src.notices(spark, sf, layouts=("table",))
+    rules = {k: "<td>(?:" + "|".join(src.LABELS[k]) + ")s?</td><td>([^<]*)</td>" for k in ("total", "country")}
+    return pair_summary(baselines.baseline_regex(docs, rules))
+
+
+@query()
+def baseline_regex_moved(spark, sf):
+    """The same patterns on the section template: nothing is found, where the pairing scan still works."""
+    docs = src.notices(spark, sf, layouts=("sections",))
+    rules = {k: "<td>(?:" + "|".join(src.LABELS[k]) + ")s?</td><td>([^<]*)</td>" for k in ("total", "country")}
+    found = baselines.baseline_regex(docs, rules)
+    return measures.score_pairs(found, truth(spark, sf, ("sections",)).filter(F.col("key_id").isin("total", "country")))
+
+
+@query(BASE + " SELECT CAST(o_orderkey AS VARCHAR) AS doc_id, source, CAST(o_orderkey AS VARCHAR) AS reference, o_orderpriority AS priority, (SELECT count(*) FROM lineitem WHERE l_orderkey = o_orderkey) AS lots" + _XML)
+def baseline_fixed_schema(spark, sf):
+    docs = src.notices(spark, sf, layouts=("xml",))
+    return baselines.baseline_fixed_schema(docs, "head struct<reference:string,priority:string>, lots struct<lot:array<struct<_no:string>>>", {"reference": "x.head.reference", "priority": "x.head.priority", "lots": "cast(coalesce(size(x.lots.lot), 0) as bigint)"})
+
+
+@query(pair_sql("9,10,11,12").replace("AND v IS NOT NULL", "AND v IS NOT NULL AND NOT (key_id IN ('priority', 'quantity', 'total') AND o_orderkey % 17 = 0) AND NOT (key_id IN ('buyer', 'segment', 'winner') AND o_orderkey % 19 = 0 AND NOT (key_id IN ('priority', 'quantity', 'total')))"))
+def baseline_exact_keys(spark, sf):
+    """Exact lookup (theta 1): values under misspelt or plural keys are lost; what follows another key stays too far away."""
+    return pair_summary(_pairs(spark, sf, "sections", theta_key=1.0))
+
+
+@query(BASE + " SELECT field, count(*) AS n FROM (SELECT unnest(['reference', 'priority']) AS field" + _XML + ") GROUP BY field")
+def cached_fields(spark, sf):
+    return baselines.cached_fields(lambda d: node_table(d, "body", ("doc_id", "source", "lang"), "xml"), src.notices(spark, sf, layouts=("xml",)), {"reference": "/notice/head/reference", "priority": "/notice/head/priority"}).groupBy("field").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(SQL["cached_fields"])
+def reparsed_fields(spark, sf):
+    return baselines.reparse_each_field(lambda d: node_table(d, "body", ("doc_id", "source", "lang"), "xml"), src.notices(spark, sf, layouts=("xml",)), {"reference": "/notice/head/reference", "priority": "/notice/head/priority"}).groupBy("field").agg(F.count(F.lit(1)).alias("n"))
+
+
+# checks on the remaining tables
+
+
+@query("SELECT source, count(*) AS docs, count(*) FILTER (WHERE quality = 1) AS good, count(*) FILTER (WHERE quality IS NULL) AS unlabelled FROM documents LEFT JOIN (SELECT doc_id, min(quality) AS quality FROM labels GROUP BY doc_id) USING (doc_id) GROUP BY source")
+def document_quality_by_source(spark, sf):
+    labels = table(spark, sf, "labels").groupBy("doc_id").agg(F.min("quality").alias("quality"))
+    return table(spark, sf, "documents").select("doc_id", "source").join(labels, "doc_id", "left").groupBy("source").agg(F.count(F.lit(1)).alias("docs"), F.count(F.when(F.col("quality") == 1, 1)).alias("good"), F.count(F.when(F.col("quality").isNull(), 1)).alias("unlabelled"))
+
+
+@query("SELECT role, count(*) AS turns, count(DISTINCT conv_id) AS conversations FROM conversations GROUP BY role")
+def conversation_roles(spark, sf):
+    return table(spark, sf, "conversations").groupBy("role").agg(F.count(F.lit(1)).alias("turns"), F.countDistinct("conv_id").alias("conversations"))
