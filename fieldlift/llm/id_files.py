@@ -35,6 +35,7 @@ END_ID = 2
 SHARD_BYTES, TABLE = 4 << 20, 800_000
 #: Marks a piece without a blank before it; as a lone surrogate it can't be in a text.
 _BARE = "\ud800"
+_LINE = _BARE + "\n"
 
 
 def default_vocabulary() -> str:
@@ -46,9 +47,10 @@ def default_vocabulary() -> str:
 class PieceEncoder:
     """Whole-text encoding through the library, one call for all new pieces of a batch."""
 
-    _odd = re.compile(r" \s")
+    _odd = re.compile(r"[ \n]\s")
     _cut = re.compile(r"(?<=\S)(?= )")
-    _tail = re.compile(r"( ?[^\W\d_]+)([^\w\s'<|]+)")
+    _blank = re.compile(r"\s")
+    _signs = ".,;:!?%&*#$)"
 
     def __init__(self, vocabulary: str):
         import os
@@ -59,8 +61,7 @@ class PieceEncoder:
         self.tokenizer = Tokenizer.from_file(vocabulary)
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
-        self.separator = next((t.content for t in self.tokenizer.get_added_tokens_decoder().values() if t.special), None)
-        self.separator_id = self.tokenizer.token_to_id(self.separator) if self.separator else None
+        self.line_id = self.tokenizer.encode("\n", add_special_tokens=False).ids[0]
         self.width = "<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4"
         # only a word's first token can hold the blank before it
         size = self.tokenizer.get_vocab_size()
@@ -68,59 +69,72 @@ class PieceEncoder:
         self.table: dict[str, bytes] = {}
 
     def pieces(self, text: str) -> list[str]:
-        """Pieces of a text; those after the first stand without the blank they begin with."""
-        if not self._odd.search(text):
-            words = text.split(" ")
-            return [_BARE + words[0], *words[1:]]
-        return [p[1:] if p[0] == " " else _BARE + p for p in self._cut.split(text)]
-
-    def raw(self, pieces: list[str]) -> list[bytes]:
-        """Ids of pieces, by one call for words of letters and one for the rest.
+        """Pieces of a text: lines, line ends, and words. Words that follow a blank stand without it, others behind a mark."""
+        if self._odd.search(text):
+            return [p[1:] if p[0] == " " else _BARE + p for p in self._cut.split(text)]
+        out: list[str] = []
+        for line in text.split("\n"):
+            words = line.split(" ")
+            words[0] = _BARE + words[0]
+            out += words
+            out.append(_LINE)
+        del out[-1]
+        return out
 
-        Words of letters with their blanks are joined as they are; the rest is joined by the separator's string
-        and cut again at its id.
+    def cut_at(self, text: str, starts: np.ndarray | None) -> list[bytes]:
+        """Ids of a joined text, cut before the tokens flagged in starts, or at line ends."""
+        ids = np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.width)
+        size, data = ids.itemsize, ids.tobytes()
+        if starts is not None:
+            at = (np.flatnonzero(starts[ids]) * size).tolist()
+            return [data[a:b] for a, b in zip(at, [*at[1:], len(data)])]
+        cuts = np.flatnonzero(ids == self.line_id)
+        return [data[a:b] for a, b in zip([0, *((cuts + 1) * size).tolist()], [*(cuts * size).tolist(), len(data)])]
+
+    def learn(self, new: set[str]) -> None:
+        """Fills the table for new pieces with two calls of the library.
+
+        A word's letters and a closing run of signs are two tokens of the pattern whatever stands around them. Words of
+        letters are joined by blanks, which begin their tokens; other pieces without white space are joined by line ends, which are
+        tokens of their own.
         """
-        out: dict[str, bytes] = {}
-        if words := [p for p in pieces if p[:1] == " " and p[1:].isalpha()]:
-            ids = np.array(self.tokenizer.encode_batch_fast(["".join(words)], add_special_tokens=False)[0].ids, self.width)
-            starts = (np.flatnonzero(self.opens[ids]) * ids.itemsize).tolist()
-            data = ids.tobytes()
-            out.update((p, data[a:b]) for p, a, b in zip(words, starts, [*starts[1:], len(data)], strict=True))
-        plain = [p for p in pieces if p and p not in out and self.separator and "<|" not in p and self.separator not in p]
-        if plain:
-            ids = np.array(self.tokenizer.encode_batch_fast([self.separator.join(plain)], add_special_tokens=False)[0].ids, self.width)
-            cuts = np.flatnonzero(ids == self.separator_id)
-            data, size = ids.tobytes(), ids.itemsize
-            starts, ends = [0, *((cuts + 1) * size).tolist()], [*(cuts * size).tolist(), len(data)]
-            out.update((p, data[a:b]) for p, a, b in zip(plain, starts, ends, strict=True))
-        for p in pieces:
-            if p not in out:
-                out[p] = np.array(self.tokenizer.encode(p, add_special_tokens=False).ids, self.width).tobytes()
-        return [out[p] for p in pieces]
-
-    def learn(self, new: list[str]) -> None:
-        """Fills the table for new pieces; letters and a closing run of signs are two tokens, whatever stands around them."""
-        full = [p[1:] if p[:1] == _BARE else " " + p for p in new]
-        if _BARE in new:  # a text that begins with its first blank has an empty first piece
-            full[new.index(_BARE)] = ""
-            self.table[_BARE] = b""
-        parts = [m.groups() if (m := self._tail.fullmatch(f)) and m[1].lstrip(" ").isalpha() else (f,) for f in full]
-        parts = [ps for ps in parts if ps != ("",)] if "" in full else parts
-        new = [p for p in new if p != _BARE]
-        name = lambda x: x[1:] if x[0] == " " else _BARE + x
-        table = self.table
-        wanted = [x for x in {x for ps in parts for x in ps} if name(x) not in table]
-        table.update(zip(map(name, wanted), self.raw(wanted)))
-        table.update((p, b"".join([table[name(x)] for x in ps])) for p, ps in zip(new, parts) if len(ps) > 1)
+        table, signs = self.table, self._signs
+        words: set[str] = set()
+        tails: list[tuple[str, str, str]] = []
+        rest: set[str] = set()
+        for p in new:
+            if p.isalpha():
+                words.add(p)
+                continue
+            core = p.rstrip(signs)
+            if core.isalpha() and core != p:
+                tail = _BARE + p[len(core) :]
+                tails.append((p, core, tail))
+                if core not in table:
+                    words.add(core)
+                if tail not in table:
+                    rest.add(tail)
+            else:
+                rest.add(p)
+        if words:
+            ordered = list(words)
+            table.update(zip(ordered, self.cut_at(" " + " ".join(ordered), self.opens), strict=True))
+        full = {p: p[1:] if p[:1] == _BARE else " " + p for p in rest}
+        easy = [p for p, f in full.items() if f.strip() and not self._blank.search(f, 1) and not (f[0].isspace() and f[0] != " ") and "<|" not in f]
+        if easy:
+            table.update(zip(easy, self.cut_at("\n".join([full[p] for p in easy]), None), strict=True))
+        for p, f in full.items():
+            if p not in table:
+                table[p] = np.array(self.tokenizer.encode(f, add_special_tokens=False).ids, self.width).tobytes()
+        table.update((p, table[core] + table[tail]) for p, core, tail in tails)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         if len(self.table) > TABLE:
             self.table.clear()
         split = [self.pieces(t) if t else [] for t in texts]
-        distinct = set().union(*split)
-        if new := distinct.difference(self.table):
-            self.learn(list(new))
-        get = {p: self.table[p] for p in distinct}.__getitem__  # small, so it stays near the processor
+        if new := set().union(*split).difference(self.table):
+            self.learn(new)
+        get = self.table.__getitem__
         return [b"".join(map(get, s)) for s in split]
 
 
