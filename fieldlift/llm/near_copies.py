@@ -4,7 +4,8 @@ A document's set is its distinct 5-word shingles; two documents link when 100 *
 All sets are put in one global token order, rarest first (hot tokens, found by local counts, come last). If two sets
 link, then for any l they share l tokens among their first size - ceil(0.75 * size) + l tokens. Each set picks
 its own l where reading its tokens' lists plus checking the candidates that l leaves is estimated to cost least;
-a pair is checked when it shares as many prefix tokens as the smaller of its two l.
+a pair is checked when it shares as many prefix tokens as the smaller of its two l, and as many as the rests of the
+two sets behind their prefixes leave to be found.
 
 Only links between different components can still matter, so the pairs of a token's list are never all made: rounds of
 stars link every set to one promising set of another component and verify that exactly; the last round verifies every
@@ -32,7 +33,7 @@ from .common import cut, slices, utf8
 WORDS, PERCENT = 5, 75
 #: Parameters: largest l, tokens in the hot table (bounds the broadcast), local count that makes a token known,
 #: cost of verifying a candidate in units of reading a list entry, star rounds.
-MOST, HOT, LOCAL, CHECK_COST, ROUNDS = 8, 1 << 16, 6, 20.0, 3
+MOST, HOT, LOCAL, CHECK_COST, ROUNDS = 8, 1 << 16, 4, 20.0, 2
 #: Lists of hot tokens are dealt over so many salts.
 SALTS = 64
 #: Bits of the filter of wanted documents.
@@ -260,6 +261,17 @@ def near(n: str, m: str):
     return F.least(n, m) * 100 >= F.greatest(n, m) * PERCENT
 
 
+def needed(n: str, l: str, m: str, k: str):
+    """Prefix tokens that two linking sets of sizes n and m with multiplicities l and k must share.
+
+    All common tokens up to the earlier prefix's end lie in both prefixes, and at most the rest of one set follows. So the
+    intersection is at most the shared prefix tokens plus the longer rest, and a link needs 75 / 175 of both sizes.
+    """
+    both = F.ceil(PERCENT * (F.col(n) + F.col(m)) / (100.0 + PERCENT) - 1e-9)
+    rest = lambda size, least: F.ceil(PERCENT * F.col(size) / 100.0 - 1e-9) - F.col(least)
+    return F.greatest(F.least(l, k), both - F.greatest(rest(n, l), rest(m, k)))
+
+
 def star_pairs(live: DataFrame) -> DataFrame:
     """For each set the set of another component that shares most prefix tokens with it, among two centres of each list."""
     end = F.struct("comp", "cls", "n", "l")
@@ -267,7 +279,7 @@ def star_pairs(live: DataFrame) -> DataFrame:
     ends = salted.groupBy("token").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")).filter("lo.comp != hi.comp")
     other = F.when(F.col("comp") == F.col("lo.comp"), F.col("hi")).otherwise(F.col("lo"))
     tries = live.join(ends, "token").withColumn("o", other).filter(near("n", "o.n"))
-    counted = tries.groupBy("cls", F.col("o.cls").alias("mate")).agg(F.count(F.lit(1)).alias("c"), F.min(F.least("l", "o.l")).alias("l")).filter("c >= l")
+    counted = tries.groupBy("cls", F.col("o.cls").alias("mate")).agg(F.count(F.lit(1)).alias("c"), F.min(needed("n", "l", "o.n", "o.l")).alias("need")).filter("c >= need")
     return counted.groupBy("cls").agg(F.max(F.struct("c", "mate")).alias("best")).select(F.least("cls", "best.mate").alias("a"), F.greatest("cls", "best.mate").alias("b")).distinct()
 
 
@@ -278,7 +290,7 @@ def cross_pairs(live: DataFrame) -> DataFrame:
     some = live.join(lively, "token").select("token", "comp", "cls", "n", "l")
     other = some.select("token", *[F.col(c).alias(f"{c}2") for c in ("comp", "cls", "n", "l")])
     pairs = some.join(other, (some["token"] == other["token"]) & (F.col("cls") < F.col("cls2")) & (F.col("comp") != F.col("comp2")) & near("n", "n2"))
-    return pairs.groupBy(F.col("cls").alias("a"), F.col("cls2").alias("b")).agg(F.count(F.lit(1)).alias("c"), F.min(F.least("l", "l2")).alias("l")).filter("c >= l").select("a", "b")
+    return pairs.groupBy(F.col("cls").alias("a"), F.col("cls2").alias("b")).agg(F.count(F.lit(1)).alias("c"), F.min(needed("n", "l", "n2", "l2")).alias("need")).filter("c >= need").select("a", "b")
 
 
 def join_documents(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
@@ -291,14 +303,17 @@ def join_documents(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     nodes = cut(shared.select("cls").distinct())
     comp = nodes.withColumn("comp", F.col("cls"))
     first = rows.filter("cls != 0").groupBy("cls").agg(F.min("doc_id").alias("id"))
-    sets = cut(sets_of(docs, first.join(nodes, "cls", "left_semi").select("id")).repartition("cls"))
     done = links = None
     for k in range(rounds + 1):
         live = shared.join(comp, "cls") if k else shared.withColumn("comp", F.col("cls"))
         pairs = star_pairs(live) if k < rounds else cross_pairs(live)
         if done is not None:
             pairs = pairs.join(done, ["a", "b"], "left_anti")
+        pairs = cut(pairs)
+        asked = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
+        sets = cut(sets_of(docs, first.join(asked, "cls", "left_semi").select("id")))
         tested = cut(linked(pairs, sets))
+        del sets
         done = tested.select("a", "b") if done is None else done.union(tested.select("a", "b"))
         fresh = tested.filter("link").select("a", "b")
         links = fresh if links is None else links.union(fresh)
