@@ -8,6 +8,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .dictionary import _cut
+
 
 def entry_counts(publications: DataFrame) -> DataFrame:
     return publications.groupBy("source").agg(F.count(F.lit(1)).alias("entries"))
@@ -16,7 +18,7 @@ def entry_counts(publications: DataFrame) -> DataFrame:
 def row_counts(entities: dict[str, DataFrame]) -> DataFrame:
     """(source, entity, rows), with 0 for a table a source left empty."""
     parts = [df.groupBy("source").agg(F.count(F.lit(1)).alias("rows")).select("source", F.lit(n).alias("entity"), "rows") for n, df in entities.items()]
-    found = reduce(DataFrame.unionByName, parts)
+    found = _cut(reduce(DataFrame.unionByName, parts))
     names = found.sparkSession.createDataFrame([(n,) for n in entities], "entity string")
     return found.select("source").distinct().join(F.broadcast(names), F.lit(True)).join(found, ["source", "entity"], "left").withColumn("rows", F.coalesce("rows", F.lit(0)).cast("long"))
 

@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions.columns import path_text, recode, to_bool, to_date_any
+from ..operators.dictionary import _cut
 from .mapping import Mapping, Target, absolute, compile_path
 
 
@@ -66,14 +67,20 @@ def filled_rows(nodes: DataFrame, mapping: Mapping) -> DataFrame:
     return nodes.filter(F.trim("text") != "").withColumn("_path", path_text("plain")).select("doc_id", "source", "lang", F.inline(everything))
 
 
-def extract_entities(nodes: DataFrame, mapping: Mapping, target: Target) -> dict[str, DataFrame]:
-    """One DataFrame for each entity: id, doc_id, source, lang, its fields as text and its links as ids."""
+def extract_entities(nodes: DataFrame, mapping: Mapping, target: Target, only: tuple[str, ...] | None = None) -> dict[str, DataFrame]:
+    """One DataFrame for each entity (or those named): id, doc_id, source, lang, its fields as text and its links as ids.
+
+    Where several entities are wanted, documents are shredded and looked up once and the rows cut off in the shared folder.
+    """
     rows = filled_rows(nodes, mapping)
+    rows = rows if only is not None and len(only) == 1 else _cut(rows)
     by_entity: dict[str, list[str]] = {}
     for n, _, role, *_ in mapping.walk():
         by_entity.setdefault(n.entity, []).append(role)
     out = {}
     for entity, roles in by_entity.items():
+        if only is not None and entity not in only:
+            continue
         spec = target.entities[entity]
         mine = rows.filter(F.col("role").isin(roles))
         pick = lambda f: F.min(F.when(F.col("field") == f, F.struct("prio", "ord", "value")))["value"]

@@ -481,8 +481,8 @@ MAPPING = json.dumps({"version": 1, "map": [{"entity": "publication", "path": "/
             {"entity": "lot_object", "link": "up", "fields": {"item": "item", "brand": "brand"}}]}]}]}]})
 
 
-def entities(spark, sf, layout: str = "xml") -> dict[str, DataFrame]:
-    return loader.extract_entities(xml_nodes(spark, sf, layout), mapping.load_mapping(MAPPING), mapping.load_target(TARGET))
+def entities(spark, sf, *only: str) -> dict[str, DataFrame]:
+    return loader.extract_entities(xml_nodes(spark, sf), mapping.load_mapping(MAPPING), mapping.load_target(TARGET), only or None)
 
 
 _XML = " FROM s WHERE nation BETWEEN 0 AND 5"
@@ -491,12 +491,12 @@ _XML_LOTS = " FROM l WHERE nation BETWEEN 0 AND 5"
 
 @query(BASE + f" SELECT source, CAST(o_orderkey AS VARCHAR) AS reference, o_orderpriority AS priority, {_HEAD['urgent']} AS urgent" + _XML)
 def map_contracts(spark, sf):
-    return entities(spark, sf)["contract"].select("source", "reference", "priority", "urgent")
+    return entities(spark, sf, "contract")["contract"].select("source", "reference", "priority", "urgent")
 
 
 @query(BASE + f" SELECT CAST(o_orderkey AS VARCHAR) AS doc_id, CAST(row_number() OVER (PARTITION BY o_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_shipdate) AS VARCHAR) AS lot_no, {_LOT['shipped']} AS ship_date, {_LOT['quantity']} AS quantity" + _XML_LOTS)
 def map_lots(spark, sf):
-    return entities(spark, sf)["lot"].select("doc_id", "lot_no", "ship_date", "quantity")
+    return entities(spark, sf, "lot")["lot"].select("doc_id", "lot_no", "ship_date", "quantity")
 
 
 @query(BASE + " SELECT CAST(o_orderkey AS VARCHAR) AS doc_id, c_mktsegment AS segment, c_name AS name" + _XML)
@@ -507,12 +507,12 @@ def map_buyers(spark, sf):
 
 @query(BASE + f" SELECT source, amount, count(*) AS n FROM (SELECT source, CAST(o_totalprice AS VARCHAR) AS amount {_XML} UNION ALL SELECT source, CAST(l_extendedprice AS VARCHAR) {_XML_LOTS}) GROUP BY ALL")
 def map_prices(spark, sf):
-    return entities(spark, sf)["price"].groupBy("source", "amount").agg(F.count(F.lit(1)).alias("n"))
+    return entities(spark, sf, "price")["price"].groupBy("source", "amount").agg(F.count(F.lit(1)).alias("n"))
 
 
 @query(BASE + " SELECT source, source AS country, r_name AS region, count(*) AS n FROM s WHERE nation BETWEEN 0 AND 5 AND o_orderkey % 11 <> 0 GROUP BY ALL")
 def map_addresses(spark, sf):
-    return entities(spark, sf)["address"].groupBy("source", "country", "region").agg(F.count(F.lit(1)).alias("n"))
+    return entities(spark, sf, "address")["address"].groupBy("source", "country", "region").agg(F.count(F.lit(1)).alias("n"))
 
 
 @query(BASE + " SELECT CAST(o_orderkey AS VARCHAR) AS reference, o_orderpriority = '1-URGENT' AS urgent, CAST(date_trunc('day', o_orderdate) AS TIMESTAMP) AS published" + _XML)
@@ -670,7 +670,7 @@ def refine_history(spark, sf):
 
 @query(BASE + " SELECT source, count(*) AS entries" + _XML + " GROUP BY source")
 def db_entry_counts(spark, sf):
-    return measures.entry_counts(entities(spark, sf)["publication"])
+    return measures.entry_counts(entities(spark, sf, "publication")["publication"])
 
 
 @query()
@@ -681,7 +681,7 @@ def bytes_per_entry(spark, sf):
 
 @query(BASE + " SELECT source, entries, rank FROM (SELECT source, count(*) AS entries, CAST(rank() OVER (ORDER BY count(*) DESC) AS INTEGER) AS rank" + _XML + " GROUP BY source) WHERE rank <= 5")
 def top_sources(spark, sf):
-    return measures.top_k(measures.entry_counts(entities(spark, sf)["publication"]), "entries", 5)
+    return measures.top_k(measures.entry_counts(entities(spark, sf, "publication")["publication"]), "entries", 5)
 
 
 _OCC = _COUNTS + f", z AS (SELECT source, entity, coalesce(rows, 0) AS rows FROM {_ALL} LEFT JOIN t USING (source, entity)), q AS (SELECT source, entity, rows, rows / sum(rows) OVER (PARTITION BY source) AS r, 1 / count(*) OVER (PARTITION BY source) AS balanced FROM z)"
@@ -707,7 +707,7 @@ def occupation_skew(spark, sf):
 
 @query(BASE + " SELECT 'address' AS entity, unnest(['country', 'region']) AS field, count(*) AS filled, count(*) AS total" + _XML + " AND o_orderkey % 11 <> 0 UNION ALL SELECT 'body', unnest(['name', 'address_id']), 0, 0 WHERE 1 = 0")
 def fill_rate(spark, sf):
-    return measures.fill_rate({"address": entities(spark, sf)["address"]})
+    return measures.fill_rate({"address": entities(spark, sf, "address")["address"]})
 
 
 @query()
