@@ -60,7 +60,7 @@ class Shingler:
             return np.empty(0, np.uint64)
         known = self.known
         if new := set(words).difference(known):
-            if len(known) > 400_000:
+            if len(known) > 150_000:
                 known.clear()
                 new = set(words)
             known.update((w, xxhash.xxh64_intdigest(w)) for w in new)
@@ -107,7 +107,7 @@ def profile(docs: DataFrame) -> DataFrame:
                         seen.add(k)
                         kept.append(s)
                         size += len(s)
-                if size > 4_000_000:
+                if size > 2_000_000:
                     yield frequent()
                     kept.clear()
                     size = 0
@@ -220,10 +220,9 @@ def linked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            a, b = batch.column(2).to_pylist(), batch.column(3).to_pylist()
             answer = []
-            for x, y in zip(a, b):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+            for k in range(batch.num_rows):  # one pair at a time, so sets are not copied by the batch
+                x, y = (np.frombuffer(batch.column(c)[k].as_buffer(), np.uint64) for c in (2, 3))
                 if len(x) > len(y):
                     x, y = y, x
                 at = np.minimum(np.searchsorted(y, x), len(y) - 1)
