@@ -4,12 +4,15 @@ A document's set is its distinct 5-word shingles; two documents link when 100 *
 All sets are put in one global token order, rarest first (hot tokens, found by local counts, come last). If two sets
 link, then for any l they share l tokens among their first size - ceil(0.75 * size) + l tokens. Each set picks
 its own l where reading its tokens' lists plus checking the candidates that l leaves is estimated to cost least;
-a pair is checked when it shares as many prefix tokens as the smaller of its two l, and as many as the rests of the
-two sets behind their prefixes leave to be found.
+a pair is checked when it shares as many prefix tokens as the smaller of its two l, at places in both prefixes that leave
+room behind them for the common tokens that a link of the two sizes still needs.
+
+Tokens whose lists hold the same sets are one token with a weight (told by a hash of the list; a collision only adds
+candidates), so copies of a passage or of a whole text are read once and not once for each shingle.
 
 Only links between different components can still matter, so the pairs of a token's list are never all made: rounds of
-stars link every set to one promising set of another component and verify that exactly; the last round verifies every
-remaining pair between components. Equal sets are one class from the start.
+stars verify exactly, for every set, a few promising sets of other components, with other centres in every round; the last
+round verifies every remaining pair between components. Equal sets are one class from the start.
 
 Defined cases: A-Z are lower-cased, words are split at ASCII white space; fewer than 5 words are one shingle; null, empty and
 blank texts have an empty set and link with nothing; repeated rows and ids are rows (a repeated doc_id gives its row
@@ -32,8 +35,8 @@ from .common import cut, slices, utf8
 #: Words of a shingle, similarity in hundredths.
 WORDS, PERCENT = 5, 75
 #: Parameters: largest l, tokens in the hot table (bounds the broadcast), local count that makes a token known,
-#: cost of verifying a candidate in units of reading a list entry, star rounds.
-MOST, HOT, LOCAL, CHECK_COST, ROUNDS = 8, 1 << 16, 4, 20.0, 2
+#: cost of verifying a candidate in units of reading a list entry, star rounds, centres of a list and mates of a set verified in a round.
+MOST, HOT, LOCAL, CHECK_COST, ROUNDS, CENTRES, MATES = 8, 1 << 16, 4, 20.0, 3, 6, 4
 #: Lists of hot tokens are dealt over so many salts.
 SALTS = 64
 #: Bits of the filter of wanted documents.
@@ -151,14 +154,14 @@ def choose_prefix(tokens: np.ndarray, hot: tuple[np.ndarray, np.ndarray]) -> tup
 
 
 def postings(docs: DataFrame, hot: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """(token, salt, cls, n, l): prefix tokens of every set, each set once a task."""
+    """(token, salt, cls, packed): prefix tokens of every set, each set once a task; packed holds size, place in the prefix and l."""
     shared = docs.sparkSession.sparkContext.broadcast(hot)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingle, seen, table = Shingler(), set(), shared.value
         for batch in batches:
             for part in slices(batch, "text", 1 << 20):
-                token, often, cls, size, least = [], [], [], [], []
+                token, often, cls, packed = [], [], [], []
                 for raw in utf8(part.column(0)):
                     s = shingle(raw)
                     key = set_key(s)
@@ -169,14 +172,13 @@ def postings(docs: DataFrame, hot: tuple[np.ndarray, np.ndarray]) -> DataFrame:
                     token.append(t)
                     often.append(f)
                     cls.append(np.full(len(t), key, np.int64))
-                    size.append(np.full(len(t), len(s), np.int32))
-                    least.append(np.full(len(t), l, np.int32))
+                    packed.append((len(s) << 32) + (np.arange(1, len(t) + 1, dtype=np.int64) << 4) + l)
                 if token:
                     c = np.concatenate(cls)
                     salt = np.where(np.concatenate(often) > 1, c % SALTS, -1).astype(np.int32)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(token).view(np.int64)), pa.array(salt), pa.array(c), pa.array(np.concatenate(size)), pa.array(np.concatenate(least))], ["token", "salt", "cls", "n", "l"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(token).view(np.int64)), pa.array(salt), pa.array(c), pa.array(np.concatenate(packed))], ["token", "salt", "cls", "packed"])
 
-    return docs.select("text").mapInArrow(run, "token long, salt int, cls long, n int, l int")
+    return docs.select("text").mapInArrow(run, "token long, salt int, cls long, packed long")
 
 
 def wanted_filter(ids: DataFrame) -> np.ndarray:
@@ -271,44 +273,83 @@ def needed(n: str, l: str, m: str, k: str):
     return F.greatest(F.least(l, k), both - F.greatest(rest(n, l), rest(m, k)))
 
 
-def star_pairs(live: DataFrame) -> DataFrame:
-    """For each set the set of another component that shares most prefix tokens with it, among two centres of each list."""
-    end = F.struct("comp", "cls", "n", "l")
-    salted = live.groupBy("token", "salt").agg(F.min(end).alias("lo"), F.max(end).alias("hi"))
-    ends = salted.groupBy("token").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")).filter("lo.comp != hi.comp")
-    other = F.when(F.col("comp") == F.col("lo.comp"), F.col("hi")).otherwise(F.col("lo"))
-    tries = live.join(ends, "token").withColumn("o", other).filter(near("n", "o.n"))
-    counted = tries.groupBy("cls", F.col("o.cls").alias("mate")).agg(F.count(F.lit(1)).alias("c"), F.min(needed("n", "l", "o.n", "o.l")).alias("need")).filter("c >= need")
-    return counted.groupBy("cls").agg(F.max(F.struct("c", "mate")).alias("best")).select(F.least("cls", "best.mate").alias("a"), F.greatest("cls", "best.mate").alias("b")).distinct()
+def merged_lists(raw: DataFrame) -> DataFrame:
+    """(token, cls, n, l, p, w): prefix tokens with at least two sets; those with equal lists are one, w of them in the set, the first at place p.
+
+    Few lists are long; their tokens are in the hot table, so the broadcast of their hashes has its bound.
+    """
+    group = Window.partitionBy("token", "salt")
+    once = raw.repartition("token", "salt").dropDuplicates(["token", "salt", "cls"]).withColumn("h", F.xxhash64("cls"))
+    listed = once.withColumn("lo", F.min("cls").over(group)).withColumn("hi", F.max("cls").over(group)).withColumn("sign", F.bit_xor("h").over(group))
+    shared = cut(listed.filter("salt >= 0 or lo != hi").select("token", "salt", "cls", "packed", "sign"))
+    long = shared.filter("salt >= 0").groupBy("token").agg(F.bit_xor(F.xxhash64("cls")).alias("whole"), F.min("cls").alias("lo"), F.max("cls").alias("hi"))
+    signed = shared.join(F.broadcast(long), "token", "left").filter("salt < 0 or lo != hi")
+    merged = signed.groupBy(F.coalesce("whole", "sign").alias("token"), "cls").agg(F.min("packed").alias("packed"), F.count(F.lit(1)).cast("int").alias("w"))
+    n, place, least = F.shiftright("packed", 32), F.shiftright("packed", 4).bitwiseAND(F.lit((1 << 28) - 1)), F.col("packed").bitwiseAND(F.lit(15))
+    return cut(merged.select("token", "cls", n.cast("int").alias("n"), least.cast("int").alias("l"), place.cast("int").alias("p"), "w"))
+
 
+def star_pairs(live: DataFrame, done: DataFrame | None, turn: int) -> DataFrame:
+    """For each set the MATES untried sets of other components that share most prefix tokens with it, among CENTRES of each list.
 
-def cross_pairs(live: DataFrame) -> DataFrame:
-    """Every pair of different components that shares enough prefix tokens."""
-    lists = live.groupBy("token", "comp").agg(F.count(F.lit(1)).alias("m"))
-    lively = lists.groupBy("token").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").select("token")
-    some = live.join(lively, "token").select("token", "comp", "cls", "n", "l")
-    other = some.select("token", *[F.col(c).alias(f"{c}2") for c in ("comp", "cls", "n", "l")])
-    pairs = some.join(other, (some["token"] == other["token"]) & (F.col("cls") < F.col("cls2")) & (F.col("comp") != F.col("comp2")) & near("n", "n2"))
-    return pairs.groupBy(F.col("cls").alias("a"), F.col("cls2").alias("b")).agg(F.count(F.lit(1)).alias("c"), F.min(needed("n", "l", "n2", "l2")).alias("need")).filter("c >= need").select("a", "b")
+    Centres are sets of a list's largest components, first in as many hash orders, and one of its smallest; the orders change
+    with the turn, so sets left out are tried against ever new sets of a large component.
+    """
+    fields = ("comp", "cls", "n", "l", "w")
+    end = lambda k, sign: F.min(F.struct((sign * F.col("members")).alias("rank"), F.xxhash64("cls", F.lit(turn * CENTRES + k)).alias("order"), *fields)).alias(f"o{k}")
+    lists = live.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), *[end(k, -1 if k else 1) for k in range(CENTRES)]).filter("lo != hi")
+    plain = [F.struct(*[F.col(f"o{k}.{c}").alias(c) for c in fields]) for k in range(CENTRES)]
+    centres = lists.select("token", F.explode(F.array_distinct(F.array(*plain))).alias("o"))
+    tries = live.join(centres, "token").filter((F.col("comp") != F.col("o.comp")) & near("n", "o.n"))
+    counted = tries.groupBy("cls", F.col("o.cls").alias("mate")).agg(F.sum(F.least("w", "o.w")).alias("c"), F.min(needed("n", "l", "o.n", "o.l")).alias("need")).filter("c >= need")
+    counted = counted.select("cls", "mate", "c", F.least("cls", "mate").alias("a"), F.greatest("cls", "mate").alias("b"))
+    if done is not None:
+        counted = counted.join(done, ["a", "b"], "left_anti")
+    best = Window.partitionBy("cls").orderBy(F.col("c").desc(), "mate")
+    return counted.withColumn("k", F.row_number().over(best)).filter(F.col("k") <= MATES).select("a", "b").distinct()
+
+
+def cross_pairs(live: DataFrame, done: DataFrame | None) -> DataFrame:
+    """Every pair of different components that shares enough prefix tokens and is not done.
+
+    A pair is found by its first common token: a link of sizes n <= m needs o common tokens, of which o - 1 are behind the first
+    in both sets, so its places are at most n - o + 1 and m - o + 1. Rare tokens come first: sets with too many tokens of their
+    own have no common ones there and make no rows. Found pairs then count their shared prefix tokens.
+    """
+    whole = 100 + PERCENT
+    lively = live.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo != hi").select("token")
+    first = live.filter(f"p <= n - cast(ceil({PERCENT} * cast(n as long) / 100.0) as long) + 1").join(lively, "token").select("token", "comp", "cls", "n", "p")
+    small = first.filter(f"p <= n - ({2 * PERCENT} * cast(n as long) + {whole - 1}) div {whole} + 1")
+    other = first.select("token", *[F.col(c).alias(f"{c}2") for c in ("comp", "cls", "n", "p")])
+    o = f"({PERCENT} * (cast(n as long) + n2) + {whole - 1}) div {whole}"
+    places = F.expr(f"p <= n - {o} + 1 and p2 <= n2 - {o} + 1")
+    ordered = F.expr("n < n2 or (n = n2 and cls < cls2)")
+    rows = small.join(other, (small["token"] == other["token"]) & ordered & (F.col("comp") != F.col("comp2")) & near("n", "n2") & places)
+    found = rows.select(F.least("cls", "cls2").alias("a"), F.greatest("cls", "cls2").alias("b")).distinct()
+    if done is not None:
+        found = found.join(done, ["a", "b"], "left_anti")
+    prefixes = live.groupBy("cls").agg(F.min("n").alias("n"), F.min("l").alias("l"), F.map_from_entries(F.collect_list(F.struct("token", "w"))).alias("at"))
+    mate = prefixes.select(F.col("cls").alias("b"), F.col("n").alias("n2"), F.col("l").alias("l2"), F.col("at").alias("at2"))
+    both = found.join(prefixes.withColumnRenamed("cls", "a"), "a").join(mate, "b")
+    shared = F.aggregate(F.array_intersect(F.map_keys("at"), F.map_keys("at2")), F.lit(0), lambda c, t: c + F.least(F.element_at("at", t), F.element_at("at2", t)))
+    return both.filter(shared >= needed("n", "l", "n2", "l2")).select("a", "b")
 
 
 def join_documents(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     """(doc_id, n_shingles, component_id) of every row."""
     profiled = cut(profile(docs))
     rows = profiled.filter("kind = 0").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("key").alias("cls"))
-    raw = postings(docs, hot_table(profiled))
-    group = Window.partitionBy("token", "salt")
-    shared = cut(raw.repartition("token", "salt").withColumn("lo", F.min("cls").over(group)).withColumn("hi", F.max("cls").over(group)).filter("salt >= 0 or lo != hi").select("token", "salt", "cls", "n", "l").distinct())
-    nodes = cut(shared.select("cls").distinct())
+    lists = merged_lists(postings(docs, hot_table(profiled)))
+    nodes = cut(lists.select("cls").distinct())
     comp = nodes.withColumn("comp", F.col("cls"))
     first = rows.filter("cls != 0").groupBy("cls").agg(F.min("doc_id").alias("id"))
     done = links = None
     for k in range(rounds + 1):
-        live = shared.join(comp, "cls") if k else shared.withColumn("comp", F.col("cls"))
-        pairs = star_pairs(live) if k < rounds else cross_pairs(live)
-        if done is not None:
-            pairs = pairs.join(done, ["a", "b"], "left_anti")
-        pairs = cut(pairs)
+        if k:
+            live = lists.join(comp.join(comp.groupBy("comp").agg(F.count(F.lit(1)).alias("members")), "comp"), "cls")
+        else:
+            live = lists.withColumn("comp", F.col("cls")).withColumn("members", F.lit(1).cast("long"))
+        pairs = cut(star_pairs(live, done, k) if k < rounds else cross_pairs(live, done))
         asked = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
         sets = cut(sets_of(docs, first.join(asked, "cls", "left_semi").select("id")))
         tested = cut(linked(pairs, sets))
