@@ -103,6 +103,30 @@ def test_forest_recall_and_cases(spark, data):
     assert neighbours.search(odd).count() == 0
 
 
+def vector_frame(spark, x):
+    import pyarrow as pa
+
+    return spark.createDataFrame(pa.table({"vec_id": pa.array(range(len(x)), pa.int64()), "embedding": pa.array(list(x), pa.list_(pa.float64()))})).repartition(8)
+
+
+def recall(got, x, every):
+    by = collections.defaultdict(set)
+    for r in got:
+        by[r.query_id].add(r.vec_id)
+    hits = 0
+    for q in range(0, len(x), every):
+        s = x @ x[q]
+        s[q] = -np.inf
+        hits += len(set(np.argpartition(-s, 20)[:20].tolist()) & by[q])
+    return hits / (20 * len(range(0, len(x), every)))
+
+
+def test_forest_recall_where_few_are_compared(spark):
+    x = np.random.default_rng(6).standard_normal((100_000, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    assert recall(neighbours.search(vector_frame(spark, x), every=2500).collect(), x, 2500) >= 0.9
+
+
 def test_quality_held_out(spark, data, odd, empty):
     folder = data.replace("sf0.001", "sf0.01")
     d, labels = spark.read.parquet(f"{folder}/documents.parquet"), spark.read.parquet(f"{folder}/labels.parquet")
