@@ -6,8 +6,9 @@ nodes reached together hold at least `breadth` vectors; those are compared exact
 reduced to the angle by one more coordinate that brings all indexed vectors to the largest norm.
 
 The sorted arrays are kept in shards: all strings of one tree with one root prefix, so that a query visits one shard
-a tree whatever the size of the table. Root prefixes that hold too many strings are split into blocks by vector, and their
-queries visit every block (counts and candidates simply add up). Equal vectors are one class with its smallest ids; what
+a tree unless it has to ascend above the root prefix: then it visits every shard below its stop level. Root prefixes that
+hold too many strings are split into blocks by vector, and their queries visit every block. Counts and candidates simply
+add up over blocks and shards, so the shards' size never changes a result. Equal vectors are one class with its smallest ids; what
 a query can return of a class is bounded, so a vector shared by a third of the rows costs no more than any other.
 
 Defined cases: vectors that are null, empty, zero or hold null or non-finite components take no part, neither as queries
@@ -105,7 +106,7 @@ def node_bounds(codes: np.ndarray, wanted: np.ndarray, bits: int, level: int | n
 def search(vectors: DataFrame, k: int = 20, every: int = 20, trees: int = TREES, bits: int = BITS, breadth: int | None = None, shard: int = SHARD) -> DataFrame:
     """(query_id, rank, vec_id, score): the k nearest found for every row whose vec_id is divisible by `every`.
 
-    The breadth follows the number of indexed vectors unless it is given.
+    The breadth follows the number of indexed vectors unless it is given; it is never too small for k candidates.
     """
     rows = usable(vectors)
     classes = cut(classes_of(rows, k + 1))
@@ -114,28 +115,40 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, trees: int = TREES,
     if not n:
         return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     breadth = max(BREADTH, math.ceil(SHARE * n)) if breadth is None else breadth
+    breadth = max(breadth, trees * (k + 1))  # so one tree alone gives k vectors beside the query
     root = min(bits, max(0, math.ceil(math.log2(n / shard))))
     queries = rows.filter(F.col("vec_id") % every == 0).join(classes.select("cid", "embedding"), "embedding").select("vec_id", "cid", "embedding")
     queries = cut(queries)
     asked = queries.groupBy("cid").agg(F.first("embedding").alias("embedding"))
 
     items = hash_strings(classes, dim, top, trees, bits, root, False)
-    blocks = cut(items.groupBy("tree", "root").agg(F.ceil(F.count(F.lit(1)) / (2 * shard)).cast("int").alias("n_blocks")))
-    items = items.join(blocks, ["tree", "root"]).withColumn("block", F.pmod(F.xxhash64("cid"), F.col("n_blocks")).cast("int")).drop("n_blocks")
-    sought = hash_strings(asked, dim, top, trees, bits, root, True).join(blocks, ["tree", "root"]).withColumn("block", F.explode(F.sequence(F.lit(0), F.col("n_blocks") - 1))).drop("n_blocks")
+    blocks = cut(items.groupBy("tree", "root").agg(F.count(F.lit(1)).alias("n")).withColumn("n_blocks", F.ceil(F.col("n") / (2 * shard)).cast("int")))
+    items = items.join(blocks.drop("n"), ["tree", "root"]).withColumn("block", F.pmod(F.xxhash64("cid"), F.col("n_blocks")).cast("int")).drop("n_blocks")
+    hashed = hash_strings(asked, dim, top, trees, bits, root, True)
+    all_blocks = F.explode(F.sequence(F.lit(0), F.col("n_blocks") - 1))
+    sought = hashed.drop("vec").join(blocks, ["tree", "root"]).withColumn("block", all_blocks).drop("n", "n_blocks")
     shards = items.groupBy("tree", "root", "block")
     levels = range(root, bits + 1)
 
     def profile(inside: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
         codes, wanted = np.sort(inside["code"].to_numpy(np.int64)), q["code"].to_numpy(np.int64)
         counts = np.stack([hi - lo for lo, hi in (node_bounds(codes, wanted, bits, level) for level in levels)], axis=1) if len(q) else np.empty((0, len(levels)), np.int64)
-        return pd.DataFrame({"cid": q["cid"], "counts": list(counts)})
+        return pd.DataFrame({"cid": q["cid"], "counts": pd.Series(list(counts), dtype=object)})
 
-    depth = shards.cogroup(sought.drop("vec").groupBy("tree", "root", "block")).applyInPandas(profile, "cid long, counts array<bigint>")
+    depth = shards.cogroup(sought.groupBy("tree", "root", "block")).applyInPandas(profile, "cid long, counts array<bigint>")
     sums = depth.groupBy("cid").agg(*[F.sum(F.element_at("counts", i + 1)).alias(f"c{i}") for i in range(len(levels))])
     # all trees stop at one level: the deepest whose nodes together hold the breadth
-    stop = F.coalesce(*[F.when(F.col(f"c{i}") >= breadth, F.lit(levels[i])) for i in reversed(range(len(levels)))], F.lit(root))
-    reached = cut(sums.select("cid", stop.cast("int").alias("level")))
+    stop = F.coalesce(*[F.when(F.col(f"c{i}") >= breadth, F.lit(levels[i])) for i in reversed(range(len(levels)))])
+    reached = cut(asked.select("cid").join(sums, "cid", "left").select("cid", stop.cast("int").alias("level")))
+    prefix = F.expr(f"shiftright(root, {root} - level)")
+    if root:  # above the root prefixes the counts are sums over shards
+        upper = F.explode(F.sequence(F.lit(0), F.lit(root - 1)))
+        sizes = blocks.withColumn("level", upper).groupBy("tree", "level", prefix.alias("prefix")).agg(F.sum("n").alias("n"))
+        thin = hashed.join(reached.filter("level is null").select("cid"), "cid").select("cid", "tree", "root", upper.alias("level")).withColumn("prefix", prefix)
+        held = thin.join(sizes, ["tree", "level", "prefix"]).groupBy("cid", "level").agg(F.sum("n").alias("n"))
+        higher = held.filter(F.col("n") >= breadth).groupBy("cid").agg(F.max("level").alias("higher"))
+        reached = cut(reached.join(higher, "cid", "left").select("cid", F.coalesce("level", "higher").alias("level")))
+    reached = reached.select("cid", F.coalesce("level", F.lit(0)).alias("stop"))
 
     def nearest(inside: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
         out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
@@ -144,7 +157,7 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, trees: int = TREES,
             codes, ids = inside["code"].to_numpy(np.int64), inside["cid"].to_numpy(np.int64)
             x = np.frombuffer(b"".join(inside["vec"]), np.float64).reshape(len(ids), -1)
             wanted = np.frombuffer(b"".join(q["vec"]), np.float64).reshape(len(q), -1)
-            lo, hi = node_bounds(codes, q["code"].to_numpy(np.int64), bits, q["level"].to_numpy(np.int64))
+            lo, hi = node_bounds(codes, q["code"].to_numpy(np.int64), bits, q["stop"].to_numpy(np.int64))
             for i, cid in enumerate(q["cid"].to_numpy(np.int64)):
                 a, b = lo[i], hi[i]
                 if a == b:
@@ -158,7 +171,10 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, trees: int = TREES,
         columns = [np.concatenate(c) for c in zip(*out)] if out else [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0)]
         return pd.DataFrame(dict(zip(("cid", "found", "score"), columns)))
 
-    sought = sought.join(reached, "cid")
+    # a query goes to its own root shard, or to all shards that share its prefix at a stop above it
+    places = blocks.select("tree", "root", "n_blocks", F.explode(F.sequence(F.lit(0), F.lit(root))).alias("level")).withColumn("prefix", prefix).withColumn("block", all_blocks).drop("n_blocks")
+    sought = hashed.join(reached, "cid").withColumn("level", F.least("stop", F.lit(root))).withColumn("prefix", prefix).drop("root").join(places, ["tree", "level", "prefix"])
+    sought = sought.select("tree", "root", "block", "cid", "code", "vec", "stop")
     hits = shards.cogroup(sought.groupBy("tree", "root", "block")).applyInPandas(nearest, "cid long, found long, score double")
     best = Window.partitionBy("cid").orderBy(F.col("score").desc(), "found")
     hits = hits.groupBy("cid", "found").agg(F.max("score").alias("score")).withColumn("_r", F.row_number().over(best)).filter(F.col("_r") <= k + 1)

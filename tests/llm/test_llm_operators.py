@@ -127,6 +127,18 @@ def test_forest_recall_where_few_are_compared(spark):
     assert recall(neighbours.search(vector_frame(spark, x), every=2500).collect(), x, 2500) >= 0.9
 
 
+def test_forest_ascends_above_its_shards(spark):
+    x = np.random.default_rng(7).standard_normal((3000, 16))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    x[1] *= 1000  # moves all indexed vectors to one side of many planes
+    df = vector_frame(spark, x)
+    got = neighbours.search(df, every=50, breadth=600, shard=64).collect()
+    assert collections.Counter(r.query_id for r in got) == {q: 20 for q in range(0, 3000, 50)}
+    assert recall(neighbours.search(df, every=50, breadth=24 * 3000, shard=64).collect(), x, 50) == 1.0
+    whole = neighbours.search(df, every=50, breadth=600, shard=3000).collect()
+    assert sorted(map(tuple, got)) == sorted(map(tuple, whole))
+
+
 def test_quality_held_out(spark, data, odd, empty):
     folder = data.replace("sf0.001", "sf0.01")
     d, labels = spark.read.parquet(f"{folder}/documents.parquet"), spark.read.parquet(f"{folder}/labels.parquet")
