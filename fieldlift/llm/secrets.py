@@ -1,14 +1,14 @@
 """Secret scans: pattern candidates, filtered by a random forest, with DataFrame functions only.
 
 Candidates are assignments to a telling name, private key heads and long runs of key-like characters with a digit.
-Each distinct candidate of a text gets features from its length, character classes and their transitions, dictionary
+Each place of a candidate gets features from its length, character classes and their transitions, dictionary
 coverage, path signs and the words beside it. A random forest trained from labelled findings (generated here from a seed; own
 findings can be given) votes on each; its trees become conditional expressions, so the scan is one narrow projection
 without shuffle, whatever the skew of the documents.
 
 Defined cases: null and empty texts have no candidates, score 0, and stay as they are; repeated rows give repeated results;
-a candidate that occurs several times in a text is judged once, by its first place, and replaced everywhere; texts are
-scanned whole; an empty table gives an empty result; extra columns pass through.
+a value that occurs several times in a text is judged at each of its places, counts once with its best score and that place's
+kind, and is replaced everywhere; texts are scanned whole; an empty table gives an empty result; extra columns pass through.
 """
 
 from __future__ import annotations
@@ -24,9 +24,11 @@ from pyspark.sql import functions as F
 
 #: Candidate patterns.
 NAMES = r"(?i:password|passwd|pwd|passphrase|secret|token|api[_-]?key|access[_-]?key|auth[_-]?key|private[_-]?key|client[_-]?secret)"
-ASSIGNED = NAMES + r"""["']?\s{0,2}[=:]\s{0,2}["']?[^\s"'<>,;]{6,}"""
+GIVEN = NAMES + r"""[A-Za-z0-9_]*+["']?\s{0,2}[=:]\s{0,2}["']?"""
+VALUE = r"""[^\s"'<>,;]{6,}"""
+ASSIGNED = GIVEN + VALUE
 KEY_HEAD = r"-----BEGIN [A-Z ]{0,24}PRIVATE KEY-----"
-RUN = r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_-]*[0-9])[A-Za-z0-9+/_-]{16,}={0,2}(?![A-Za-z0-9+/_-])"
+RUN = r"(?<![A-Za-z0-9+/_-])(?=[A-Za-z+/_-]*[0-9])[A-Za-z0-9+/_-]{16,}={0,2}(?![A-Za-z0-9+/_-])"
 CANDIDATE = f"{ASSIGNED}|{KEY_HEAD}|{RUN}"
 #: Prefixes of issued keys, words that stand for values, words beside harmless strings, common words.
 ISSUED = r"^(?:AKIA|ASIA)[0-9A-Z]{16}$|^gh[pousr]_[A-Za-z0-9]{20,}|^sk[-_][A-Za-z0-9_-]{16,}|^xox[abprs]-|^AIza[0-9A-Za-z_-]{30,}|^eyJ[A-Za-z0-9_-]{16,}|^glpat-|-----BEGIN"
@@ -45,7 +47,7 @@ def share(text: Column, pattern: str) -> Column:
 
 def value_of(candidate: Column) -> Column:
     """The secret part: what is assigned, or the whole run."""
-    assigned = F.regexp_extract(candidate, rf"""^{NAMES}["']?\s{{0,2}}[=:]\s{{0,2}}["']?(.+)$""", 1)
+    assigned = F.regexp_extract(candidate, f"^{GIVEN}({VALUE})$", 1)
     return F.when(assigned != "", assigned).otherwise(candidate)
 
 
@@ -148,19 +150,38 @@ def vote(forest: list[tuple], x: Column) -> Column:
     return total / len(forest)
 
 
-def judge(text: Column, forest: list[tuple]) -> Column:
-    """array<struct<value, kind, score>> of a text's distinct candidates, in order of first appearance."""
-    found = F.array_distinct(F.regexp_extract_all(text, F.lit(CANDIDATE), F.lit(0)))
+def bound(value: Column, body) -> Column:
+    """body(value) with value computed once; inside other lambdas it would be computed for each element."""
+    return F.transform(F.array(value), body).getItem(0)
+
+
+def heads(rows: Column) -> Column:
+    """The first struct of each value in sorted structs."""
+    return bound(F.array_sort(rows), lambda s: F.filter(s, lambda r, i: (i == 0) | (F.get(s, i - 1)["value"] != r["value"])))
+
 
-    def finding(c: Column) -> Column:
-        at = F.instr(text, c)
-        before = F.substring(text, F.greatest(at - 24, F.lit(1)), F.least(F.lit(24), at - 1))
-        after = F.substring(text, at + F.length(c), F.lit(16))
+def judge(text: Column, forest: list[tuple]) -> Column:
+    """array<struct<value, kind, score>> of a text's distinct values, each with the best of its places, in order of first appearance."""
+    places = F.struct(F.regexp_extract_all(text, F.lit(CANDIDATE), F.lit(0)).alias("found"), F.split(text, CANDIDATE, -1).alias("between"))
+
+    def finding(s: Column, c: Column, i: Column) -> Column:
+        part = lambda name, k: F.coalesce(F.get(s[name], i + k), F.lit(""))
+        # a candidate has at least 10 characters, so three before and two after it cover the words beside it
+        before = F.concat(part("found", -3), F.right(part("between", -2), F.lit(24)), part("found", -2), F.right(part("between", -1), F.lit(24)), part("found", -1), F.right(part("between", 0), F.lit(24)))
+        after = F.concat(F.left(part("between", 1), F.lit(16)), part("found", 1), F.left(part("between", 2), F.lit(16)), part("found", 2))
         kind = F.when(c.rlike(ISSUED), "issued").when(c.rlike(f"^(?:{ASSIGNED})"), "assigned").otherwise("run")
-        return F.struct(value_of(c).alias("value"), kind.alias("kind"), feature_array(c, before, after).alias("x"))
+        return F.struct(value_of(c).alias("value"), kind.alias("kind"), feature_array(c, F.right(before, F.lit(24)), F.left(after, F.lit(16))).alias("x"), i.alias("at"))
+
+    found = bound(places, lambda s: F.transform(s["found"], lambda c, i: finding(s, c, i)))
+    scored = F.transform(found, lambda f: F.struct(f["value"].alias("value"), f["kind"].alias("kind"), vote(forest, f["x"]).alias("score"), f["at"].alias("at")))
+
+    def best(all_places: Column) -> Column:
+        first = heads(F.transform(all_places, lambda f: F.struct(f["value"].alias("value"), f["at"].alias("at"))))
+        top = heads(F.transform(all_places, lambda f: F.struct(f["value"].alias("value"), (-f["score"]).alias("s"), f["at"].alias("at"), f["kind"].alias("kind"))))
+        once = F.array_sort(F.zip_with(first, top, lambda a, b: F.struct(a["at"].alias("at"), a["value"].alias("value"), b["kind"].alias("kind"), (-b["s"]).alias("score"))))
+        return F.transform(once, lambda f: F.struct(f["value"].alias("value"), f["kind"].alias("kind"), f["score"].alias("score")))
 
-    scored = F.transform(F.transform(found, finding), lambda f: F.struct(f["value"].alias("value"), f["kind"].alias("kind"), vote(forest, f["x"]).alias("score")))
-    return F.when(text.rlike(CANDIDATE), scored).otherwise(F.array().cast("array<struct<value:string,kind:string,score:double>>"))
+    return F.when(text.rlike(CANDIDATE), bound(scored, best)).otherwise(F.array().cast("array<struct<value:string,kind:string,score:double>>"))
 
 
 def scan(docs: DataFrame, findings: DataFrame | None = None, limit: float = 0.5) -> DataFrame:
