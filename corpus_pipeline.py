@@ -26,13 +26,9 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_copies_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component, the one with the smallest doc_id; of repeated ids one row."""
+    """One document of each component, the one with the smallest doc_id; repeated and null ids are told apart by their sets."""
     ship(spark)
-    named = near_copies.join_documents(docs)
-    # repeated rows of one doc_id with different texts are in components of their own; any that names itself stays
-    keep = named.filter(F.col("doc_id").isNull() | (F.col("component_id") == F.col("doc_id"))).select(F.col("doc_id").alias("_id")).distinct()
-    kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep["_id"]), "left_semi")
-    return near_copies.first_rows(kept)
+    return near_copies.first_of_components(docs)
 
 
 def secrets_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

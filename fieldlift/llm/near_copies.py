@@ -28,6 +28,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 from pyspark.sql.window import Window
 
 from .common import cut, slices, utf8
@@ -335,8 +336,8 @@ def cross_pairs(live: DataFrame, done: DataFrame | None) -> DataFrame:
     return both.filter(shared >= needed("n", "l", "n2", "l2")).select("a", "b")
 
 
-def join_documents(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
-    """(doc_id, n_shingles, component_id) of every row."""
+def place_classes(docs: DataFrame, rounds: int = ROUNDS) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, n_shingles, cls) of every row; (cls, least, comp) of every set that isn't empty, least being its smallest doc_id."""
     profiled = cut(profile(docs))
     rows = profiled.filter("kind = 0").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("key").alias("cls"))
     lists = merged_lists(postings(docs, hot_table(profiled)))
@@ -360,19 +361,45 @@ def join_documents(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
         if fresh.limit(1).count():
             comp = cut(components(nodes, links))
     of_class = rows.filter("cls != 0").groupBy("cls").agg(F.min("doc_id").alias("least"))
-    placed = of_class.join(comp, "cls", "left").withColumn("comp", F.coalesce("comp", "cls"))
+    return rows, of_class.join(comp, "cls", "left").withColumn("comp", F.coalesce("comp", "cls"))
+
+
+def join_documents(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
+    """(doc_id, n_shingles, component_id) of every row."""
+    rows, placed = place_classes(docs, rounds)
     named = placed.join(placed.groupBy("comp").agg(F.min("least").alias("component_id")), "comp").select("cls", "component_id")
     return rows.join(named, "cls", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
-def first_rows(docs: DataFrame) -> DataFrame:
-    """One row for each doc_id (the first by text and hash of the rest); rows without an id stay.
+def with_class(docs: DataFrame) -> DataFrame:
+    """docs with the key of each row's set in column _cls."""
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shingle = Shingler()
+        for batch in batches:
+            for part in slices(batch, "text", 4 << 20):
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array([set_key(shingle(r)) for r in utf8(part.column(at))], pa.int64())], [*part.schema.names, "_cls"])
+
+    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField("_cls", LongType())]))
+
+
+def first_of_components(docs: DataFrame) -> DataFrame:
+    """One row of each component: smallest doc_id (null last), then smallest class key, then the first by text and rest.
 
-    Only ids that occur twice or more take part in the ordering, so a table of unique ids is not shuffled by text.
+    Sets without words link with nothing: one of their rows stays for each doc_id, and all of those without an id.
+    A doc_id that occurs once names its row; only for repeated and null ids the rows' class keys are needed.
     """
-    repeated = docs.filter("doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("_k")).filter("_k > 1").select("doc_id")
+    rows, placed = place_classes(docs)
+    best = placed.groupBy("comp").agg(F.min(F.struct(F.col("least").isNull().alias("none"), "least", "cls")).alias("w"))
+    blank = rows.filter("cls = 0").select(F.col("doc_id").alias("_id"), F.col("cls").alias("_key")).distinct()
+    keep = cut(best.select(F.col("w.least").alias("_id"), F.col("w.cls").alias("_key")).union(blank))
+    repeated = rows.filter("doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("_k")).filter("_k > 1").select("doc_id")
     names = docs.columns
-    once = docs.join(repeated, "doc_id", "left_anti").select(*names)
-    order = Window.partitionBy("doc_id").orderBy(F.xxhash64(F.coalesce("text", F.lit(""))), *[F.col(f"`{c}`") for c in names if c not in ("doc_id", "text")])
-    again = docs.join(repeated, "doc_id", "left_semi").withColumn("_first", F.row_number().over(order)).filter("_first = 1").select(*names)
-    return once.unionByName(again)
+    once = docs.join(keep.select(F.col("_id").alias("doc_id")), "doc_id", "left_semi").join(repeated, "doc_id", "left_anti").select(*names)
+    keyed = with_class(docs.join(repeated, "doc_id", "left_semi").select(*names).unionByName(docs.filter("doc_id is null")))
+    nameless = keyed.filter("doc_id is null and _cls = 0").select(*names)
+    order = Window.partitionBy("doc_id", "_cls").orderBy(F.xxhash64(F.coalesce("text", F.lit(""))), *[F.col(f"`{c}`") for c in names if c not in ("doc_id", "text")])
+    again = keyed.filter("doc_id is not null or _cls != 0").withColumn("_first", F.row_number().over(order)).filter("_first = 1")
+    again = again.join(keep, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_cls") == F.col("_key")), "left_semi").select(*names)
+    return once.unionByName(nameless).unionByName(again)

@@ -29,3 +29,12 @@ def test_stages_take_effect(spark, data):
     t = bpe.WordCoder(bpe.default_vocabulary())
     want = sorted((r.doc_id, hashlib.sha256(t.encode_batch([r.text])[0]).hexdigest()) for r in mixed.collect())
     assert sorted((r.doc_id, r.ids_sha256) for r in coded) == want and np.all([r.n_tokens >= 0 for r in coded])
+
+
+def test_near_copies_of_repeated_and_null_ids(spark, data):
+    a, b, c, d, e = (" ".join(f"{k}{i}" for i in range(30)) for k in "abcde")
+    rows = [(5, a, "s"), (5, b, "s"), (5, b, "s"), (2, b + " x", "s"), (None, c, "s"), (None, c, "s"), (None, d, "t"), (7, d, "s"), (8, a, "s"), (9, e, "s"), (9, e + " y", "s"), (11, "", "s"), (11, None, "s"), (12, " ", "s"), (None, "", "s")]
+    got = p.near_copies_stage(spark, spark.createDataFrame(rows, "doc_id long, text string, source string"), data).collect()
+    texts = sorted((str(r.doc_id), r.text[:2]) for r in got if r.text and r.text.strip())
+    assert texts == [("2", "b0"), ("5", "a0"), ("7", "d0"), ("9", "e0"), ("None", "c0")]
+    assert sorted(str(r.doc_id) for r in got if not (r.text and r.text.strip())) == ["11", "12", "None"]
