@@ -2,7 +2,8 @@
 
 The standard library's streaming parser turns a page into block lines with the number of tags each holds.
 Lines inside menus, headers, footers, sidebars, notices, adverts, forms, scripts, styles or comments (by element or
-by class, id or role words) are never content. The smoothed text-to-tag ratio of the rest is split at
+by a class, id or role that is or starts with such a word) are never content. Class words never drop an article or main, nor an
+element that contains one; only readers' comments and related pages that come as articles stay out if the page has other articles. The smoothed text-to-tag ratio of the rest is split at
 its deviation; lines above it mark content regions. A region is the article or main element that holds such a line;
 in pages without one, the parent elements of the marked lines. All lines of a region are kept, short ones too.
 
@@ -27,35 +28,41 @@ VOID = frozenset("area base br col embed hr img input link meta param source tra
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr input".split())
 RAW = frozenset(("script", "style"))
 #: Words of class, id or role that mark page furniture.
-FURNITURE = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|sponsor\w*|promo\w*|banner|cookies?|consent|gdpr|notice|alert|popup|modal|nav\w*|menu\w*|breadcrumbs?|sidebar|side|aside|widget\w*|footer|header|masthead|comments?|replies|disqus|respond|share|sharing|social|related|recommend\w*|newsletter|subscribe|signup|login|form|search|pagination|pager|toolbar|copyright|contentinfo|navigation|complementary)(?:$|[\s_-])", re.I)
+FURNITURE = re.compile(r"(?:^|\s)(?:ads?|advert\w*|sponsor\w*|promo\w*|banner|cookies?|consent|gdpr|notice|alert|popup|modal|nav\w*|menu\w*|breadcrumbs?|sidebar|side|aside|widget\w*|footer|header|masthead|comments?|replies|disqus|respond|share|sharing|social|related|recommend\w*|newsletter|subscribe|signup|login|form|search|pagination|pager|toolbar|copyright|contentinfo|navigation|complementary)(?:$|[\s_-])", re.I)
+#: Those whose articles are other people's texts.
+OTHERS = re.compile(r"(?:^|\s)(?:comments?|replies|disqus|respond|related|recommend\w*)(?:$|[\s_-])", re.I)
 CLOSES = {"p": frozenset(("p",)), "li": frozenset(("li",)), "dt": frozenset(("dt", "dd")), "dd": frozenset(("dt", "dd")), "tr": frozenset(("tr", "td", "th")), "td": frozenset(("td", "th")), "th": frozenset(("td", "th")), "option": frozenset(("option",))}
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6 div p ul ol table article section main nav header footer aside form blockquote pre dl hr figure".split())
 ROOTS = frozenset(("article", "main"))
 
 
 class Lines(HTMLParser):
-    """Collects (text, tags, region root, parent, dropped) for each block line."""
+    """Collects (text, tags, region root, parent) for each block line.
+
+    Whether an element with a furniture word contains an article is known at the page's end, so parts of lines keep such elements.
+    """
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.stack: list[tuple[str, int, bool, int]] = []  # tag, element number, dropped, region root
-        self.lines: list[tuple[str, int, int, int]] = []
-        self.parts: list[str] = []
+        self.stack: list[tuple[str, int, bool, int, tuple[int, ...]]] = []  # tag, element number, dropped, region root, elements with furniture words
+        self.lines: list[tuple[list[tuple[str, tuple[int, ...]]], int, int, int]] = []
+        self.parts: list[tuple[str, tuple[int, ...]]] = []
+        self.holders: set[int] = set()
+        self.others: set[int] = set()
         self.tags = self.count = 0
 
-    def top(self) -> tuple[str, int, bool, int]:
-        return self.stack[-1] if self.stack else ("", 0, False, 0)
+    def top(self) -> tuple[str, int, bool, int, tuple[int, ...]]:
+        return self.stack[-1] if self.stack else ("", 0, False, 0, ())
 
     def end_line(self) -> None:
         if not self.parts:
             self.tags = 0
             return
-        text = " ".join("".join(self.parts).split())
-        if text and not self.top()[2]:
-            block = next((e for e in reversed(self.stack) if e[0] not in INLINE), ("", 0, False, 0))
+        if not self.top()[2]:
+            block = next((e for e in reversed(self.stack) if e[0] not in INLINE), ("", 0, False, 0, ()))
             parent = next((e[1] for e in reversed(self.stack) if e[0] not in INLINE and e[1] != block[1]), 0)
-            self.lines.append((text, self.tags, block[3], parent))
-        self.parts.clear()
+            self.lines.append((self.parts, self.tags, block[3], parent))
+        self.parts = []
         self.tags = 0
 
     def handle_starttag(self, tag, attrs):
@@ -74,10 +81,17 @@ class Lines(HTMLParser):
         if tag in VOID:
             return
         self.count += 1
-        _, _, dropped, root = self.top()
+        _, _, dropped, root, marks = self.top()
         words = " ".join(v for k, v in attrs if k in ("class", "id", "role") and v)
-        dropped = dropped or tag in DROPPED or bool(words and tag not in ("body", "html") and FURNITURE.search(words)) or any(k == "hidden" or k == "aria-hidden" and v == "true" for k, v in attrs)
-        self.stack.append((tag, self.count, dropped, self.count if tag in ROOTS and not root else root))
+        dropped = dropped or tag in DROPPED or any(k == "hidden" or k == "aria-hidden" and v == "true" for k, v in attrs)
+        if tag in ROOTS:
+            if not dropped:
+                self.holders.update(marks)
+        elif words and tag not in ("body", "html") and FURNITURE.search(words):
+            marks = (*marks, self.count)
+            if OTHERS.search(words):
+                self.others.add(self.count)
+        self.stack.append((tag, self.count, dropped, self.count if tag in ROOTS and not root else root, marks))
 
     def handle_startendtag(self, tag, attrs):
         self.handle_starttag(tag, attrs)
@@ -97,13 +111,19 @@ class Lines(HTMLParser):
 
     def handle_data(self, data):
         if not self.top()[2]:
-            self.parts.append(data)
+            self.parts.append((data, self.top()[4]))
 
     def finish(self) -> list[tuple[str, int, int, int]]:
         if self.rawdata and not (self.stack and self.stack[-1][0] in RAW):
             self.close()
         self.end_line()
-        return self.lines
+        lines = self.kept(self.holders - self.others)
+        return lines if any(line[2] for line in lines) else self.kept(self.holders)
+
+    def kept(self, excused: set[int]) -> list[tuple[str, int, int, int]]:
+        """The lines' texts outside furniture."""
+        texts = (" ".join("".join(d for d, marks in parts if excused.issuperset(marks)).split()) for parts, *_ in self.lines)
+        return [(t, *line[1:]) for t, line in zip(texts, self.lines) if t]
 
 
 def smooth(x: np.ndarray, radius: int = 2) -> np.ndarray:

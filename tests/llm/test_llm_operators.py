@@ -247,6 +247,18 @@ def test_main_text(spark):
     assert sorted((r.page_id, r.n_chars) for r in main_text.extract_pages(df).collect()) == [(1, 0), (2, 0), (3, 42), (3, 42)]
 
 
+def test_main_text_of_layout_classes():
+    said = "<p>The story of the page, told at some length.</p><p>Its end.</p>"
+    want = "The story of the page, told at some length. Its end."
+    for page in (
+        f'<div class="layout with-sidebar"><article>{said}</article></div>', f'<div class="content has-header">{said}</div>', f'<article class="post comments-open">{said}</article>',
+        f'<article class="post-12 category-social">{said}</article>', f'<div class="long-form">{said}</div>', f'<div id="page" class="sidebar-left"><main class="search">{said}</main></div>',
+        f'<main>{said}<div class="comments-area"><article class="comment-body"><p>A reader writes here.</p></article></div></main>', f'<div class="comments-open">x<article>{said}</article></div>',
+        f'<article><div class="share-bar">Share</div>{said}<span class="ads">Buy</span></article>',
+    ):
+        assert main_text.main_text(page) == want, page
+
+
 TEXTS = ["", " ", "Don't stop 123abc, été <|endoftext|> x<|startoftext|> ΣΑΣ", "a\nb\n\nc  d \n e%%% f'll", "日本語 🎉 ½²", "\x1cq\x85w ", "x" * 3000]
 
 
