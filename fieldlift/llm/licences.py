@@ -2,8 +2,9 @@
 
 A notice of length L may differ by up to k edits (k grows with L). By the pigeonhole principle one of k + 1
 pieces of the notice must then occur unchanged, so piece occurrences, found by plain substring search, are the
-only places where the regex library's bounded-error matching has to run. Matches must begin and end at words,
-may not change a digit (versions) and may not be another known notice.
+only places where the regex library's bounded-error matching has to run; there it tries every run of whole words of a fitting
+length. Matches may not change a digit (versions), may not be another known notice, may not put another licence's name in and may
+change at most one letter of a distinguishing word of up to 3 letters.
 
 Defined cases: null text is empty and gives 0 words, empty labels, null positions, score 0; only ASCII letters are
 lower-cased; repeated rows give repeated results; texts are scanned whole; columns of other names are not read.
@@ -25,6 +26,10 @@ BASE = {"under the mit license": "mit", "apache license version 2": "apache-2",
 OWN = {"gnu general public license version 3": "gpl-3"}
 #: Notices near one of the above that mean something else.
 OTHER = ("cc by nd", "cc by sa", "cc by na", "cc by no")
+#: Names of other licences and their authors: a changed word that is one of them is no misspelling.
+NAMES = frozenset("afl agpl apl apsl artistic bsd bsl cc0 cddl cecill cern cpal cpl ecl ecos efl epl eupl fdl gfdl gpl ibm ipl isc lgpl lppl miros mitre mpl mspl msrl ms ncsa nist nosl npl ntp odbl ofl osl php pil psf ql rpl sil sspl upl vim w3c wtfpl x11 zlib zpl".split())
+#: The words that tell a phrase's licence from others.
+TELLING = {"mit": ("mit",), "apache-2": ("apache",), "cc-by-nc": ("cc", "by", "nc"), "gpl-3": ("gnu", "general", "public")}
 #: Bytes that separate words become blanks; A-Z become a-z.
 _SPLIT = bytes(c if c >= 0x80 or chr(c).isdigit() or 97 <= c <= 122 else c + 32 if 65 <= c <= 90 else 32 for c in range(256))
 
@@ -40,7 +45,9 @@ class Notice:
         cuts = [round(i * len(phrase) / n) for i in range(n + 1)]
         self.seeds = [(phrase[a:b].encode(), a) for a, b in zip(cuts, cuts[1:])]
         self.exact = f" {phrase} ".encode()
-        self.fuzzy = regex.compile(rf"(?b)(?<![^ ])(?:{regex.escape(phrase, literal_spaces=True)}){{e<={self.k}}}(?![^ ])")
+        self.fuzzy = regex.compile(rf"(?b)(?:{regex.escape(phrase, literal_spaces=True)}){{e<={self.k}}}")
+        self.words = phrase.split()
+        self.short = [(i, regex.compile(rf"(?:{w}){{e<=1}}")) for i, w in enumerate(self.words) if len(w) <= 3 and w in TELLING[label]]
         self.digits = re.sub(r"\D", "", phrase)
 
     def places(self, text: bytes) -> list[int]:
@@ -52,36 +59,45 @@ class Notice:
         return found
 
     def near(self, text: bytes) -> list[tuple[int, int, int]]:
-        """(start, end, edits) of inexact matches, best first at each place."""
-        spans: list[list[int]] = []
+        """(start, end, edits) of inexact matches, the best at each start."""
+        reach = 4 * self.k  # an edit moves a place by at most one character of 4 bytes
+        tried: set[tuple[int, int]] = set()
+        out: dict[int, tuple[int, int]] = {}
         for seed, offset in self.seeds:
             at = text.find(seed)
             while at >= 0:
-                a, b = max(0, at - offset - self.k - 1), min(len(text), at - offset + len(self.phrase) + self.k + 1)
-                spans.append([a, b])
+                starts = word_starts(text, at - offset - reach, at - offset + reach)
+                for start in starts:
+                    for end in word_ends(text, start + len(self.phrase) - self.k, start + len(self.phrase) + reach):
+                        if (start, end) not in tried:
+                            tried.add((start, end))
+                            edits = self.edits(text[start:end].decode("utf-8", "replace"))
+                            if edits and edits < out.get(start, (0, 99))[1]:
+                                out[start] = (end, edits)
                 at = text.find(seed, at + 1)
-        out = {}
-        for a, b in merged(spans):
-            a, b = text.rfind(b" ", 0, a + 1) + 1 if a else 0, (text.find(b" ", b) if text.find(b" ", b) >= 0 else len(text))
-            piece = text[a:b].decode("utf-8", "replace")
-            for m in self.fuzzy.finditer(piece, overlapped=True):
-                edits, got = sum(m.fuzzy_counts), m.group()
-                if edits and got not in OTHER and got.strip() == got and re.sub(r"\D", "", got) == self.digits and self.exact.strip() not in got.encode():
-                    start = a + len(piece[: m.start()].encode())
-                    end = start + len(got.encode())
-                    if edits < out.get(start, (0, 99))[1]:
-                        out[start] = (end, edits)
         return [(s, e, k) for s, (e, k) in sorted(out.items())]
 
+    def edits(self, got: str) -> int:
+        """Edits of an inexact notice, 0 if the words are none."""
+        if abs(len(got) - len(self.phrase)) > self.k or got in OTHER or self.phrase in got or re.sub(r"\D", "", got) != self.digits:
+            return 0
+        m = self.fuzzy.fullmatch(got)
+        words = got.split(" ")
+        if not m or any(w in NAMES for w in words if w not in self.words):
+            return 0
+        if len(words) == len(self.words) and not all(near.fullmatch(words[i]) for i, near in self.short):
+            return 0
+        return sum(m.fuzzy_counts)
 
-def merged(spans: list[list[int]]) -> list[list[int]]:
-    out: list[list[int]] = []
-    for a, b in sorted(spans):
-        if out and a <= out[-1][1]:
-            out[-1][1] = max(out[-1][1], b)
-        else:
-            out.append([a, b])
-    return out
+
+def word_starts(text: bytes, a: int, b: int) -> list[int]:
+    """Places in a..b where a word starts; words are separated by single blanks, also before the first and after the last."""
+    return [i for i in range(max(1, a), min(b, len(text) - 2) + 1) if text[i - 1] == 32]
+
+
+def word_ends(text: bytes, a: int, b: int) -> list[int]:
+    """Places in a..b behind the end of a word."""
+    return [i for i in range(max(1, a), min(b, len(text) - 1) + 1) if text[i] == 32]
 
 
 def notices() -> list[Notice]:

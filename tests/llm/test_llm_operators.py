@@ -234,6 +234,17 @@ def test_licence_seeds_find_what_matching_finds():
                 assert n.places(text.encode()) or n.near(text.encode())
 
 
+def test_licence_hits_of_neighbours_and_other_names():
+    known = licences.notices()
+    spans = lambda t: [(x[0], x[1], x[3]) for x in licences.scan_text(t.encode(), known)[1]]
+    for t in ("under the mpl license", "under the nist license", "under the isc license", "under the mit 0 license", "cc by nd"):
+        assert spans(f"so {t} it is") == []
+    assert spans("apache licence vershon 2 apache license version 1") == [("apache-2", 0, 2)]
+    assert spans("under tge mkt license under the mitt license") == [("mit", 0, 2), ("mit", 4, 1)]
+    assert spans("ünder the mit license éé undér the mit license") == [("mit", 0, 1), ("mit", 5, 1)]
+    assert spans("under the mit license under the mit licence") == [("mit", 0, 0), ("mit", 4, 1)]
+
+
 PAGE = """<html><head><title>T</title><style>x{}</style></head><body><header><a href=/>Home</a></header><div class="cookie-notice">We use cookies</div>
 <nav><ul><li>A<li>B</ul></nav><article><h1>Head &amp; tail</h1><p>First <b>bo</b>ld   words.<p>Second<br>line.</article><aside>Ads</aside>
 <section id="comments"><p>Nice post, a rather long reader comment indeed</p></section><form><input value=q><button>Go</button></form><footer>foot</footer></body></html>"""
