@@ -2,7 +2,7 @@
 
 A payload is stored as the samples of a mono WAV, read back through the wave module and analysed from the
 stored samples. Landmarks are the strongest bins of each frequency band in each frame; each landmark is
-paired with the FAN next ones within REACH frames. A pair's hash (band bin, other bin, frame distance) is
+paired with the FAN next ones of later frames within REACH frames. A pair's hash (band bin, other bin, frame distance) is
 stored time-coded: frame << 32 | hash.
 
 Defined cases: null text is empty; the payload is zero-padded to a positive multiple of 64 bytes, so an empty
@@ -76,11 +76,13 @@ def fingerprint(samples: np.ndarray) -> np.ndarray:
     """Time-coded landmark pair hashes, ascending."""
     t, f = landmarks(samples)
     found = []
-    for k in range(1, FAN + 1):
-        dt = t[k:] - t[:-k]
-        near = (dt > 0) & (dt <= REACH)
-        code = (f[:-k][near] << 16) | (f[k:][near] << 8) | dt[near]
-        found.append((t[:-k][near] << 32) | code)
+    later = np.searchsorted(t, t, "right")  # the first landmark of a later frame
+    for k in range(FAN):
+        a = np.nonzero(later + k < len(t))[0]
+        b = later[a] + k
+        near = t[b] - t[a] <= REACH
+        a, b = a[near], b[near]
+        found.append((t[a] << 32) | (f[a] << 16) | (f[b] << 8) | (t[b] - t[a]))
     return np.sort(np.concatenate(found).astype(np.int64)) if found else np.empty(0, np.int64)
 
 
@@ -123,23 +125,19 @@ def read_media(stored: DataFrame) -> DataFrame:
 
 
 def media_digest(docs: DataFrame) -> DataFrame:
-    """The digest query: store, read back and summarise in one Python pass, so payloads never return to the JVM."""
+    """The digest query: summaries of what read_media gives for the stored column."""
 
     def make():
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            rows = []
-            for raw in utf8(batch.column(1)):
-                media = to_wav(pad(raw))
-                payload = from_wav(media)
-                prints = fingerprint(np.frombuffer(payload, np.uint8).astype(np.float32) - 128) if any(payload) else np.empty(0, np.int64)
-                rows.append((len(raw), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(media), hashlib.sha256(media).hexdigest(), f"{len(prints)}:{hashlib.sha256(prints.tobytes()).hexdigest()[:32]}"))
-            kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-            columns = [pa.array(c, k) for c, k in zip(zip(*rows) if rows else [[]] * 7, kinds)]
-            return pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), *columns], NAMES)
+            hashes = ["%d:%s" % (len(p), hashlib.sha256(np.asarray(p, "<i8").tobytes()).hexdigest()[:32]) for p in (x.values.to_numpy(zero_copy_only=False) for x in batch.column("fingerprint"))]
+            columns = [batch.column(k) for k in ("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256")]
+            return pa.RecordBatch.from_arrays([*columns, pa.array(hashes, pa.string())], NAMES)
 
         return step
 
-    return map_batches(docs.select("doc_id", "text"), make, SCHEMA, "text")
+    media, payload = F.col("media"), F.col("payload")
+    sizes = [F.length(payload).cast("long").alias("payload_bytes"), F.sha2(payload, 256).alias("payload_sha256"), "tail_crc32", F.length(media).cast("long").alias("media_bytes"), F.sha2(media, 256).alias("media_sha256")]
+    return map_batches(read_media(store_media(docs)).select("doc_id", "n_bytes", *sizes, "fingerprint"), make, SCHEMA, "payload_sha256")
 
 
 SCHEMA = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"

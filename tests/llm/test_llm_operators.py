@@ -103,6 +103,22 @@ def test_forest_recall_and_cases(spark, data):
     assert neighbours.search(odd).count() == 0
 
 
+def test_fingerprint_pairs_later_frames(monkeypatch):
+    # five landmarks of one frame, then one of the next: each of the five is paired with it
+    monkeypatch.setattr(media, "landmarks", lambda x: (np.array([0] * 5 + [1]), np.array([1, 5, 9, 17, 40, 70])))
+    assert media.fingerprint(np.zeros(1)).tolist() == sorted((b << 16) | (70 << 8) | 1 for b in (1, 5, 9, 17, 40))
+
+
+def test_media_digest_is_of_the_stored_column(odd):
+    stored = {(r.doc_id, r.n_bytes): r for r in media.read_media(media.store_media(odd)).collect()}
+    for r in media.media_digest(odd).collect():
+        s = stored[r.doc_id, r.n_bytes]
+        prints = np.array(s.fingerprint, "<i8")
+        assert (r.media_bytes, r.media_sha256, r.feature) == (len(s.media), hashlib.sha256(s.media).hexdigest(), f"{len(prints)}:{hashlib.sha256(prints.tobytes()).hexdigest()[:32]}")
+    plan = media.media_digest(odd)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("MapInArrow") == 3
+
+
 def vector_frame(spark, x):
     import pyarrow as pa
 
