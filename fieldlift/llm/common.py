@@ -30,6 +30,14 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
         sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="fieldlift-checkpoint-"))
 
 
+def free_name(df: DataFrame, wish: str) -> str:
+    """A column name that df does not have, whatever the case of its letters."""
+    taken = {c.lower() for c in df.columns}
+    while wish.lower() in taken:
+        wish += "_"
+    return wish
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Materialise in the shared folder: lost executors can't take it along, and later reads are stable."""
     ensure_checkpoint_dir(df.sparkSession)

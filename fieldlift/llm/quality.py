@@ -13,18 +13,19 @@ doc_id count as 0; texts are read whole; extra columns pass through unchanged.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
-from .common import slices, utf8
+from .common import free_name, slices, utf8
 
 #: Parameters: labelled rows sampled per label (the fit's bound), hashed features, latent rank, neighbours, sharpness of the similarity weight.
 SAMPLE, DIMS, RANK, NEAR, POWER = 2000, 4096, 48, 15, 8
-SCORE = "_quality_score"
 
 _OUTLINE = np.zeros(256, np.int64)
 for _a, _b, _code in ((65, 91, 1), (97, 123, 2), (48, 58, 3), (128, 256, 2)):
@@ -89,8 +90,28 @@ class Model:
         return np.clip(out, 0.0, 1.0)
 
 
+def learn(x: np.ndarray, y: np.ndarray, rank: int) -> Model:
+    """Frequency weights, latent directions and labelled latent points from features x (overwritten) and labels y."""
+    dims = x.shape[1]
+    if len(set(y.tolist())) < 2:
+        return Model(np.ones(dims, np.float32), np.empty((dims, 0), np.float32), np.empty((0, 0), np.float32), y, float(y.mean()) if len(y) else 1.0)
+    weights = np.log((1 + len(x)) / (1 + np.count_nonzero(x, axis=0))).astype(np.float32) + np.float32(0.5)
+    x *= weights
+    basis = np.random.default_rng(3).standard_normal((dims, min(rank + 8, *x.shape))).astype(np.float32)
+    for _ in range(5):
+        basis, _ = np.linalg.qr(x.T @ (x @ basis))
+    _, _, turn = np.linalg.svd(x @ basis, full_matrices=False)
+    directions = np.ascontiguousarray((basis @ turn.T)[:, :rank])
+    z = x @ directions
+    points = z / np.maximum(np.linalg.norm(z, axis=1, keepdims=True), 1e-9)
+    return Model(weights, directions, points.astype(np.float32), y, float(y.mean()))
+
+
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, dims: int = DIMS, rank: int = RANK) -> Model:
-    """Learns from at most `sample` labelled rows of each label, picked by a hash of the id; only their features reach the driver."""
+    """Learns from at most `sample` labelled rows of each label, picked by a hash of the id.
+
+    Their features meet in one executor task, whose input is bounded by the sample; only the small model reaches the driver.
+    """
     known = learnable(labels)
     order = [F.xxhash64("doc_id", F.lit(11)), F.col("doc_id")]
     picked = known.filter("quality = 0").orderBy(*order).limit(sample).unionByName(known.filter("quality = 1").orderBy(*order).limit(sample))
@@ -100,29 +121,28 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, dims: int = DI
             for part in slices(batch, "text", 4 << 20):
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array([features(r, dims).astype(np.float16).tobytes() for r in utf8(part.column(2))], pa.binary())], ["doc_id", "quality", "x"])
 
+    def solve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        x, y = np.zeros((2 * sample, dims), np.float32), []
+        for batch in batches:
+            for label, raw in zip(batch.column(1).to_pylist(), batch.column(2)):
+                x[len(y)] = np.frombuffer(raw.as_buffer(), np.float16)
+                y.append(label)
+        model = learn(x[: len(y)], np.array(y, np.float64), rank)
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(model)], pa.binary())], ["model"])
+
     # the picked ids are bounded by 2 * sample, hence the broadcast
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(picked), "doc_id").filter(F.length("text") > 0).select("doc_id", F.col("quality").cast("int").alias("quality"), "text")
-    got = rows.mapInArrow(run, "doc_id long, quality int, x binary").groupBy("doc_id").agg(F.min("quality").alias("quality"), F.min("x").alias("x")).orderBy("doc_id").limit(2 * sample).collect()
-    y = np.array([r["quality"] for r in got], np.float64)
-    if len(set(y)) < 2:
-        return Model(np.ones(dims, np.float32), np.empty((dims, 0), np.float32), np.empty((0, 0), np.float32), y, float(y.mean()) if len(y) else 1.0)
-    x = np.stack([np.frombuffer(r["x"], np.float16) for r in got]).astype(np.float32)
-    weights = np.log((1 + len(x)) / (1 + (x > 0).sum(axis=0))).astype(np.float32) + 0.5
-    weighted = x * weights
-    basis = np.random.default_rng(3).standard_normal((dims, min(rank + 8, *x.shape))).astype(np.float32)
-    for _ in range(5):
-        basis, _ = np.linalg.qr(weighted.T @ (weighted @ basis))
-    _, _, turn = np.linalg.svd(weighted @ basis, full_matrices=False)
-    directions = (basis @ turn.T)[:, :rank]
-    model = Model(weights, directions, np.empty((0, rank)), y, float(y.mean()))
-    model.points = model.latent(x).astype(np.float32)
-    return model
+    sampled = rows.mapInArrow(run, "doc_id long, quality int, x binary").groupBy("doc_id").agg(F.min("quality").alias("quality"), F.min("x").alias("x"))
+    got = sampled.repartition(1).sortWithinPartitions("doc_id").mapInArrow(solve, "model binary").first()
+    return pickle.loads(got["model"]) if got else learn(np.zeros((0, dims), np.float32), np.empty(0), rank)
 
 
-def score_documents(docs: DataFrame, model: Model) -> DataFrame:
-    """docs with the column SCORE appended; all other columns pass through."""
+def score_documents(docs: DataFrame, model: Model, name: str = "quality_score") -> DataFrame:
+    """docs with the score appended in a column of the given name; all other columns pass through."""
+    if name in docs.columns:
+        raise ValueError(f"the documents already have a column {name}")
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    names = [*docs.columns, SCORE]
+    names = [*docs.columns, name]
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -131,17 +151,16 @@ def score_documents(docs: DataFrame, model: Model) -> DataFrame:
             for part in slices(batch, "text", 4 << 20):
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(m.scores(utf8(part.column(at))), pa.float64())], names)
 
-    schema = docs.select("*", F.lit(0.0).alias(SCORE)).schema
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
 
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """(doc_id, held_out, score, predicted) of every document."""
-    model = fit(docs, labels)
-    scored = score_documents(docs.select("doc_id", "text"), model)
-    return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.col(SCORE).alias("score"), F.when(F.col(SCORE) >= 0.5, 1).otherwise(0).alias("predicted"))
+    scored = score_documents(docs.select("doc_id", "text"), fit(docs, labels), "score")
+    return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted"))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The documents that the classifier accepts, columns unchanged."""
-    return score_documents(docs, fit(docs, labels)).filter(F.col(SCORE) >= 0.5).drop(SCORE)
+    score = free_name(docs, "score")
+    return score_documents(docs, fit(docs, labels), score).filter(F.col(score) >= 0.5).drop(score)
