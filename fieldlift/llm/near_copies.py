@@ -1,18 +1,19 @@
 """N-gram Jaccard join with adaptive multi-match prefixes, and the connected components of its links.
 
 A document's set is its distinct 5-word shingles; two documents link when 100 * intersection >= 75 * union.
-All sets are put in one global token order, rarest first (hot tokens, found by local counts, come last). If two sets
-link, then for any l they share l tokens among their first size - ceil(0.75 * size) + l tokens. Each set picks
-its own l where reading its tokens' lists plus checking the candidates that l leaves is estimated to cost least;
-a pair is checked when it shares as many prefix tokens as the smaller of its two l, at places in both prefixes that leave
-room behind them for the common tokens that a link of the two sizes still needs.
+All sets are put in one global token order, rarest first: a count sketch of fixed size, summed over all tasks, estimates every
+token's frequency, so the order doesn't depend on how the rows are dealt. If two sets link, then for any l they share l tokens
+among their first size - ceil(0.75 * size) + l tokens. Each set picks its own l where reading its tokens' lists plus checking the
+candidates that l leaves is estimated to cost least; a pair is checked when it shares as many prefix tokens as the smaller of its
+two l, at places in both prefixes that leave room behind them for the common tokens that a link of the two sizes still needs.
+The sketch steers only the order; results are exact with any.
 
 Tokens whose lists hold the same sets are one token with a weight (told by a hash of the list; a collision only adds
 candidates), so copies of a passage or of a whole text are read once and not once for each shingle.
 
 Only links between different components can still matter, so the pairs of a token's list are never all made: rounds of
-stars verify exactly, for every set, a few promising sets of other components, with other centres in every round; the last
-round verifies every remaining pair between components. Equal sets are one class from the start.
+stars verify exactly, for every set, a few promising sets of other components, with other centres in every round, until a round
+links nothing; the last round verifies every remaining pair between components. Equal sets are one class from the start.
 
 Defined cases: A-Z are lower-cased, words are split at ASCII white space; fewer than 5 words are one shingle; null, empty and
 blank texts have an empty set and link with nothing; repeated rows and ids are rows (a repeated doc_id gives its row
@@ -21,6 +22,7 @@ each time); null doc_ids are kept and take part, but can't name a component; ext
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,15 +33,16 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 from pyspark.sql.window import Window
 
-from .common import cut, slices, utf8
+from .common import cut, free_name, slices, utf8
 
 #: Words of a shingle, similarity in hundredths.
 WORDS, PERCENT = 5, 75
-#: Parameters: largest l, tokens in the hot table (bounds the broadcast), local count that makes a token known,
-#: cost of verifying a candidate in units of reading a list entry, star rounds, centres of a list and mates of a set verified in a round.
-MOST, HOT, LOCAL, CHECK_COST, ROUNDS, CENTRES, MATES = 8, 1 << 16, 4, 20.0, 3, 6, 4
-#: Lists of hot tokens are dealt over so many salts.
-SALTS = 64
+#: Parameters: largest l, cost of verifying a candidate in units of reading a list entry, most star rounds, centres of a list and mates of a set verified in a round.
+MOST, CHECK_COST, ROUNDS, CENTRES, MATES = 8, 20.0, 4, 6, 4
+#: Count sketch: rows, cells of a row, cells of a shipped piece. Its size bounds what is broadcast (one byte a cell).
+SKETCH_ROWS, CELLS, PIECE = 2, 1 << 21, 1 << 14
+#: Lists of tokens estimated to be longer than LONG are dealt over so many salts.
+LONG, SALTS = 2048, 64
 #: Bits of the filter of wanted documents.
 FILTER_BITS = 1 << 23
 
@@ -86,62 +89,88 @@ def set_key(tokens: np.ndarray) -> int:
     return xxhash.xxh3_64_intdigest(tokens.tobytes()) >> 1 or 1
 
 
-def profile(docs: DataFrame) -> DataFrame:
-    """(kind, id, n, key): kind 0 is a document with its set's size and key, kind 1 a locally frequent token (id) and its count (n)."""
+def sketch_cells(tokens: np.ndarray) -> list[np.ndarray]:
+    """The cell of each token in each row of the sketch."""
+    mask = np.uint64(CELLS - 1)
+    return [((tokens >> np.uint64(21 * row + 1)) & mask).astype(np.int64) for row in range(SKETCH_ROWS)]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingle = Shingler()
-        kept: list[np.ndarray] = []
-        seen: set[int] = set()
-        size = 0
 
-        def frequent() -> pa.RecordBatch:
-            tokens, counts = np.unique(np.concatenate(kept), return_counts=True)
-            often = counts >= LOCAL
-            n = int(often.sum())
-            return pa.RecordBatch.from_arrays([pa.array(np.ones(n, np.int32)), pa.array(tokens[often].view(np.int64)), pa.array(counts[often].astype(np.int64)), pa.array(np.zeros(n, np.int64))], NAMES)
+def profile(docs: DataFrame) -> DataFrame:
+    """(kind, id, n, key, counts): kind 0 is a document with its set's size and key, kind 1 a piece (id) of a task's count sketch.
+
+    A task counts each of its sets once; counts are shipped as compressed 16-bit planes, saturated.
+    """
+    NAMES = ["kind", "id", "n", "key", "counts"]
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shingle, seen = Shingler(), set()
+        table = np.zeros(SKETCH_ROWS * CELLS, np.uint32)
         for batch in batches:
-            for part in slices(batch, "text", 4 << 20):
+            for part in slices(batch, "text", 2 << 20):
                 sets = [shingle(r) for r in utf8(part.column(1))]
                 keys = [set_key(s) for s in sets]
-                yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(sets), np.int32)), part.column(0).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys, pa.int64())], NAMES)
+                n = len(sets)
+                yield pa.RecordBatch.from_arrays([pa.array(np.zeros(n, np.int32)), part.column(0).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys, pa.int64()), pa.nulls(n, pa.binary())], NAMES)
+                fresh = []
                 for s, k in zip(sets, keys):
                     if len(s) and k not in seen:
                         seen.add(k)
-                        kept.append(s)
-                        size += len(s)
-                if size > 2_000_000:
-                    yield frequent()
-                    kept.clear()
-                    size = 0
-        if kept:
-            yield frequent()
+                        fresh.append(s)
+                if fresh:
+                    for row, cells in enumerate(sketch_cells(np.concatenate(fresh))):
+                        np.add.at(table, row * CELLS + cells, np.uint32(1))
+        pieces = [(k, p) for k, p in enumerate(table.reshape(-1, PIECE)) if p.any()]
+        if pieces:
+            n = len(pieces)
+            packed = [zlib.compress(b"".join((x & 255).astype(np.uint8).tobytes() for x in (q, q >> 8)), 1) for q in (np.minimum(p, 65535) for _, p in pieces)]
+            yield pa.RecordBatch.from_arrays([pa.array(np.ones(n, np.int32)), pa.array([k for k, _ in pieces], pa.int64()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.array(packed, pa.binary())], NAMES)
+
+    return docs.select("doc_id", "text").mapInArrow(run, "kind int, id long, n long, key long, counts binary")
 
-    NAMES = ["kind", "id", "n", "key"]
-    return docs.select("doc_id", "text").mapInArrow(run, "kind int, id long, n long, key long")
 
+class Frequencies:
+    """Estimated list lengths from the summed sketch; cells hold eighths of octaves."""
 
-def hot_table(profiled: DataFrame, most: int = HOT) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted hot tokens and their estimated list lengths: the `most` most frequent of the locally frequent ones."""
-    top = profiled.filter("kind = 1").groupBy("id").agg(F.sum("n").alias("n")).orderBy(F.col("n").desc(), "id").limit(most)
-    rows = top.agg(F.collect_list("id").alias("id"), F.collect_list("n").alias("n")).first()
-    tokens, counts = np.array(rows["id"], np.int64).view(np.uint64), np.array(rows["n"], np.int64)
-    order = np.argsort(tokens)
-    return tokens[order], counts[order]
+    def __init__(self, codes: np.ndarray, noise: float):
+        self.codes, self.noise = codes, noise
 
+    def __call__(self, tokens: np.ndarray) -> np.ndarray:
+        least = None
+        for row, cells in enumerate(sketch_cells(tokens)):
+            got = self.codes[row * CELLS + cells]
+            least = got if least is None else np.minimum(least, got)
+        return np.maximum(np.exp2(least / 8.0) - 1.0 - self.noise, 1.0)
 
-def choose_prefix(tokens: np.ndarray, hot: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray, int]:
+
+def frequencies(profiled: DataFrame) -> Frequencies:
+    """Sums the tasks' sketches piece by piece, streaming; what reaches the driver has the sketch's fixed size."""
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for k, raw in zip(batch.column(0).to_pylist(), batch.column(1)):
+                low, high = np.frombuffer(zlib.decompress(raw.as_buffer()), np.uint8).astype(np.int64).reshape(2, PIECE)
+                if k not in total:
+                    total[k] = np.zeros(PIECE, np.int64)
+                total[k] += low + (high << 8)
+        ids = sorted(total)
+        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([np.rint(8 * np.log2(total[k] + 1)).astype(np.uint8).tobytes() for k in ids], pa.binary()), pa.array([int(total[k].sum()) for k in ids], pa.int64())], ["id", "codes", "n"])
+
+    rows = profiled.filter("kind = 1").select("id", "counts").repartition("id").mapInArrow(add, "id long, codes binary, n long").collect()
+    codes = np.zeros(SKETCH_ROWS * CELLS, np.uint8)
+    for r in rows:
+        codes[r["id"] * PIECE : (r["id"] + 1) * PIECE] = np.frombuffer(r["codes"], np.uint8)
+    load = sum(r["n"] for r in rows) / (SKETCH_ROWS * CELLS)
+    return Frequencies(codes, load + 3 * load**0.5)
+
+
+def choose_prefix(tokens: np.ndarray, frequency: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
     """(prefix tokens in global order, their estimated list lengths, l) of one set."""
     n = len(tokens)
-    frequency = np.ones(n, np.int64)
-    if len(hot[0]):
-        at = np.minimum(np.searchsorted(hot[0], tokens), len(hot[0]) - 1)
-        frequency = np.where(hot[0][at] == tokens, hot[1][at], 1)
-    order = np.lexsort((tokens, frequency))
+    order = np.lexsort((tokens, np.log2(frequency).astype(np.int64)))  # octaves, so noise doesn't scatter equal tokens
     base = n - -(-PERCENT * n // 100)
     best, best_cost = 1, np.inf
-    lists = np.cumsum(frequency[order[: base + MOST]].astype(float))
+    lists = np.cumsum(frequency[order[: base + MOST]])
     for l in range(1, MOST + 1):
         if base + l > n:
             break
@@ -154,30 +183,35 @@ def choose_prefix(tokens: np.ndarray, hot: tuple[np.ndarray, np.ndarray]) -> tup
     return tokens[prefix], frequency[prefix], best
 
 
-def postings(docs: DataFrame, hot: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+def postings(docs: DataFrame, known: Frequencies) -> DataFrame:
     """(token, salt, cls, packed): prefix tokens of every set, each set once a task; packed holds size, place in the prefix and l."""
-    shared = docs.sparkSession.sparkContext.broadcast(hot)
+    shared = docs.sparkSession.sparkContext.broadcast(known)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingle, seen, table = Shingler(), set(), shared.value
+        shingle, seen, often = Shingler(), set(), shared.value
         for batch in batches:
             for part in slices(batch, "text", 1 << 20):
-                token, often, cls, packed = [], [], [], []
+                sets, keys = [], []
                 for raw in utf8(part.column(0)):
                     s = shingle(raw)
                     key = set_key(s)
-                    if not len(s) or key in seen:
-                        continue
-                    seen.add(key)
-                    t, f, l = choose_prefix(s, table)
+                    if len(s) and key not in seen:
+                        seen.add(key)
+                        sets.append(s)
+                        keys.append(key)
+                if not sets:
+                    continue
+                token, length, cls, packed = [], [], [], []
+                every = np.split(often(np.concatenate(sets)), np.cumsum([len(s) for s in sets])[:-1])
+                for s, f, key in zip(sets, every, keys):
+                    t, f, l = choose_prefix(s, f)
                     token.append(t)
-                    often.append(f)
+                    length.append(f)
                     cls.append(np.full(len(t), key, np.int64))
                     packed.append((len(s) << 32) + (np.arange(1, len(t) + 1, dtype=np.int64) << 4) + l)
-                if token:
-                    c = np.concatenate(cls)
-                    salt = np.where(np.concatenate(often) > 1, c % SALTS, -1).astype(np.int32)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(token).view(np.int64)), pa.array(salt), pa.array(c), pa.array(np.concatenate(packed))], ["token", "salt", "cls", "packed"])
+                c = np.concatenate(cls)
+                salt = np.where(np.concatenate(length) > LONG, c % SALTS, -1).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(token).view(np.int64)), pa.array(salt), pa.array(c), pa.array(np.concatenate(packed))], ["token", "salt", "cls", "packed"])
 
     return docs.select("text").mapInArrow(run, "token long, salt int, cls long, packed long")
 
@@ -195,7 +229,7 @@ def wanted_filter(ids: DataFrame) -> np.ndarray:
 
 
 def sets_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """(cls, tokens): sorted sets of the documents whose ids pass the filter, one row for each set."""
+    """(cls, tokens): sets of the documents whose ids pass the filter, one row for each set."""
     shared = docs.sparkSession.sparkContext.broadcast(wanted_filter(ids))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -204,37 +238,26 @@ def sets_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
             at = batch.column(0).to_numpy(zero_copy_only=False)
             batch = batch.filter(pa.array((bits[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1))
             for part in slices(batch, "text", 1 << 20):
-                out = []
+                keys, sets = [], []
                 for raw in utf8(part.column(1)):
                     s = shingle(raw)
                     key = set_key(s)
                     if len(s) and key not in seen:
                         seen.add(key)
-                        out.append((key, s.tobytes()))
-                if out:
-                    yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.binary())], ["cls", "tokens"])
+                        keys.append(key)
+                        sets.append(s.view(np.int64))
+                if keys:
+                    yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(sets, pa.list_(pa.int64()))], ["cls", "tokens"])
 
     rows = docs.select(F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(FILTER_BITS)).alias("h"), "text")
-    return rows.mapInArrow(run, "cls long, tokens binary").groupBy("cls").agg(F.first("tokens").alias("tokens"))
+    return rows.mapInArrow(run, "cls long, tokens array<bigint>").groupBy("cls").agg(F.first("tokens").alias("tokens"))
 
 
 def linked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """pairs (a, b) with the exact answer in column `link`."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            answer = []
-            for k in range(batch.num_rows):  # one pair at a time, so sets are not copied by the batch
-                x, y = (np.frombuffer(batch.column(c)[k].as_buffer(), np.uint64) for c in (2, 3))
-                if len(x) > len(y):
-                    x, y = y, x
-                at = np.minimum(np.searchsorted(y, x), len(y) - 1)
-                both = int((y[at] == x).sum())
-                answer.append(100 * both >= PERCENT * (len(x) + len(y) - both))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(answer, pa.bool_())], ["a", "b", "link"])
-
     full = pairs.join(sets.select(F.col("cls").alias("a"), F.col("tokens").alias("x")), "a").join(sets.select(F.col("cls").alias("b"), F.col("tokens").alias("y")), "b")
-    return full.select("a", "b", "x", "y").mapInArrow(run, "a long, b long, link boolean")
+    counted = full.select("a", "b", F.size(F.array_intersect("x", "y")).cast("long").alias("both"), (F.size("x") + F.size("y")).cast("long").alias("sizes"))
+    return counted.select("a", "b", (100 * F.col("both") >= PERCENT * (F.col("sizes") - F.col("both"))).alias("link"))
 
 
 def components(nodes: DataFrame, edges: DataFrame) -> DataFrame:
@@ -277,14 +300,15 @@ def needed(n: str, l: str, m: str, k: str):
 def merged_lists(raw: DataFrame) -> DataFrame:
     """(token, cls, n, l, p, w): prefix tokens with at least two sets; those with equal lists are one, w of them in the set, the first at place p.
 
-    Few lists are long; their tokens are in the hot table, so the broadcast of their hashes has its bound.
+    A long list's hash is put together from its salts and goes back to each of them, so no list meets in one task.
     """
     group = Window.partitionBy("token", "salt")
     once = raw.repartition("token", "salt").dropDuplicates(["token", "salt", "cls"]).withColumn("h", F.xxhash64("cls"))
     listed = once.withColumn("lo", F.min("cls").over(group)).withColumn("hi", F.max("cls").over(group)).withColumn("sign", F.bit_xor("h").over(group))
     shared = cut(listed.filter("salt >= 0 or lo != hi").select("token", "salt", "cls", "packed", "sign"))
-    long = shared.filter("salt >= 0").groupBy("token").agg(F.bit_xor(F.xxhash64("cls")).alias("whole"), F.min("cls").alias("lo"), F.max("cls").alias("hi"))
-    signed = shared.join(F.broadcast(long), "token", "left").filter("salt < 0 or lo != hi")
+    long = shared.filter("salt >= 0").groupBy("token").agg(F.bit_xor(F.xxhash64("cls")).alias("whole"), F.min("cls").alias("lo"), F.max("cls").alias("hi"), F.collect_set("salt").alias("salts"))
+    long = long.select("token", F.explode("salts").alias("salt"), "whole", "lo", "hi")
+    signed = shared.join(long, ["token", "salt"], "left").filter("salt < 0 or lo != hi")
     merged = signed.groupBy(F.coalesce("whole", "sign").alias("token"), "cls").agg(F.min("packed").alias("packed"), F.count(F.lit(1)).cast("int").alias("w"))
     n, place, least = F.shiftright("packed", 32), F.shiftright("packed", 4).bitwiseAND(F.lit((1 << 28) - 1)), F.col("packed").bitwiseAND(F.lit(15))
     return cut(merged.select("token", "cls", n.cast("int").alias("n"), least.cast("int").alias("l"), place.cast("int").alias("p"), "w"))
@@ -340,26 +364,35 @@ def place_classes(docs: DataFrame, rounds: int = ROUNDS) -> tuple[DataFrame, Dat
     """(doc_id, n_shingles, cls) of every row; (cls, least, comp) of every set that isn't empty, least being its smallest doc_id."""
     profiled = cut(profile(docs))
     rows = profiled.filter("kind = 0").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("key").alias("cls"))
-    lists = merged_lists(postings(docs, hot_table(profiled)))
+    lists = merged_lists(postings(docs, frequencies(profiled)))
     nodes = cut(lists.select("cls").distinct())
     comp = nodes.withColumn("comp", F.col("cls"))
     first = rows.filter("cls != 0").groupBy("cls").agg(F.min("doc_id").alias("id"))
-    done = links = None
-    for k in range(rounds + 1):
+    done = links = sets = had = None
+    k, stars = 0, rounds > 0
+    while True:
         if k:
             live = lists.join(comp.join(comp.groupBy("comp").agg(F.count(F.lit(1)).alias("members")), "comp"), "cls")
         else:
             live = lists.withColumn("comp", F.col("cls")).withColumn("members", F.lit(1).cast("long"))
-        pairs = cut(star_pairs(live, done, k) if k < rounds else cross_pairs(live, done))
+        pairs = cut(star_pairs(live, done, k) if stars else cross_pairs(live, done))
         asked = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
-        sets = cut(sets_of(docs, first.join(asked, "cls", "left_semi").select("id")))
-        tested = cut(linked(pairs, sets))
-        del sets
-        done = tested.select("a", "b") if done is None else done.union(tested.select("a", "b"))
-        fresh = tested.filter("link").select("a", "b")
-        links = fresh if links is None else links.union(fresh)
-        if fresh.limit(1).count():
-            comp = cut(components(nodes, links))
+        asked = cut(asked if had is None else asked.join(had, "cls", "left_anti"))
+        if asked.limit(1).count():
+            more = cut(sets_of(docs, first.join(asked, "cls", "left_semi").select("id")).join(asked, "cls", "left_semi"))
+            sets, had = (more, asked) if sets is None else (sets.unionByName(more), had.unionByName(asked))
+        found = False
+        if sets is not None:
+            tested = cut(linked(pairs, sets))
+            done = tested.select("a", "b") if done is None else done.union(tested.select("a", "b"))
+            fresh = tested.filter("link").select("a", "b")
+            links = fresh if links is None else links.union(fresh)
+            found = fresh.limit(1).count() > 0
+            if found:
+                comp = cut(components(nodes, links))
+        if not stars:
+            break
+        k, stars = k + 1, found and k + 1 < rounds
     of_class = rows.filter("cls != 0").groupBy("cls").agg(F.min("doc_id").alias("least"))
     return rows, of_class.join(comp, "cls", "left").withColumn("comp", F.coalesce("comp", "cls"))
 
@@ -371,17 +404,17 @@ def join_documents(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     return rows.join(named, "cls", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
-def with_class(docs: DataFrame) -> DataFrame:
-    """docs with the key of each row's set in column _cls."""
+def with_class(docs: DataFrame, name: str) -> DataFrame:
+    """docs with the key of each row's set in a column of the given name."""
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingle = Shingler()
         for batch in batches:
             for part in slices(batch, "text", 4 << 20):
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array([set_key(shingle(r)) for r in utf8(part.column(at))], pa.int64())], [*part.schema.names, "_cls"])
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array([set_key(shingle(r)) for r in utf8(part.column(at))], pa.int64())], [*part.schema.names, name])
 
-    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField("_cls", LongType())]))
+    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField(name, LongType())]))
 
 
 def first_of_components(docs: DataFrame) -> DataFrame:
@@ -391,15 +424,17 @@ def first_of_components(docs: DataFrame) -> DataFrame:
     A doc_id that occurs once names its row; only for repeated and null ids the rows' class keys are needed.
     """
     rows, placed = place_classes(docs)
+    cls, kept_id, kept_key, place = (free_name(docs, x) for x in ("cls", "kept_id", "kept_key", "place"))
     best = placed.groupBy("comp").agg(F.min(F.struct(F.col("least").isNull().alias("none"), "least", "cls")).alias("w"))
-    blank = rows.filter("cls = 0").select(F.col("doc_id").alias("_id"), F.col("cls").alias("_key")).distinct()
-    keep = cut(best.select(F.col("w.least").alias("_id"), F.col("w.cls").alias("_key")).union(blank))
-    repeated = rows.filter("doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("_k")).filter("_k > 1").select("doc_id")
+    blank = rows.filter("cls = 0").select(F.col("doc_id").alias(kept_id), F.col("cls").alias(kept_key)).distinct()
+    keep = cut(best.select(F.col("w.least").alias(kept_id), F.col("w.cls").alias(kept_key)).union(blank))
+    repeated = rows.filter("doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").select("doc_id")
     names = docs.columns
-    once = docs.join(keep.select(F.col("_id").alias("doc_id")), "doc_id", "left_semi").join(repeated, "doc_id", "left_anti").select(*names)
-    keyed = with_class(docs.join(repeated, "doc_id", "left_semi").select(*names).unionByName(docs.filter("doc_id is null")))
-    nameless = keyed.filter("doc_id is null and _cls = 0").select(*names)
-    order = Window.partitionBy("doc_id", "_cls").orderBy(F.xxhash64(F.coalesce("text", F.lit(""))), *[F.col(f"`{c}`") for c in names if c not in ("doc_id", "text")])
-    again = keyed.filter("doc_id is not null or _cls != 0").withColumn("_first", F.row_number().over(order)).filter("_first = 1")
-    again = again.join(keep, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_cls") == F.col("_key")), "left_semi").select(*names)
+    once = docs.join(keep.select(F.col(kept_id).alias("doc_id")), "doc_id", "left_semi").join(repeated, "doc_id", "left_anti").select(*names)
+    keyed = with_class(docs.join(repeated, "doc_id", "left_semi").select(*names).unionByName(docs.filter("doc_id is null")), cls)
+    nameless = keyed.filter(F.col("doc_id").isNull() & (F.col(cls) == 0)).select(*names)
+    # the limit on the place prunes each task's rows before they are shuffled
+    order = Window.partitionBy("doc_id", cls).orderBy(F.xxhash64(F.coalesce("text", F.lit(""))), *[F.col(f"`{c}`") for c in names if c not in ("doc_id", "text")])
+    again = keyed.filter(F.col("doc_id").isNotNull() | (F.col(cls) != 0)).withColumn(place, F.row_number().over(order)).filter(F.col(place) <= 1)
+    again = again.join(keep, F.col("doc_id").eqNullSafe(F.col(kept_id)) & (F.col(cls) == F.col(kept_key)), "left_semi").select(*names)
     return once.unionByName(nameless).unionByName(again)
