@@ -3,12 +3,15 @@
 The standard library's streaming parser turns a page into block lines with the number of tags each holds.
 Lines inside menus, headers, footers, sidebars, notices, adverts, forms, scripts, styles or comments (by element or
 by a class, id or role that is or starts with such a word) are never content. Class words never drop an article or main, nor an
-element that contains one; only readers' comments and related pages that come as articles stay out if the page has other articles. The smoothed text-to-tag ratio of the rest is split at
-its deviation; lines above it mark content regions. A region is the article or main element that holds such a line;
-in pages without one, the parent elements of the marked lines. All lines of a region are kept, short ones too.
+element that contains one; only readers' comments and related pages that come as articles stay out if the page has other articles.
 
-Defined cases: null or empty html gives an empty text; unclosed elements end with their parent or the page; a page
-without any line above the threshold keeps all its candidate lines; nothing is capped.
+The smoothed text-to-tag ratio of the other lines is split at its deviation; the lines above form the clusters that select the
+region: from the page's top down, the container that holds most of their text. An article or main element is only a
+prior there: its clusters count PRIOR times and an article is not divided further. In other regions a container without
+any clustered line is left out; headings just before a region belong to it. All other lines of a region are kept, short ones too.
+
+Defined cases: null or empty html gives an empty text; unclosed elements end with their parent or the page; on a page whose lines
+all have one ratio every line is in a cluster; nothing is capped.
 """
 
 from __future__ import annotations
@@ -32,43 +35,45 @@ FURNITURE = re.compile(r"(?:^|\s)(?:ads?|advert\w*|sponsor\w*|promo\w*|banner|co
 #: Those whose articles are other people's texts.
 OTHERS = re.compile(r"(?:^|\s)(?:comments?|replies|disqus|respond|related|recommend\w*)(?:$|[\s_-])", re.I)
 CLOSES = {"p": frozenset(("p",)), "li": frozenset(("li",)), "dt": frozenset(("dt", "dd")), "dd": frozenset(("dt", "dd")), "tr": frozenset(("tr", "td", "th")), "td": frozenset(("td", "th")), "th": frozenset(("td", "th")), "option": frozenset(("option",))}
-HEADINGS = frozenset("h1 h2 h3 h4 h5 h6 div p ul ol table article section main nav header footer aside form blockquote pre dl hr figure".split())
+BLOCKS = frozenset("h1 h2 h3 h4 h5 h6 div p ul ol table article section main nav header footer aside form blockquote pre dl hr figure".split())
 ROOTS = frozenset(("article", "main"))
+TITLES = frozenset(("h1", "h2", "h3"))
+#: Elements that only hold others; the region is one of them.
+CONTAINERS = frozenset("html body div section main article center table tbody tr td".split())
+#: Parameters: share of the clustered text that makes a container the region, weight of clustered text in article or main.
+DOMINANT, PRIOR = 0.6, 3.0
 
 
 class Lines(HTMLParser):
-    """Collects (text, tags, region root, parent) for each block line.
+    """Collects (parts, tags, block) for each block line; blocks know their parent, tag and whether they lie in an article or main.
 
     Whether an element with a furniture word contains an article is known at the page's end, so parts of lines keep such elements.
     """
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.stack: list[tuple[str, int, bool, int, tuple[int, ...]]] = []  # tag, element number, dropped, region root, elements with furniture words
-        self.lines: list[tuple[list[tuple[str, tuple[int, ...]]], int, int, int]] = []
+        self.stack: list[tuple[str, int, bool, tuple[int, ...]]] = []  # tag, block number, dropped, elements with furniture words
+        self.lines: list[tuple[list[tuple[str, tuple[int, ...]]], int, int]] = []
         self.parts: list[tuple[str, tuple[int, ...]]] = []
+        self.parent, self.tag, self.rooted = [0], [""], [False]
         self.holders: set[int] = set()
         self.others: set[int] = set()
         self.tags = self.count = 0
 
-    def top(self) -> tuple[str, int, bool, int, tuple[int, ...]]:
-        return self.stack[-1] if self.stack else ("", 0, False, 0, ())
+    def top(self) -> tuple[str, int, bool, tuple[int, ...]]:
+        return self.stack[-1] if self.stack else ("", 0, False, ())
 
     def end_line(self) -> None:
-        if not self.parts:
-            self.tags = 0
-            return
-        if not self.top()[2]:
-            block = next((e for e in reversed(self.stack) if e[0] not in INLINE), ("", 0, False, 0, ()))
-            parent = next((e[1] for e in reversed(self.stack) if e[0] not in INLINE and e[1] != block[1]), 0)
-            self.lines.append((self.parts, self.tags, block[3], parent))
-        self.parts = []
+        if self.parts and not self.top()[2]:
+            self.lines.append((self.parts, self.tags, self.top()[1]))
+        if self.parts:
+            self.parts = []
         self.tags = 0
 
     def handle_starttag(self, tag, attrs):
         if tag not in INLINE:
             self.end_line()
-        if tag in HEADINGS:  # a block start ends an open paragraph with whatever is left open in it
+        if tag in BLOCKS:  # a block start ends an open paragraph with whatever is left open in it
             for k in range(len(self.stack) - 1, -1, -1):
                 if self.stack[k][0] == "p":
                     del self.stack[k:]
@@ -81,7 +86,7 @@ class Lines(HTMLParser):
         if tag in VOID:
             return
         self.count += 1
-        _, _, dropped, root, marks = self.top()
+        _, block, dropped, marks = self.top()
         words = " ".join(v for k, v in attrs if k in ("class", "id", "role") and v)
         dropped = dropped or tag in DROPPED or any(k == "hidden" or k == "aria-hidden" and v == "true" for k, v in attrs)
         if tag in ROOTS:
@@ -91,7 +96,12 @@ class Lines(HTMLParser):
             marks = (*marks, self.count)
             if OTHERS.search(words):
                 self.others.add(self.count)
-        self.stack.append((tag, self.count, dropped, self.count if tag in ROOTS and not root else root, marks))
+        if tag not in INLINE:
+            self.parent.append(block)
+            self.tag.append(tag)
+            self.rooted.append(tag in ROOTS or self.rooted[block])
+            block = len(self.parent) - 1
+        self.stack.append((tag, block, dropped, marks))
 
     def handle_startendtag(self, tag, attrs):
         self.handle_starttag(tag, attrs)
@@ -111,20 +121,28 @@ class Lines(HTMLParser):
 
     def handle_data(self, data):
         if not self.top()[2]:
-            self.parts.append((data, self.top()[4]))
+            self.parts.append((data, self.top()[3]))
 
-    def finish(self) -> list[tuple[str, int, int, int]]:
+    def finish(self) -> list[tuple[str, int, int]]:
         if self.rawdata and not (self.stack and self.stack[-1][0] in RAW):
             self.close()
         self.end_line()
         lines = self.kept(self.holders - self.others)
-        return lines if any(line[2] for line in lines) else self.kept(self.holders)
+        return lines if any(self.rooted[block] for _, _, block in lines) else self.kept(self.holders)
 
-    def kept(self, excused: set[int]) -> list[tuple[str, int, int, int]]:
+    def kept(self, excused: set[int]) -> list[tuple[str, int, int]]:
         """The lines' texts outside furniture."""
         texts = (" ".join("".join(d for d, marks in parts if excused.issuperset(marks)).split()) for parts, *_ in self.lines)
         return [(t, *line[1:]) for t, line in zip(texts, self.lines) if t]
 
+    def above(self, block: int) -> list[int]:
+        """A block and its ancestors, the page's top (0) last."""
+        out = [block]
+        while block:
+            block = self.parent[block]
+            out.append(block)
+        return out
+
 
 def smooth(x: np.ndarray, radius: int = 2) -> np.ndarray:
     """Gaussian smoothing with reflected ends."""
@@ -135,16 +153,46 @@ def smooth(x: np.ndarray, radius: int = 2) -> np.ndarray:
     return np.convolve(np.pad(x, radius, mode="symmetric"), kernel / kernel.sum(), "valid")
 
 
-def content_lines(lines: list[tuple[str, int, int, int]]) -> list[str]:
+def clustered(lines: list[tuple[str, int, int]]) -> list[bool]:
+    """Whether a line's smoothed text-to-tag ratio reaches the deviation of all."""
+    ratio = smooth(np.array([len(t) / max(1, n) for t, n, _ in lines], float))
+    return (ratio >= min(ratio.std(), ratio.max())).tolist()
+
+
+def content_lines(page: Lines, lines: list[tuple[str, int, int]], marked: list[bool]) -> list[str]:
+    """The lines of the region that the marked ones select."""
     if not lines:
         return []
-    ratio = smooth(np.array([len(t) / max(1, n) for t, n, _, _ in lines], float))
-    limit = min(ratio.std(), ratio.max())
-    marked = [line for line, r in zip(lines, ratio.tolist()) if r >= limit]
-    if roots := {line[2] for line in marked if line[2]} or {line[2] for line in lines if line[2]}:
-        return [t for t, _, root, _ in lines if root in roots]
-    parents = {line[3] for line in marked}
-    return [t for t, _, _, parent in lines if parent in parents]
+    mass: dict[int, float] = {}
+    held: dict[int, int] = {}
+    chains = [page.above(block) for _, _, block in lines]
+    for (text, _, block), chain, mark in zip(lines, chains, marked):
+        weight = mark * len(text) * (PRIOR if page.rooted[block] else 1.0)
+        for b in chain:
+            mass[b] = mass.get(b, 0.0) + weight
+            held[b] = held.get(b, 0) + 1
+    children: dict[int, set[int]] = {}
+    for b in mass:
+        if b:
+            children.setdefault(page.parent[b], set()).add(b)
+    home, goal = 0, DOMINANT * mass[0]
+    while page.tag[home] != "article":
+        inner = [b for b in children.get(home, ()) if page.tag[b] in CONTAINERS and mass[b] >= goal and (held[b] > 1 or page.tag[b] in ROOTS or held[home] == 1)]
+        if not inner:
+            break
+        home = max(inner, key=mass.__getitem__)
+    around = page.parent[home] if home else 0
+    out: list[str] = []
+    inside = False
+    for (text, _, block), chain in zip(lines, chains):
+        if home in chain:
+            inside = True
+            branch = chain[chain.index(home) - 1] if block != home else home
+            if page.tag[home] == "article" or branch == home or mass[branch] or held[branch] == 1 or page.tag[branch] not in CONTAINERS:
+                out.append(text)
+        elif not inside and page.tag[block] in TITLES and page.parent[block] == around and page.tag[around] not in ("", "html", "body"):
+            out.append(text)
+    return out
 
 
 def main_text(html: str | None) -> str:
@@ -152,7 +200,8 @@ def main_text(html: str | None) -> str:
         return ""
     parser = Lines()
     parser.feed(html)
-    return " ".join(content_lines(parser.finish()))
+    lines = parser.finish()
+    return " ".join(content_lines(parser, lines, clustered(lines) if lines else []))
 
 
 def extract_pages(pages: DataFrame) -> DataFrame:

@@ -286,6 +286,52 @@ def test_main_text_of_layout_classes():
         assert main_text.main_text(page) == want, page
 
 
+def region(page, marks=None):
+    """main_text with the clustering replaced by marks(lines)."""
+    p = main_text.Lines()
+    p.feed(page)
+    lines = p.finish()
+    return " ".join(main_text.content_lines(p, lines, marks(lines) if marks else main_text.clustered(lines)))
+
+
+STORY = "A paragraph of the story that runs on for a good while and says what happened. "
+LINKS = "".join(f"<li><a href=/{k}>Go {k}</a></li>" for k in range(300))
+#: Pages whose furniture has no telling name: only the ratios tell it from the text. With what is wanted of each.
+PLAIN_PAGES = [
+    (f"<body><div class=top><ul>{LINKS}</ul></div><div class=x><h2>Head</h2><p>{STORY * 3}</p><p>Short.</p><p>{STORY * 2}</p></div><div class=y><div><a>x</a><a>y</a></div><div><a>z</a></div></div></body>", "Head " + (STORY * 3).strip() + " Short. " + (STORY * 2).strip()),
+    (f"<div id=page><h1>Title</h1><div class=b><p>{STORY * 4}</p><ul><li>one</li><li>two</li></ul><p>{STORY * 2}</p></div><div class=c><ul>{LINKS}</ul></div></div>", "Title " + (STORY * 4).strip() + " one two " + (STORY * 2).strip()),
+    (f"<body><section><article><h3>Teaser</h3><ul>{LINKS}</ul></article><article><h3>Other</h3><p><a>Read</a></p></article></section><div><p>{STORY * 9}</p><p>{STORY * 9}</p></div></body>", (STORY * 18).strip()),
+    (f"<table><tr><td><ul>{LINKS}</ul></td><td><p>{STORY * 3}</p><p>{STORY * 3}</p></td></tr></table>", (STORY * 6).strip()),
+]
+
+
+def test_main_text_ratios_select_the_region():
+    for page, want in PLAIN_PAGES:
+        assert main_text.main_text(page) == region(page) == want, page
+        # without the ratios, all lines alike or marked at random, the result is another
+        assert region(page, lambda lines: [True] * len(lines)) != want
+        assert region(page, lambda lines: [len(t) < 12 for t, _, _ in lines]) != want
+
+
+def test_smoothing_carries_short_lines():
+    ratio = np.array([80.0, 70, 2, 75, 1, 1, 1, 1, 1])
+    assert (ratio >= ratio.std()).tolist()[2] is False and (main_text.smooth(ratio) >= main_text.smooth(ratio).std()).tolist() == [True] * 4 + [False] * 5
+
+
+def test_main_text_odd_pages(spark, odd_pages):
+    schema = "page_id long, url string, html string, text string, n_chars string, block string"
+    df = spark.createDataFrame([(k, "u", h, "mine", "mine", "mine") for k, h in enumerate(odd_pages)], schema)
+    got = {r.page_id: r for r in main_text.extract_pages(df).collect()}
+    assert [got[k].text for k in range(len(odd_pages))] == [main_text.main_text(h) for h in odd_pages] and got[0].text == got[1].text == ""
+    assert got[len(odd_pages) - 1].n_chars == 5 * 400_000 - 1
+    assert main_text.extract_pages(df.limit(0)).count() == 0
+
+
+@pytest.fixture(scope="module")
+def odd_pages():
+    return [None, "", "<", "no tags at all", "<p>a<p>b", "<div>" * 3000 + "deep", "<article>" + "word " * 400_000 + "</article>"]
+
+
 TEXTS = ["", " ", "Don't stop 123abc, été <|endoftext|> x<|startoftext|> ΣΑΣ", "a\nb\n\nc  d \n e%%% f'll", "日本語 🎉 ½²", "\x1cq\x85w ", "x" * 3000]
 
 
