@@ -8,7 +8,7 @@ Rates become copies by systematic rounding along the size order, so a source's e
 half of its largest document, and by a hash order within equal sizes, so reruns agree.
 
 Defined cases: null or empty text has size 0; a null source is a source of its own, ranked last; repeated
-rows are rows; an empty table gives an empty result; columns of any other name are left alone.
+rows are rows; an empty table gives an empty result; other columns are carried in a struct, so any name is left alone.
 """
 
 from __future__ import annotations
@@ -27,14 +27,14 @@ CAP = 2.0
 BUCKETS = 4096
 
 
-def with_size(docs: DataFrame) -> DataFrame:
-    """Adds _size (words), _skey (null-safe source key) and _bucket."""
-    return docs.withColumns(
-        {
-            "_size": F.regexp_count(F.coalesce("text", F.lit("")), F.lit(WORD)).cast("long"),
-            "_skey": F.coalesce(F.concat(F.lit("="), F.col("source")), F.lit("-")),
-            "_bucket": F.pmod(F.xxhash64(F.col("doc_id")), F.lit(BUCKETS)),
-        }
+def with_size(docs: DataFrame, carry: bool = False) -> DataFrame:
+    """doc_id, _size (words), _skey (null-safe source key) and _bucket; with carry the whole row as a struct beside them."""
+    return docs.select(
+        *([F.struct("*").alias("_whole")] if carry else []),
+        "doc_id",
+        F.regexp_count(F.coalesce("text", F.lit("")), F.lit(WORD)).cast("long").alias("_size"),
+        F.coalesce(F.concat(F.lit("="), F.col("source")), F.lit("-")).alias("_skey"),
+        F.pmod(F.xxhash64(F.col("doc_id")), F.lit(BUCKETS)).alias("_bucket"),
     )
 
 
@@ -147,7 +147,7 @@ def deal(sized: DataFrame, plan: DataFrame) -> DataFrame:
 
 def mix_plan(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, cap: float = CAP) -> DataFrame:
     """One row per document: doc_id, size, source_size, target, taken, copies."""
-    sized = cut(with_size(docs).select("doc_id", "_size", "_skey", "_bucket"))
+    sized = cut(with_size(docs))
     return deal(sized, plan_mix(sized, weights, share, cap)).select(
         "doc_id", F.col("_size").alias("size"), F.col("_total").alias("source_size"), F.col("_target").cast("double").alias("target"),
         (F.col("_copies") * F.col("_size")).alias("taken"), F.col("_copies").alias("copies"),
@@ -156,8 +156,6 @@ def mix_plan(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float
 
 def mix_documents(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, cap: float = CAP) -> DataFrame:
     """The mixed corpus itself: every row as often as the plan takes it, columns unchanged."""
-    columns = docs.columns
-    sized = with_size(docs)
-    plan = plan_mix(sized.select("doc_id", "_size", "_skey", "_bucket"), weights, share, cap)
-    dealt = deal(sized, plan).filter(F.col("_copies") > 0)
-    return dealt.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select(*columns)
+    plan = plan_mix(with_size(docs), weights, share, cap)
+    dealt = deal(with_size(docs, carry=True), plan).filter(F.col("_copies") > 0)
+    return dealt.select("_whole", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select("_whole.*")

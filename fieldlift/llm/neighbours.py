@@ -5,33 +5,32 @@ descends in every tree to its longest matching prefix and then ascends in all tr
 nodes reached together hold at least `breadth` vectors; those are compared exactly. Largest inner product is
 reduced to the angle by one more coordinate that brings all indexed vectors to the largest norm.
 
-The sorted arrays are kept in shards: all strings of one tree with one root prefix, so that a query visits one shard
-a tree unless it has to ascend above the root prefix: then it visits every shard below its stop level. Root prefixes that
-hold too many strings are split into blocks by vector, and their queries visit every block. Counts and candidates simply
-add up over blocks and shards, so the shards' size never changes a result. Equal vectors are one class with its smallest ids; what
-a query can return of a class is bounded, so a vector shared by a third of the rows costs no more than any other.
+The indexed vectors are dealt by hash over blocks of about `shard` vectors, the queries over tiles of bounded size. A block keeps
+the sorted arrays of its part of every tree; codes are made inside it, so vectors are shuffled once for each tile and not for each
+tree. The number of strings that share a prefix adds up over the blocks: the first pass sums these counts by level, which gives
+each query its stop level; the second compares its distinct candidates block by block. So the blocks' size never changes a
+result. Equal vectors are one class with its smallest ids; what a query can return of a class is bounded, so a vector shared by a
+third of the rows costs no more than any other.
 
 Defined cases: vectors that are null, empty, zero or hold null or non-finite components take no part, neither as queries
-nor as candidates; shorter vectors count as padded with zeros; rows with one vec_id never return each other; ties go
-to the smaller vec_id; an empty table gives no rows.
+nor as candidates; shorter vectors count as padded with zeros; of rows that share a vec_id each is a query and a candidate of
+the others; ties go to the smaller vec_id; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from .common import cut
 
-#: Parameters: trees, bits of a string, least entries at which the synchronous ascent stops, shard size.
-TREES, BITS, BREADTH, SHARD = 24, 32, 32_000, 1 << 15
+#: Parameters: trees, bits of a string, least entries at which the synchronous ascent stops, vectors of a block, queries of a tile.
+TREES, BITS, BREADTH, SHARD, TILE = 24, 32, 32_000, 1 << 13, 1 << 13
 #: Entries at which the ascent stops as a share of the indexed vectors: what keeps recall at 0.9 where vectors have no structure.
 SHARE = 0.5
 
@@ -43,13 +42,18 @@ def usable(vectors: DataFrame) -> DataFrame:
     return vectors.select(F.col("vec_id").cast("long").alias("vec_id"), e.cast("array<double>").alias("embedding")).filter(F.col("vec_id").isNotNull() & F.col("embedding").isNotNull() & fine & F.exists("embedding", lambda x: x != 0.0))
 
 
+def class_key() -> Column:
+    """A 64-bit key of equal vectors."""
+    return F.xxhash64("embedding")
+
+
 def classes_of(rows: DataFrame, keep: int) -> DataFrame:
-    """(cid, embedding, ids): equal vectors once, with their keep smallest ids. The filter on the rank prunes before the shuffle."""
+    """(cid, embedding, least, ids): equal vectors once, with their keep smallest ids. The filter on the rank prunes before the shuffle."""
     first = Window.partitionBy("embedding").orderBy("vec_id")
     return (
-        rows.withColumn("_rn", F.row_number().over(first)).filter(F.col("_rn") <= keep)
+        rows.withColumn("place", F.row_number().over(first)).filter(F.col("place") <= keep)
         .groupBy("embedding").agg(F.array_sort(F.collect_list("vec_id")).alias("ids"))
-        .select(F.element_at("ids", 1).alias("cid"), "embedding", "ids")
+        .select(class_key().alias("cid"), "embedding", F.element_at("ids", 1).alias("least"), "ids")
     )
 
 
@@ -57,43 +61,23 @@ def planes(trees: int, bits: int, dim: int, seed: int = 5) -> np.ndarray:
     return np.random.default_rng(seed).standard_normal((trees * bits, dim))
 
 
-def matrix(column: pa.Array, dim: int) -> np.ndarray:
-    flat, ends = column.flatten().to_numpy(), np.asarray(column.offsets)
-    lengths = np.diff(ends)
-    if (lengths == dim).all():
-        return flat.reshape(-1, dim).astype(np.float64)
-    out = np.zeros((len(lengths), dim))
-    for i, n in enumerate(lengths):
-        out[i, :n] = flat[ends[i] - ends[0] : ends[i] - ends[0] + n]
+def matrix(vectors: pd.Series, dim: int) -> np.ndarray:
+    out = np.zeros((len(vectors), dim))
+    for i, v in enumerate(vectors):
+        out[i, : len(v)] = v
     return out
 
 
-def hash_strings(classes: DataFrame, dim: int, top: float, trees: int, bits: int, root: int, query: bool) -> DataFrame:
-    """(tree, root, code, cid, vec): one row for each vector and tree; vec are the original components as bytes."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        normals = planes(trees, bits, dim + 1).T
-        weights = (1 << np.arange(bits - 1, -1, -1)).astype(np.int64)
-        for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                part = batch.slice(at, 512)
-                x = matrix(part.column(1), dim)
-                rest = np.zeros((len(x), 1)) if query else np.sqrt(np.maximum(0.0, top * top - (x * x).sum(axis=1, keepdims=True)))
-                signs = np.hstack([x, rest]) @ normals > 0
-                codes = (signs.reshape(len(x), trees, bits) @ weights).ravel()
-                raw = [v.tobytes() for v in x]
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(np.tile(np.arange(trees, dtype=np.int32), len(x))),
-                        pa.array(codes >> (bits - root)),
-                        pa.array(codes),
-                        pa.array(np.repeat(part.column(0).to_numpy(), trees)),
-                        pa.array([v for v in raw for _ in range(trees)], pa.binary()),
-                    ],
-                    ["tree", "root", "code", "cid", "vec"],
-                )
-
-    return classes.select("cid", "embedding").mapInArrow(run, "tree int, root long, code long, cid long, vec binary")
+def hash_strings(x: np.ndarray, top: float | None, trees: int, bits: int) -> np.ndarray:
+    """(tree, vector) codes; indexed vectors are brought to the norm `top` by one more coordinate, queries have 0 there."""
+    normals = planes(trees, bits, x.shape[1] + 1).T
+    weights = 1 << np.arange(bits - 1, -1, -1, dtype=np.int64)
+    out = np.empty((trees, len(x)), np.int64)
+    for at in range(0, len(x), 512):
+        part = x[at : at + 512]
+        rest = np.zeros((len(part), 1)) if top is None else np.sqrt(np.maximum(0.0, top * top - (part * part).sum(axis=1, keepdims=True)))
+        out[:, at : at + 512] = ((np.hstack([part, rest]) @ normals > 0).reshape(len(part), trees, bits) @ weights).T
+    return out
 
 
 def node_bounds(codes: np.ndarray, wanted: np.ndarray, bits: int, level: int | np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -104,8 +88,9 @@ def node_bounds(codes: np.ndarray, wanted: np.ndarray, bits: int, level: int | n
 
 
 def search(vectors: DataFrame, k: int = 20, every: int = 20, trees: int = TREES, bits: int = BITS, breadth: int | None = None, shard: int = SHARD) -> DataFrame:
-    """(query_id, rank, vec_id, score): the k nearest found for every row whose vec_id is divisible by `every`.
+    """(query_id, rank, vec_id, score, n_compared): the k nearest found for every row whose vec_id is divisible by `every`.
 
+    n_compared is the number of distinct vectors that the query was compared with, its own included.
     The breadth follows the number of indexed vectors unless it is given; it is never too small for k candidates.
     """
     rows = usable(vectors)
@@ -113,74 +98,74 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, trees: int = TREES,
     norm = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x * x))
     n, dim, top = classes.agg(F.count(F.lit(1)), F.max(F.size("embedding")), F.max(norm)).first()
     if not n:
-        return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+        return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double, n_compared long")
     breadth = max(BREADTH, math.ceil(SHARE * n)) if breadth is None else breadth
     breadth = max(breadth, trees * (k + 1))  # so one tree alone gives k vectors beside the query
-    root = min(bits, max(0, math.ceil(math.log2(n / shard))))
-    queries = rows.filter(F.col("vec_id") % every == 0).join(classes.select("cid", "embedding"), "embedding").select("vec_id", "cid", "embedding")
-    queries = cut(queries)
-    asked = queries.groupBy("cid").agg(F.first("embedding").alias("embedding"))
-
-    items = hash_strings(classes, dim, top, trees, bits, root, False)
-    blocks = cut(items.groupBy("tree", "root").agg(F.count(F.lit(1)).alias("n")).withColumn("n_blocks", F.ceil(F.col("n") / (2 * shard)).cast("int")))
-    items = items.join(blocks.drop("n"), ["tree", "root"]).withColumn("block", F.pmod(F.xxhash64("cid"), F.col("n_blocks")).cast("int")).drop("n_blocks")
-    hashed = hash_strings(asked, dim, top, trees, bits, root, True)
-    all_blocks = F.explode(F.sequence(F.lit(0), F.col("n_blocks") - 1))
-    sought = hashed.drop("vec").join(blocks, ["tree", "root"]).withColumn("block", all_blocks).drop("n", "n_blocks")
-    shards = items.groupBy("tree", "root", "block")
-    levels = range(root, bits + 1)
-
-    def profile(inside: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
-        codes, wanted = np.sort(inside["code"].to_numpy(np.int64)), q["code"].to_numpy(np.int64)
-        counts = np.stack([hi - lo for lo, hi in (node_bounds(codes, wanted, bits, level) for level in levels)], axis=1) if len(q) else np.empty((0, len(levels)), np.int64)
+    queries = cut(rows.filter(F.col("vec_id") % every == 0).select("vec_id", class_key().alias("cid"), "embedding"))
+    asked = cut(queries.groupBy("cid").agg(F.first("embedding").alias("embedding")))
+    n_blocks, n_tiles = math.ceil(n / shard), max(1, math.ceil(asked.count() / TILE))
+    deal = lambda count, salt: F.pmod(F.xxhash64("cid", F.lit(salt)), F.lit(count)).cast("int")
+    every_one = lambda count: F.explode(F.sequence(F.lit(0), F.lit(count - 1)))
+    blocks = classes.select("cid", "embedding", "least", deal(n_blocks, 1).alias("block")).withColumn("tile", every_one(n_tiles)).groupBy("block", "tile")
+
+    def tiles(of: DataFrame):
+        return of.withColumn("tile", deal(n_tiles, 2)).withColumn("block", every_one(n_blocks)).groupBy("block", "tile")
+
+    def count_levels(inside: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
+        counts = np.zeros((len(q), bits + 1), np.int64)
+        if len(inside) and len(q):
+            codes = np.sort(hash_strings(matrix(inside["embedding"], dim), top, trees, bits), axis=1)
+            for tree, wanted in zip(codes, hash_strings(matrix(q["embedding"], dim), None, trees, bits)):
+                order = np.argsort(wanted)
+                for level in range(bits + 1):
+                    lo, hi = node_bounds(tree, wanted[order], bits, level)
+                    if level and not (hi > lo).any():
+                        break
+                    counts[order, level] += hi - lo
         return pd.DataFrame({"cid": q["cid"], "counts": pd.Series(list(counts), dtype=object)})
 
-    depth = shards.cogroup(sought.groupBy("tree", "root", "block")).applyInPandas(profile, "cid long, counts array<bigint>")
-    sums = depth.groupBy("cid").agg(*[F.sum(F.element_at("counts", i + 1)).alias(f"c{i}") for i in range(len(levels))])
+    depth = blocks.cogroup(tiles(asked)).applyInPandas(count_levels, "cid long, counts array<bigint>")
+    sums = depth.groupBy("cid").agg(*[F.sum(F.element_at("counts", i + 1)).alias(f"c{i}") for i in range(bits + 1)])
     # all trees stop at one level: the deepest whose nodes together hold the breadth
-    stop = F.coalesce(*[F.when(F.col(f"c{i}") >= breadth, F.lit(levels[i])) for i in reversed(range(len(levels)))])
-    reached = cut(asked.select("cid").join(sums, "cid", "left").select("cid", stop.cast("int").alias("level")))
-    prefix = F.expr(f"shiftright(root, {root} - level)")
-    if root:  # above the root prefixes the counts are sums over shards
-        upper = F.explode(F.sequence(F.lit(0), F.lit(root - 1)))
-        sizes = blocks.withColumn("level", upper).groupBy("tree", "level", prefix.alias("prefix")).agg(F.sum("n").alias("n"))
-        thin = hashed.join(reached.filter("level is null").select("cid"), "cid").select("cid", "tree", "root", upper.alias("level")).withColumn("prefix", prefix)
-        held = thin.join(sizes, ["tree", "level", "prefix"]).groupBy("cid", "level").agg(F.sum("n").alias("n"))
-        higher = held.filter(F.col("n") >= breadth).groupBy("cid").agg(F.max("level").alias("higher"))
-        reached = cut(reached.join(higher, "cid", "left").select("cid", F.coalesce("level", "higher").alias("level")))
-    reached = reached.select("cid", F.coalesce("level", F.lit(0)).alias("stop"))
+    stop = F.coalesce(*[F.when(F.col(f"c{i}") >= breadth, F.lit(i)) for i in reversed(range(bits + 1))], F.lit(0))
+    reached = cut(sums.select("cid", stop.cast("int").alias("stop")))
 
     def nearest(inside: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
-        out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-        if len(q) and len(inside):
-            inside = inside.sort_values(["code", "cid"])
-            codes, ids = inside["code"].to_numpy(np.int64), inside["cid"].to_numpy(np.int64)
-            x = np.frombuffer(b"".join(inside["vec"]), np.float64).reshape(len(ids), -1)
-            wanted = np.frombuffer(b"".join(q["vec"]), np.float64).reshape(len(q), -1)
-            lo, hi = node_bounds(codes, q["code"].to_numpy(np.int64), bits, q["stop"].to_numpy(np.int64))
+        out: list[tuple[np.ndarray, ...]] = []
+        if len(inside) and len(q):
+            ids, least, x = inside["cid"].to_numpy(np.int64), inside["least"].to_numpy(np.int64), matrix(inside["embedding"], dim)
+            wanted = matrix(q["embedding"], dim)
+            codes = hash_strings(x, top, trees, bits)
+            order = np.argsort(codes, axis=1, kind="stable")
+            level = q["stop"].to_numpy(np.int64)
+            bounds = [node_bounds(codes[t][order[t]], c, bits, level) for t, c in enumerate(hash_strings(wanted, None, trees, bits))]
             for i, cid in enumerate(q["cid"].to_numpy(np.int64)):
-                a, b = lo[i], hi[i]
-                if a == b:
+                reachable = np.zeros(len(ids), bool)
+                for places, (lo, hi) in zip(order, bounds):
+                    reachable[places[lo[i] : hi[i]]] = True
+                at = np.flatnonzero(reachable)
+                if not len(at):
                     continue
-                rough = x[a:b] @ wanted[i]
+                rough = x[at] @ wanted[i]
                 # rounding may reorder near-ties, so a few more than k + 1 get the exact score
-                near = np.argpartition(-rough, min(k + 8, b - a - 1))[: k + 9] if b - a > k + 9 else np.arange(b - a)
-                score = np.add.accumulate(x[a:b][near] * wanted[i], axis=1)[:, -1]
-                best = np.lexsort((ids[a:b][near], -score))[: k + 1]
-                out.append((np.full(len(best), cid), ids[a:b][near][best], score[best]))
-        columns = [np.concatenate(c) for c in zip(*out)] if out else [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0)]
-        return pd.DataFrame(dict(zip(("cid", "found", "score"), columns)))
-
-    # a query goes to its own root shard, or to all shards that share its prefix at a stop above it
-    places = blocks.select("tree", "root", "n_blocks", F.explode(F.sequence(F.lit(0), F.lit(root))).alias("level")).withColumn("prefix", prefix).withColumn("block", all_blocks).drop("n_blocks")
-    sought = hashed.join(reached, "cid").withColumn("level", F.least("stop", F.lit(root))).withColumn("prefix", prefix).drop("root").join(places, ["tree", "level", "prefix"])
-    sought = sought.select("tree", "root", "block", "cid", "code", "vec", "stop")
-    hits = shards.cogroup(sought.groupBy("tree", "root", "block")).applyInPandas(nearest, "cid long, found long, score double")
-    best = Window.partitionBy("cid").orderBy(F.col("score").desc(), "found")
-    hits = hits.groupBy("cid", "found").agg(F.max("score").alias("score")).withColumn("_r", F.row_number().over(best)).filter(F.col("_r") <= k + 1)
-    found = cut(hits.join(classes.select(F.col("cid").alias("found"), "ids"), "found").groupBy("cid").agg(F.collect_list(F.struct("score", "ids")).alias("near")))
+                near = np.argpartition(-rough, k + 8)[: k + 9] if len(at) > k + 9 else np.arange(len(at))
+                score = np.add.accumulate(x[at[near]] * wanted[i], axis=1)[:, -1]
+                best = np.lexsort((least[at[near]], -score))[: k + 1]
+                chosen = at[near[best]]
+                out.append((np.full(len(best), cid), ids[chosen], least[chosen], score[best], np.r_[len(at), np.zeros(len(best) - 1, np.int64)]))
+        columns = [np.concatenate(c) for c in zip(*out)] if out else [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0), np.empty(0, np.int64)]
+        return pd.DataFrame(dict(zip(("cid", "found", "least", "score", "compared"), columns)))
+
+    hits = cut(blocks.cogroup(tiles(asked.join(reached, "cid"))).applyInPandas(nearest, "cid long, found long, least long, score double, compared long"))
+    compared = hits.groupBy("cid").agg(F.sum("compared").alias("n_compared"))
+    best = Window.partitionBy("cid").orderBy(F.col("score").desc(), "least", "found")
+    hits = hits.withColumn("r", F.row_number().over(best)).filter(F.col("r") <= k + 1)
+    found = hits.join(classes.select(F.col("cid").alias("found"), "ids"), "found").groupBy("cid").agg(F.collect_list(F.struct("score", "ids")).alias("near")).join(compared, "cid")
     # at most (k + 1) classes of (k + 1) ids each for a query
     own = queries.select(F.col("vec_id").alias("query_id"), "cid").join(found, "cid")
     candidates = F.flatten(F.transform("near", lambda c: F.transform(c["ids"], lambda v: F.struct((-c["score"]).alias("s"), v.alias("v")))))
-    ranked = F.slice(F.array_sort(F.filter(candidates, lambda c: c["v"] != F.col("query_id"))), 1, k)
-    return own.select("query_id", F.posexplode(ranked).alias("pos", "c")).select("query_id", (F.col("pos") + 1).cast("int").alias("rank"), F.col("c.v").alias("vec_id"), (-F.col("c.s")).alias("score"))
+    # one place of the query's own id is its own row; other rows of that id are candidates like any
+    mine = F.array_position(F.transform(candidates, lambda c: c["v"]), F.col("query_id"))
+    others = F.when(mine > 0, F.concat(F.slice(candidates, F.lit(1), mine - 1), F.slice(candidates, mine + 1, F.size(candidates)))).otherwise(candidates)
+    ranked = F.slice(F.array_sort(others), 1, k)
+    return own.select("query_id", "n_compared", F.posexplode(ranked).alias("pos", "c")).select("query_id", (F.col("pos") + 1).cast("int").alias("rank"), F.col("c.v").alias("vec_id"), (-F.col("c.s")).alias("score"), "n_compared")

@@ -138,9 +138,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, dims: int = DI
 
 
 def score_documents(docs: DataFrame, model: Model, name: str = "quality_score") -> DataFrame:
-    """docs with the score appended in a column of the given name; all other columns pass through."""
-    if name in docs.columns:
-        raise ValueError(f"the documents already have a column {name}")
+    """docs with the score appended in a column of the given name (underscores follow it where it is taken); all others pass through."""
+    name = free_name(docs, name)
     shared = docs.sparkSession.sparkContext.broadcast(model)
     names = [*docs.columns, name]
     at = docs.columns.index("text")

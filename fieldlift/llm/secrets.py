@@ -22,6 +22,8 @@ from pyspark.ml.functions import array_to_vector
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import free_name
+
 #: Candidate patterns.
 NAMES = r"(?i:password|passwd|pwd|passphrase|secret|token|api[_-]?key|access[_-]?key|auth[_-]?key|private[_-]?key|client[_-]?secret)"
 GIVEN = NAMES + r"""[A-Za-z0-9_]*+["']?\s{0,2}[=:]\s{0,2}["']?"""
@@ -185,15 +187,23 @@ def judge(text: Column, forest: list[tuple]) -> Column:
 
 
 def scan(docs: DataFrame, findings: DataFrame | None = None, limit: float = 0.5) -> DataFrame:
-    """docs with _findings (all judged candidates), _secrets (those kept) and _clean (text with secrets replaced)."""
-    spark = docs.sparkSession
+    """docs with _findings (all judged candidates), _secrets (those kept) and _clean (text with secrets replaced).
+
+    Where docs has a column of such a name, underscores follow the new one's.
+    """
+    found, secret, clean = (free_name(docs, c) for c in ("_findings", "_secrets", "_clean"))
+    return judged_texts(docs.select("*", F.col("text").alias(clean)), clean, found, secret, findings, limit).select(*docs.columns, found, secret, clean)
+
+
+def judged_texts(rows: DataFrame, text: str, found: str, secret: str, findings: DataFrame | None = None, limit: float = 0.5) -> DataFrame:
+    """rows with judged candidates and secrets of a text column, which loses its secrets."""
+    spark = rows.sparkSession
     forest = train(findings if findings is not None else findings_frame(spark, labelled_findings()))
-    judged = docs.withColumn("_findings", judge(F.coalesce("text", F.lit("")), forest))
-    kept = F.filter("_findings", lambda f: f["score"] > limit)
+    judged = rows.withColumn(found, judge(F.coalesce(text, F.lit("")), forest))
+    judged = judged.withColumn(secret, F.filter(found, lambda f: f["score"] > limit))
     # longer values first, so a value inside another doesn't break it up
-    values = F.array_sort(F.array_distinct(F.transform("_secrets", lambda f: F.struct((-F.length(f["value"])).alias("n"), f["value"].alias("v")))))
-    judged = judged.withColumn("_secrets", kept)
-    return judged.withColumn("_clean", F.when(F.size("_secrets") > 0, F.aggregate(values, F.col("text"), lambda t, v: F.replace(t, v["v"], F.lit("[secret]")))).otherwise(F.col("text")))
+    values = F.array_sort(F.array_distinct(F.transform(secret, lambda f: F.struct((-F.length(f["value"])).alias("n"), f["value"].alias("v")))))
+    return judged.withColumn(text, F.when(F.size(secret) > 0, F.aggregate(values, F.col(text), lambda t, v: F.replace(t, v["v"], F.lit("[secret]")))).otherwise(F.col(text)))
 
 
 def scan_digest(docs: DataFrame) -> DataFrame:
@@ -210,6 +220,7 @@ def scan_digest(docs: DataFrame) -> DataFrame:
 
 
 def redact(docs: DataFrame) -> DataFrame:
-    """docs with secrets in text replaced; columns unchanged."""
-    columns = docs.columns
-    return scan(docs).withColumn("text", F.col("_clean")).select(*columns)
+    """docs with secrets in text replaced; columns unchanged. Rows travel in a struct, so no name can clash."""
+    wrapped = docs.select(F.struct("*").alias("row"), F.col("text").alias("cleaned"))
+    judged = judged_texts(wrapped, "cleaned", "found", "secret")
+    return judged.select(F.col("row").withField("text", F.col("cleaned")).alias("row")).select("row.*")

@@ -155,6 +155,31 @@ def test_forest_ascends_above_its_shards(spark):
     assert sorted(map(tuple, got)) == sorted(map(tuple, whole))
 
 
+def test_forest_stops_early_with_a_small_breadth(spark):
+    rng = np.random.default_rng(8)
+    centres = rng.standard_normal((200, 32))
+    x = (centres[np.arange(6000) % 200] + 0.15 * rng.standard_normal((6000, 32))).astype(float)
+    got = neighbours.search(vector_frame(spark, x), every=60, breadth=1200, shard=700).collect()
+    share = np.mean([r.n_compared for r in got]) / len(x)
+    assert share < 0.1 and recall(got, x, 60) >= 0.9, (share, recall(got, x, 60))
+    wide = neighbours.search(vector_frame(spark, x), every=60, breadth=24 * 6000, shard=700).collect()
+    assert {r.n_compared for r in wide} == {6000} and recall(wide, x, 60) == 1.0
+
+
+def test_forest_equal_vectors_and_shared_ids(spark):
+    rng = np.random.default_rng(9)
+    a, b = rng.standard_normal((2, 8)).tolist()
+    rows = [(k, a, "x", "y") for k in range(60)] + [(20, b, "x", "y"), (20, a, "x", "y"), (41, b, "x", "y"), (43, a[:4], "x", "y")]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, cid string, least string")
+    got = collections.defaultdict(list)
+    for r in sorted(neighbours.search(df).collect(), key=lambda r: (r.query_id, r["rank"])):
+        got[r.query_id].append((r["rank"], r.vec_id))
+    assert [v for _, v in got[0]] == [*range(1, 20), 20] and [v for _, v in got[40]] == [*range(20), 20][:20]
+    # three rows with id 20: two of vector a see the other first where the ids reach it, that of b sees 41 first
+    assert len(got[20]) == 60 and sorted(v for k, v in got[20] if k == 1) == sorted([0, 0, 41] if np.dot(a, a) > 0 and np.dot(b, b) > np.dot(a, b) else [0, 0, 0])
+    assert neighbours.search(df.limit(0)).count() == 0
+
+
 def test_quality_held_out(spark, data, odd, empty):
     folder = data.replace("sf0.001", "sf0.01")
     d, labels = spark.read.parquet(f"{folder}/documents.parquet"), spark.read.parquet(f"{folder}/labels.parquet")
