@@ -9,8 +9,9 @@ known from the key range. Spark's writer commits the files, so lost executors on
 Encoding cuts a text at blanks that follow a non-blank (no token of the byte-level pattern spans such a place), encodes each
 distinct piece once with the tokenizers library and keeps its ids in a bounded table.
 
-Defined cases: null text is empty and gets only the end id; null doc_id sorts first; repeated doc_ids are told apart by an
-occurrence number in (doc_id, text hash) order; an empty table gives no shard and no rows; other columns are not read.
+Defined cases: null text is empty and gets only the end id; null doc_id sorts first; repeated doc_ids follow each other in (doc_id,
+text hash) order over as many shards as they need, told apart by shard and an occurrence number inside it; an empty table
+gives no shard and no rows; other columns are not read.
 """
 
 from __future__ import annotations
@@ -158,17 +159,17 @@ def key_words(ids: np.ndarray, missing: np.ndarray, occurrence: np.ndarray) -> n
 
 
 class PerfectHash:
-    """Minimal perfect hash: at each level, keys that land alone on a bit are placed; the rest go one level down."""
+    """Minimal perfect hash: at each level, keys that land alone on a bit are placed; the rest go one level down.
 
-    def __init__(self, sizes: list[int], bits: np.ndarray):
-        self.sizes, self.bits = sizes, bits
-        self.starts = np.r_[0, np.cumsum(sizes)].astype(np.int64)
-        flags = np.unpackbits(bits)[: int(self.starts[-1])]
-        self.flags, self.rank = flags, np.r_[0, np.cumsum(flags, dtype=np.int64)]
+    words are the levels' bits in order, ranks the number of set bits before each word.
+    """
+
+    def __init__(self, sizes: list[int], words: np.ndarray, ranks: np.ndarray):
+        self.sizes, self.words, self.ranks = sizes, words, ranks
 
     @classmethod
-    def build(cls, words: np.ndarray) -> PerfectHash:
-        sizes, levels, left = [], [], words
+    def build(cls, keys: np.ndarray) -> PerfectHash:
+        sizes, levels, left = [], [], keys
         while len(left):
             if len(sizes) > 200:
                 raise ValueError("two keys have one word")
@@ -178,18 +179,26 @@ class PerfectHash:
             levels.append(alone)
             sizes.append(size)
             left = left[~alone[at]]
-        return cls(sizes, np.packbits(np.concatenate(levels)) if levels else np.empty(0, np.uint8))
-
-    def slots(self, words: np.ndarray) -> np.ndarray:
-        """Slot of each key (0 to n - 1), or -1 if no level places it."""
-        out, open_keys = np.full(len(words), -1, np.int64), np.arange(len(words))
+        bits = np.concatenate(levels) if levels else np.empty(0, bool)
+        packed = np.packbits(bits, bitorder="little")
+        words = np.frombuffer(packed.tobytes() + bytes(-len(packed) % 8), "<u8")
+        ones = np.cumsum(np.bitwise_count(words), dtype=np.int64)
+        return cls(sizes, words, np.r_[0, ones[:-1]].astype(np.uint32) if len(ones) else np.empty(0, np.uint32))
+
+    def slots(self, keys: np.ndarray) -> np.ndarray:
+        """Slot of each key (0 to n - 1), or -1 if no level places it. The work depends on the keys asked for only."""
+        out, open_keys, start = np.full(len(keys), -1, np.int64), np.arange(len(keys)), 0
         for level, size in enumerate(self.sizes):
             if not len(open_keys):
                 break
-            at = self.starts[level] + (mixed(words[open_keys], level) % np.uint64(size)).astype(np.int64)
-            hit = self.flags[at] == 1
-            out[open_keys[hit]] = self.rank[at[hit]]
+            at = np.uint64(start) + mixed(keys[open_keys], level) % np.uint64(size)
+            word, bit = (at >> np.uint64(6)).astype(np.int64), at & np.uint64(63)
+            held = self.words[word]
+            hit = (held >> bit) & np.uint64(1) == 1
+            below = held & ((np.uint64(1) << bit) - np.uint64(1))
+            out[open_keys[hit]] = (self.ranks[word] + np.bitwise_count(below))[hit]
             open_keys = open_keys[~hit]
+            start += size
         return out
 
 
@@ -198,10 +207,10 @@ def prints_of(words: np.ndarray) -> np.ndarray:
 
 
 SHARD = pa.schema(
-    [("part", pa.int32()), ("shard", pa.int32()), ("before", pa.int64()), ("n_docs", pa.int64()), ("n_ids", pa.int64()), ("first_key", pa.int64()), ("last_key", pa.int64()), ("width", pa.int32()),
-     ("payload", pa.binary()), ("keys", pa.binary()), ("missing", pa.binary()), ("level_sizes", pa.list_(pa.int64())), ("level_bits", pa.binary()), ("prints", pa.binary()), ("offsets", pa.binary()), ("lengths", pa.binary())]
+    [("part", pa.int32()), ("shard", pa.int32()), ("before", pa.int64()), ("n_docs", pa.int64()), ("n_ids", pa.int64()), ("n_missing", pa.int64()), ("first_key", pa.int64()), ("last_key", pa.int64()), ("width", pa.int32()),
+     ("payload", pa.binary()), ("keys", pa.binary()), ("missing", pa.binary()), ("level_sizes", pa.list_(pa.int64())), ("level_bits", pa.binary()), ("ranks", pa.binary()), ("prints", pa.binary()), ("offsets", pa.binary()), ("lengths", pa.binary())]
 )
-SHARD_SQL = "part int, shard int, before long, n_docs long, n_ids long, first_key long, last_key long, width int, payload binary, keys binary, missing binary, level_sizes array<bigint>, level_bits binary, prints binary, offsets binary, lengths binary"
+SHARD_SQL = "part int, shard int, before long, n_docs long, n_ids long, n_missing long, first_key long, last_key long, width int, payload binary, keys binary, missing binary, level_sizes array<bigint>, level_bits binary, ranks binary, prints binary, offsets binary, lengths binary"
 
 
 def occurrences(ids: np.ndarray, missing: np.ndarray) -> np.ndarray:
@@ -224,8 +233,8 @@ def shard_row(part: int, shard: int, before: int, ids: list[int | None], payload
     by_slot = np.empty(len(keys), np.int64)
     by_slot[slot] = np.arange(len(keys))
     return {
-        "part": part, "shard": shard, "before": before, "n_docs": len(keys), "n_ids": int(lengths.sum()), "first_key": int(keys[0]), "last_key": int(keys[-1]), "width": size,
-        "payload": b"".join(payloads), "keys": keys.tobytes(), "missing": missing.tobytes(), "level_sizes": hashed.sizes, "level_bits": hashed.bits.tobytes(),
+        "part": part, "shard": shard, "before": before, "n_docs": len(keys), "n_ids": int(lengths.sum()), "n_missing": int(missing.sum()), "first_key": next((i for i in ids if i is not None), None), "last_key": ids[-1], "width": size,
+        "payload": b"".join(payloads), "keys": keys.tobytes(), "missing": missing.tobytes(), "level_sizes": hashed.sizes, "level_bits": hashed.words.tobytes(), "ranks": hashed.ranks.tobytes(),
         "prints": prints_of(words)[by_slot].tobytes(), "offsets": offsets[by_slot].tobytes(), "lengths": lengths[by_slot].tobytes(),
     }
 
@@ -253,7 +262,7 @@ def write_ids(docs: DataFrame, path: str, vocabulary: str | None = None, end_id:
             for piece in slices(batch, "text", 2 << 20):
                 keys, coded = piece.column(0).to_pylist(), code.encode(piece.column(1).to_pylist())
                 for key, data in zip(keys, coded):
-                    if size >= shard_bytes and key != ids[-1]:  # equal keys share a shard, so occurrence numbers hold
+                    if size >= shard_bytes:
                         yield close()
                     ids.append(key)
                     payloads.append(data + end)
@@ -267,20 +276,52 @@ def write_ids(docs: DataFrame, path: str, vocabulary: str | None = None, end_id:
 
 
 def open_shard(row: dict) -> tuple[PerfectHash, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    hashed = PerfectHash(list(row["level_sizes"]), np.frombuffer(row["level_bits"], np.uint8))
+    """Views of a shard's index and payload; nothing is unpacked."""
+    hashed = PerfectHash(list(row["level_sizes"]), np.frombuffer(row["level_bits"], "<u8"), np.frombuffer(row["ranks"], np.uint32))
     kinds = (("prints", np.uint32), ("offsets", np.int64), ("lengths", np.int64))
     return hashed, *[np.frombuffer(row[k], t) for k, t in kinds], np.frombuffer(row["payload"], "<u2" if row["width"] == 2 else "<u4")
 
 
-def lookup(row: dict, keys: list[int], occurrence: int = 0) -> list[np.ndarray | None]:
+def lookup(row: dict, keys: list[int | None], occurrence: int = 0) -> list[np.ndarray | None]:
     """Ids of keys in one shard in constant time each; None for absent keys."""
     hashed, prints, offsets, lengths, payload = open_shard(row)
-    words = key_words(np.array(keys, np.int64), np.zeros(len(keys), bool), np.full(len(keys), occurrence))
+    missing = np.array([k is None for k in keys], bool)
+    words = key_words(np.array([k or 0 for k in keys], np.int64), missing, np.full(len(keys), occurrence))
     slots = hashed.slots(words)
-    known = (slots >= 0) & (prints[np.maximum(slots, 0)] == prints_of(words))
+    known = (slots >= 0) & (prints[np.maximum(slots, 0)] == prints_of(words)) if len(prints) else np.zeros(len(keys), bool)
     return [payload[offsets[s] : offsets[s] + lengths[s]] if ok else None for s, ok in zip(slots, known)]
 
 
+def get(spark: SparkSession, path: str, keys: list[int | None]) -> DataFrame:
+    """(doc_id, part, shard, occurrence, ids) of every document with one of the keys, from the files at path.
+
+    Only shards whose key range holds a key are read; a fingerprint lets about one absent key in 2**32 pass.
+    """
+    given = sorted({k for k in keys if k is not None})
+    held = F.lit(False)
+    if given:
+        inside = F.exists(F.array(*map(F.lit, given)), lambda k: k.between(F.col("first_key"), F.col("last_key")))
+        held = F.col("first_key").isNotNull() & (F.col("first_key") <= given[-1]) & (F.col("last_key") >= given[0]) & inside
+    if None in keys:
+        held = held | (F.col("n_missing") > 0)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(batch.num_rows):
+                row = batch.slice(k, 1).to_pylist()[0]
+                asked = [x for x in given if row["first_key"] is not None and row["first_key"] <= x <= row["last_key"]] + [None] * (None in keys and row["n_missing"] > 0)
+                found, turn = [], 0
+                while asked:
+                    got = [(x, ids) for x, ids in zip(asked, lookup(row, asked, turn)) if ids is not None]
+                    found += [(x, row["part"], row["shard"], turn, ids) for x, ids in got]
+                    asked, turn = [x for x, _ in got], turn + 1
+                if found:
+                    columns = [pa.array(c, t) for c, t in zip(zip(*found), (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int64())))]
+                    yield pa.RecordBatch.from_arrays(columns, ["doc_id", "part", "shard", "occurrence", "ids"])
+
+    return spark.read.schema(SHARD_SQL).parquet(path).filter(held).mapInArrow(run, "doc_id long, part int, shard int, occurrence int, ids array<bigint>")
+
+
 def read_back(spark: SparkSession, path: str) -> DataFrame:
     """(doc_id, start, n_tokens, ids_crc32) of every document, from the files, through their index."""
     shards = spark.read.schema(SHARD_SQL).parquet(path)

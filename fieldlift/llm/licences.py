@@ -1,6 +1,6 @@
 """Licence scans: exact phrases and fuzzy short notices.
 
-A notice of length L may differ by up to k edits (k grows with L). By the pigeonhole principle one of k + 1
+A notice of length L may differ by up to k edits (k grows with L; a few short ones allow none). By the pigeonhole principle one of k + 1
 pieces of the notice must then occur unchanged, so piece occurrences, found by plain substring search, are the
 only places where the regex library's bounded-error matching has to run; there it tries every run of whole words of a fitting
 length. Matches may not change a digit (versions), may not be another known notice, may not put another licence's name in and may
@@ -22,20 +22,42 @@ from .common import map_batches, utf8
 
 #: Base phrases and their labels.
 BASE = {"under the mit license": "mit", "apache license version 2": "apache-2", "cc by nc": "cc-by-nc"}
-#: Further notices that the fuzzy search looks for.
-OWN = {"gnu general public license version 3": "gpl-3"}
-#: Notices near one of the above that mean something else.
-OTHER = ("cc by nd", "cc by sa", "cc by na", "cc by no")
+#: Further notices that the method looks for and their labels.
+OWN = {
+    "permission is hereby granted free of charge to any person obtaining a copy": "mit",
+    "redistribution and use in source and binary forms": "bsd",
+    "permission to use copy modify and or distribute this software for any purpose": "isc",
+    "licensed under the apache license": "apache",
+    "gnu general public license version 2": "gpl-2",
+    "gnu general public license version 3": "gpl-3",
+    "gnu lesser general public license": "lgpl",
+    "gnu affero general public license": "agpl",
+    "mozilla public license version 2": "mpl-2",
+    "eclipse public license version 2": "epl-2",
+    "boost software license version 1": "bsl-1",
+    "free and unencumbered software released into the public domain": "unlicense",
+    "creative commons attribution sharealike": "cc-by-sa",
+    "cc by sa": "cc-by-sa",
+    "cc by nd": "cc-by-nd",
+}
+#: Phrases looked for unchanged only: one more edit makes them other notices or plain words.
+EXACT = frozenset(("cc by sa", "cc by nd"))
+#: Word runs near one of the above that mean something else.
+OTHER = frozenset(("cc by na", "cc by no"))
 #: Names of other licences and their authors: a changed word that is one of them is no misspelling.
 NAMES = frozenset("afl agpl apl apsl artistic bsd bsl cc0 cddl cecill cern cpal cpl ecl ecos efl epl eupl fdl gfdl gpl ibm ipl isc lgpl lppl miros mitre mpl mspl msrl ms ncsa nist nosl npl ntp odbl ofl osl php pil psf ql rpl sil sspl upl vim w3c wtfpl x11 zlib zpl".split())
-#: The words that tell a phrase's licence from others.
-TELLING = {"mit": ("mit",), "apache-2": ("apache",), "cc-by-nc": ("cc", "by", "nc"), "gpl-3": ("gnu", "general", "public")}
+#: The short words that tell a phrase's licence from others.
+TELLING = frozenset(("mit", "cc", "by", "nc", "gnu"))
 #: Bytes that separate words become blanks; A-Z become a-z.
 _SPLIT = bytes(c if c >= 0x80 or chr(c).isdigit() or 97 <= c <= 122 else c + 32 if 65 <= c <= 90 else 32 for c in range(256))
 
 
+#: All phrases; none of them is a misspelling of another.
+KNOWN = frozenset((*BASE, *OWN))
+
+
 def allowed_edits(phrase: str) -> int:
-    return 1 if len(phrase) < 12 else 2
+    return 0 if phrase in EXACT else 1 if len(phrase) < 12 else 2 if len(phrase) < 48 else 3
 
 
 class Notice:
@@ -47,7 +69,7 @@ class Notice:
         self.exact = f" {phrase} ".encode()
         self.fuzzy = regex.compile(rf"(?b)(?:{regex.escape(phrase, literal_spaces=True)}){{e<={self.k}}}")
         self.words = phrase.split()
-        self.short = [(i, regex.compile(rf"(?:{w}){{e<=1}}")) for i, w in enumerate(self.words) if len(w) <= 3 and w in TELLING[label]]
+        self.short = [(i, regex.compile(rf"(?:{w}){{e<=1}}")) for i, w in enumerate(self.words) if w in TELLING]
         self.digits = re.sub(r"\D", "", phrase)
 
     def places(self, text: bytes) -> list[int]:
@@ -60,6 +82,8 @@ class Notice:
 
     def near(self, text: bytes) -> list[tuple[int, int, int]]:
         """(start, end, edits) of inexact matches, the best at each start."""
+        if not self.k:
+            return []
         reach = 4 * self.k  # an edit moves a place by at most one character of 4 bytes
         tried: set[tuple[int, int]] = set()
         out: dict[int, tuple[int, int]] = {}
@@ -79,7 +103,7 @@ class Notice:
 
     def edits(self, got: str) -> int:
         """Edits of an inexact notice, 0 if the words are none."""
-        if abs(len(got) - len(self.phrase)) > self.k or got in OTHER or self.phrase in got or re.sub(r"\D", "", got) != self.digits:
+        if abs(len(got) - len(self.phrase)) > self.k or got in OTHER or got in KNOWN or self.phrase in got or re.sub(r"\D", "", got) != self.digits:
             return 0
         m = self.fuzzy.fullmatch(got)
         words = got.split(" ")
@@ -104,8 +128,8 @@ def notices() -> list[Notice]:
     return [Notice(p, label, True) for p, label in BASE.items()] + [Notice(p, label, False) for p, label in OWN.items()]
 
 
-def scan_text(raw: bytes, known: list[Notice]) -> tuple[int, list[tuple[str, int, int, int, bool]]]:
-    """(number of words, findings as (label, first word, last word, edits, base))."""
+def scan_text(raw: bytes, known: list[Notice]) -> tuple[int, list[tuple[str, int, int, int, bool, float]]]:
+    """(number of words, findings as (label, first word, last word, edits, base, score)); the score falls with the edits a letter."""
     words = raw.translate(_SPLIT).split()
     text = b" " + b" ".join(words) + b" "
     found = []
@@ -117,29 +141,28 @@ def scan_text(raw: bytes, known: list[Notice]) -> tuple[int, list[tuple[str, int
                 spans.append((s, e, k))
         for s, e, k in spans:
             first = text.count(b" ", 0, s) - 1
-            found.append((n.label, first, first + text.count(b" ", s, e), k, n.base and not k))
+            found.append((n.label, first, first + text.count(b" ", s, e), k, n.base and not k, 1.0 - k / len(n.phrase)))
     return len(words), sorted(found, key=lambda x: (x[1], x[0], x[2]))
 
 
-SCHEMA = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, findings array<struct<label:string,first_word:bigint,last_word:bigint,edits:int,base:boolean>>"
+SCHEMA = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, findings array<struct<label:string,first_word:bigint,last_word:bigint,edits:int,base:boolean,score:double>>"
 
 
 def scan_licences(docs: DataFrame) -> DataFrame:
     """One row per document with its summary and findings (label, word span, edits)."""
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.float64(), pa.list_(pa.struct([("label", pa.string()), ("first_word", pa.int64()), ("last_word", pa.int64()), ("edits", pa.int32()), ("base", pa.bool_())]))]
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.float64(), pa.list_(pa.struct([("label", pa.string()), ("first_word", pa.int64()), ("last_word", pa.int64()), ("edits", pa.int32()), ("base", pa.bool_()), ("score", pa.float64())]))]
     names = [x.split()[0] for x in SCHEMA.split(", ")]
 
     def make():
         known = notices()
-        lengths = {n.label: len(n.phrase) for n in known}
 
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
             rows = []
             for raw in utf8(batch.column(1)):
                 n_words, found = scan_text(raw, known)
                 base = [x for x in found if x[4]]
-                score = max([0.0, *(1.0 - k / lengths[label] for label, _, _, k, _ in found)])
-                rows.append((n_words, len(base), min((x[1] for x in base), default=None), max((x[1] for x in base), default=None), ",".join(sorted({x[0] for x in base})), ",".join(sorted({x[0] for x in found})), score, [dict(zip(("label", "first_word", "last_word", "edits", "base"), x)) for x in found]))
+                score = max([0.0, *(x[5] for x in found)])
+                rows.append((n_words, len(base), min((x[1] for x in base), default=None), max((x[1] for x in base), default=None), ",".join(sorted({x[0] for x in base})), ",".join(sorted({x[0] for x in found})), score, [dict(zip(("label", "first_word", "last_word", "edits", "base", "score"), x)) for x in found]))
             columns = [pa.array(c, k) for c, k in zip(zip(*rows) if rows else [[]] * 8, kinds[1:])]
             return pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), *columns], names)
 

@@ -6,8 +6,8 @@ paired with the FAN next ones of later frames within REACH frames. A pair's hash
 stored time-coded: frame << 32 | hash.
 
 Defined cases: null text is empty; the payload is zero-padded to a positive multiple of 64 bytes, so an empty
-text is 64 zero bytes with an empty fingerprint; texts of any length are analysed in blocks of frames, so
-memory does not grow with the number of frames; equal texts give equal values; other columns are not read.
+text is 64 zero bytes with an empty fingerprint; texts of any length are analysed in blocks of frames, so beside
+the stored bytes only the landmarks grow with a text; equal texts give equal values; other columns are not read.
 """
 
 from __future__ import annotations
@@ -53,14 +53,17 @@ def from_wav(media: bytes) -> bytes:
 
 
 def landmarks(samples: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(frame, bin) of the spectral peaks, in time order then frequency order."""
+    """(frame, bin) of the spectral peaks, in time order then frequency order; samples are centred floats or stored bytes."""
     n = 1 + max(0, -(-(len(samples) - FRAME) // HOP))
-    x = np.zeros((n - 1) * HOP + FRAME, np.float32)
-    x[: len(samples)] = samples
-    frames = np.lib.stride_tricks.sliding_window_view(x, FRAME)[::HOP]
+    centre = 128 if samples.dtype == np.uint8 else 0
     times, bins = [], []
     for at in range(0, n, BLOCK):
-        part = frames[at : at + BLOCK]
+        m = min(BLOCK, n - at)
+        piece = samples[at * HOP : (at + m - 1) * HOP + FRAME]
+        x = np.zeros((m - 1) * HOP + FRAME, np.float32)
+        x[: len(piece)] = piece
+        x[: len(piece)] -= centre
+        part = np.lib.stride_tricks.sliding_window_view(x, FRAME)[::HOP]
         part = (part - part.mean(axis=1, keepdims=True)) * WINDOW
         power = np.abs(np.fft.rfft(part, axis=1)).astype(np.float32)
         floor = power.mean(axis=1)
@@ -106,7 +109,7 @@ def read_media(stored: DataFrame) -> DataFrame:
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
             media = batch.column("media").to_pylist()
             payloads = [from_wav(m) for m in media]
-            prints = [fingerprint(np.frombuffer(p, np.uint8).astype(np.float32) - 128) if any(p) else np.empty(0, np.int64) for p in payloads]
+            prints = [fingerprint(np.frombuffer(p, np.uint8)) if any(p) else np.empty(0, np.int64) for p in payloads]
             return pa.RecordBatch.from_arrays(
                 [
                     batch.column("doc_id"),
