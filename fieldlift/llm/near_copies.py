@@ -38,11 +38,13 @@ from .common import cut, free_name, slices, utf8
 #: Words of a shingle, similarity in hundredths.
 WORDS, PERCENT = 5, 75
 #: Parameters: largest l, cost of verifying a candidate in units of reading a list entry, most star rounds, centres of a list and mates of a set verified in a round.
-MOST, CHECK_COST, ROUNDS, CENTRES, MATES = 8, 20.0, 4, 6, 4
+MOST, CHECK_COST, ROUNDS, CENTRES, MATES = 8, 20.0, 2, 6, 4
 #: Count sketch: rows, cells of a row, cells of a shipped piece. Its size bounds what is broadcast (one byte a cell).
 SKETCH_ROWS, CELLS, PIECE = 2, 1 << 21, 1 << 14
 #: Lists of tokens estimated to be longer than LONG are dealt over so many salts.
 LONG, SALTS = 2048, 64
+#: Sets of a round whose keys are few enough to be broadcast (8 bytes each).
+FEW = 20_000
 #: Bits of the filter of wanted documents.
 FILTER_BITS = 1 << 23
 
@@ -254,7 +256,9 @@ def sets_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def linked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """pairs (a, b) with the exact answer in column `link`."""
+    """pairs (a, b) with the exact answer in column `link`. Only sets that some pair names are shuffled."""
+    named = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct().limit(FEW + 1)
+    sets = sets.join(F.broadcast(named), "cls", "left_semi") if named.count() <= FEW else sets
     full = pairs.join(sets.select(F.col("cls").alias("a"), F.col("tokens").alias("x")), "a").join(sets.select(F.col("cls").alias("b"), F.col("tokens").alias("y")), "b")
     counted = full.select("a", "b", F.size(F.array_intersect("x", "y")).cast("long").alias("both"), (F.size("x") + F.size("y")).cast("long").alias("sizes"))
     return counted.select("a", "b", (100 * F.col("both") >= PERCENT * (F.col("sizes") - F.col("both"))).alias("link"))
@@ -265,19 +269,18 @@ def components(nodes: DataFrame, edges: DataFrame) -> DataFrame:
 
     Alternating large-star and small-star rounds; each is linear in the edges and their number is logarithmic.
     """
-    e = cut(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u != v").distinct())
+    e, was = cut(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u != v").distinct()), None
     while True:
         both = e.union(e.select(F.col("v"), F.col("u")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.explode(F.array(F.struct(F.col("u").alias("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.*").filter("u != v").distinct()
-        small = cut(small)
-        n, s = small.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        was = e.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        e = small
-        if (n, s) == tuple(was):
+        e = cut(small)
+        now = tuple(e.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
+        if now == was:
             break
+        was = now
     return nodes.join(e.select(F.col("u").alias("cls"), F.col("v").alias("comp")), "cls", "left").select("cls", F.coalesce("comp", "cls").alias("comp"))
 
 

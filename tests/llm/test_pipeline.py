@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 import corpus_pipeline as p
 from fieldlift.llm import bpe, mixing, quality
 
-from .test_llm_operators import brute_components
+from .test_llm_operators import DOCS, ODD, brute_components
 
 
 def test_stages_take_effect(spark, data):
@@ -38,3 +38,17 @@ def test_near_copies_of_repeated_and_null_ids(spark, data):
     texts = sorted((str(r.doc_id), r.text[:2]) for r in got if r.text and r.text.strip())
     assert texts == [("2", "b0"), ("5", "a0"), ("7", "d0"), ("9", "e0"), ("None", "c0")]
     assert sorted(str(r.doc_id) for r in got if not (r.text and r.text.strip())) == ["11", "12", "None"]
+
+
+def test_stages_on_odd_and_empty_tables(spark, data, tmp_path):
+    for rows in (ODD, []):
+        docs = spark.createDataFrame(rows, DOCS)
+        for k, (_, stage) in enumerate(p.STAGES):
+            out = stage(spark, docs, data)
+            assert k == len(p.STAGES) - 1 or out.columns == docs.columns
+            out.write.parquet(str(tmp_path / f"{len(rows)}-{k}"))
+            docs = spark.read.parquet(str(tmp_path / f"{len(rows)}-{k}"))
+        assert rows or docs.count() == 0
+    # each stage by itself, on all odd rows
+    for name, stage in p.STAGES:
+        assert stage(spark, spark.createDataFrame(ODD, DOCS), data).count() > 0 or name == "quality classifier"
