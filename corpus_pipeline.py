@@ -9,11 +9,11 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from fieldlift.llm import bpe, mixing, near_copies, quality, secrets
-from fieldlift.llm.common import ensure_checkpoint_dir, table
-from fieldlift.session import ship
+from fieldlift.llm.common import table
+from fieldlift.operators.stages import cleanup
+from fieldlift.session import ensure_checkpoint_dir, ship
 
 #: No SQL form: learned votes and hashed rounding have none. tests/llm checks run() against a brute-force version.
 ORACLE_SQL = None
@@ -59,11 +59,12 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages in order over the documents table."""
-    ensure_checkpoint_dir(spark)
-    folder = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4().hex}"
+    """All stages in order over the documents table; a stage's folder goes when the next one is written."""
+    folder = f"{ensure_checkpoint_dir(spark)}/pipeline-{uuid.uuid4().hex}"
     docs = table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
         docs = spark.read.parquet(f"{folder}/{k}")
+        if k:
+            cleanup(spark, f"{folder}/{k - 1}")
     return docs

@@ -166,13 +166,18 @@ def xml_nodes(xml: str | bytes | None, numbering: str = "global", attributes: bo
     return tree.nodes
 
 
-def node_table(docs: DataFrame, body: str, keep: tuple[str, ...], kind: str = "html", max_nodes: int | None = None, **options) -> DataFrame:
+FIELDS = tuple(x.split()[0] for x in NODE.split(", "))
+
+
+def node_table(docs: DataFrame, body: str, keep: tuple[str, ...], kind: str = "html", max_nodes: int | None = None, fields: tuple[str, ...] = FIELDS, **options) -> DataFrame:
     """One row for each node: the keep columns and the node's fields. XML that does not parse gives one row with a null ord.
 
+    Only the named fields leave Python: no later pruning can take back a path spelling once it is built.
     max_nodes, if set, stops very large documents; the row after the last kept node then has the text null.
     """
-    schema = ", ".join([f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep]) + ", " + NODE
-    names = [*keep, *[x.split()[0] for x in NODE.split(", ")]]
+    wanted = [FIELDS.index(f) for f in fields]
+    schema = ", ".join([f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep] + [NODE.split(", ")[k] for k in wanted])
+    names = [*keep, *fields]
     parse = html_nodes if kind == "html" else xml_nodes
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -191,7 +196,7 @@ def node_table(docs: DataFrame, body: str, keep: tuple[str, ...], kind: str = "h
                     owner += [i] * len(nodes)
                 index = pa.array(owner, pa.int32())
                 kept = [part.column(k).take(index) for k in range(len(keep))]
-                columns = [pa.array(c, t) for c, t in zip(zip(*rows) if rows else [[]] * len(_NODE_TYPES), _NODE_TYPES)]
+                columns = [pa.array([r[k] for r in rows], _NODE_TYPES[k]) for k in wanted]
                 yield pa.RecordBatch.from_arrays([*kept, *columns], names)
 
     return docs.select(*keep, body).mapInArrow(run, schema)

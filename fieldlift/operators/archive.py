@@ -178,3 +178,9 @@ def new_items(items: DataFrame, seen: DataFrame) -> DataFrame:
 def due_sources(schedule: DataFrame, as_of: Column) -> DataFrame:
     """Sources (source, last_run, every_days) that are due at a time."""
     return schedule.withColumn("due_at", F.date_add(F.col("last_run").cast("date"), F.col("every_days"))).filter(F.col("due_at") <= as_of.cast("date"))
+
+
+def brute_force_cost(ids: DataFrame) -> DataFrame:
+    """(source, brute_force, harvested, hit_rate): requests of trying a source's whole id range against its known ids."""
+    span = (F.max("item_id") - F.min("item_id") + 1).alias("brute_force")
+    return ids.groupBy("source").agg(span, F.count(F.lit(1)).alias("harvested")).withColumn("hit_rate", F.col("harvested") / F.col("brute_force"))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -108,3 +109,22 @@ def write_inventory(inventory: DataFrame, path: str) -> None:
     """One JSON object for each source: path -> [count, examples]."""
     entry = F.map_from_entries(F.array_sort(F.collect_list(F.struct("path", F.struct("n", "samples")))))
     inventory.groupBy("source").agg(F.to_json(entry).alias("value")).select("value").write.mode("overwrite").text(path)
+
+
+def audit_phases(phases: dict[str, DataFrame]) -> DataFrame:
+    """(source, phase, paths, mass): each source's inventory under the phase that validates it (native records, converted ones)."""
+    parts = [inv.groupBy("source").agg(F.count(F.lit(1)).alias("paths"), F.sum("n").alias("mass")).select("source", F.lit(name).alias("phase"), "paths", "mass") for name, inv in phases.items()]
+    return reduce(DataFrame.unionByName, parts)
+
+
+def rounds_to_coverage(inventory: DataFrame, order: str, k: int, share: float, most: int = 1000) -> int:
+    """Rounds of k reviewed paths each until the seen paths hold the share of all occurrences."""
+    total, seen, left = inventory.agg(F.sum("n")).first()[0] or 0, 0, inventory
+    for r in range(1, most + 1):
+        queue = review_queue(left, k, order).select("source", "path", "n").collect()  # k rows
+        seen += sum(q["n"] for q in queue)
+        if not queue or seen >= share * total:
+            return r
+        done = inventory.sparkSession.createDataFrame([(q["source"], q["path"]) for q in queue], "source string, path string")
+        left = left.join(done, ["source", "path"], "left_anti")
+    return most

@@ -9,6 +9,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions.columns import text_sim
+from ..session import ensure_checkpoint_dir
+from . import fuzzy
 
 
 def lines_of(documents: DataFrame, low: int = 3, high: int = 60) -> DataFrame:
@@ -44,40 +46,17 @@ def stratified_sample(docs: DataFrame, signatures: DataFrame, per_template: int)
     return docs.join(chosen, "doc_id")
 
 
-def qgrams(text, q: int = 2):
-    padded = F.concat(F.lit("#"), F.lower(text), F.lit("#"))
-    return F.array_distinct(F.transform(F.sequence(F.lit(1), F.length(padded) - q + 1), lambda i: F.substring(padded, i, F.lit(q))))
-
-
 def similar_pairs(candidates: DataFrame, theta: float = 0.8, blocked: bool = True) -> DataFrame:
     """(lang, a, b, sim) of different texts of one language with text_sim >= theta, a < b.
 
-    Two texts within e edits share at least max(length) + 1 - 2e bigrams (of length + 1 each), so each puts its 2e + 1
-    rarest bigrams, e by its own longest possible mate, into the join and pairs meet on one of them; sets of repeated bigrams
-    are numbered so the bound holds. The plain version compares all pairs and is the reference.
+    Texts meet on segments (see fuzzy); the plain version compares all pairs and is the reference in the tests.
     """
     base = candidates.select("lang", "text").distinct()
-    other = base.select("lang", F.col("text").alias("b"))
-    a = base.withColumnRenamed("text", "a")
-    longer = F.greatest(F.length("a"), F.length("b"))
-    if not blocked:
-        met = a.join(other, "lang").filter("a < b")
+    if blocked:
+        met = fuzzy.near_pairs_within(base, theta)
     else:
-        padded = F.concat(F.lit("#"), F.lower("text"), F.lit("#"))
-        grams = F.transform(F.sequence(F.lit(1), F.length(padded) - 1), lambda i: F.substring(padded, i, F.lit(2)))
-        rows = base.select("lang", "text", F.posexplode(grams).alias("at", "g"))
-        rows = rows.withColumn("k", F.row_number().over(Window.partitionBy("lang", "text", "g").orderBy("at"))).withColumn("g", F.concat_ws("\u0001", "g", "k"))
-        frequency = rows.groupBy("lang", "g").agg(F.count(F.lit(1)).alias("f"))
-        ranked = rows.join(frequency, ["lang", "g"]).withColumn("r", F.row_number().over(Window.partitionBy("lang", "text").orderBy("f", "g")))
-        edits = F.floor(F.length("text") / theta * (1 - theta) + 1e-9)
-        prefix = ranked.filter(F.col("r") <= 2 * edits + 1).select("lang", "text", "g")
-        # texts too short for the bound meet by length alone
-        tiny = base.filter(F.length("text") + 1 <= 2 * F.floor(F.length("text") / theta * (1 - theta) + 1e-9)).select("lang", "text")
-        near = tiny.select("lang", F.col("text").alias("a")).join(other, "lang").filter(F.abs(F.length("a") - F.length("b")) <= 2 + F.length("a") * (1 - theta) / theta)
-        met = prefix.select("lang", "g", F.col("text").alias("a")).join(prefix.select("lang", "g", F.col("text").alias("b")), ["lang", "g"]).filter("a < b").select("lang", "a", "b")
-        met = met.union(near.select("lang", F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).filter("a < b")).distinct()
-    within = (F.least(F.length("a"), F.length("b")) >= longer * theta) & (F.levenshtein("a", "b") <= longer * (1 - theta) + 1e-9)
-    return met.filter(within).select("lang", "a", "b", text_sim("a", "b").alias("sim"))
+        met = base.withColumnRenamed("text", "a").join(base.withColumnRenamed("text", "b"), "lang").filter("a < b").filter(fuzzy.within("a", "b", theta))
+    return met.select("lang", "a", "b", text_sim("a", "b").alias("sim"))
 
 
 def components(nodes: DataFrame, edges: DataFrame, checkpoint: bool = True) -> DataFrame:
@@ -100,12 +79,8 @@ def components(nodes: DataFrame, edges: DataFrame, checkpoint: bool = True) -> D
 
 
 def _cut(df: DataFrame) -> DataFrame:
-    """Materialise in the cluster's shared checkpoint folder, or in one of our own where none is set."""
-    import tempfile
-
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="fieldlift-checkpoint-"))
+    """Materialise in the shared checkpoint folder."""
+    ensure_checkpoint_dir(df.sparkSession)
     return df.checkpoint()
 
 
@@ -153,9 +128,9 @@ def edit_dictionary(dictionary: DataFrame, edits: DataFrame) -> DataFrame:
     """Applies edits (op, lang, key_id, surface, target): add and remove a surface, merge one key into another, rename an element."""
     op = lambda name: edits.filter(F.col("op") == name)
     out = dictionary.join(op("remove").select("lang", "key_id", "surface"), ["lang", "key_id", "surface"], "left_anti").select(*dictionary.columns)
-    merge = F.broadcast(op("merge").select("lang", "key_id", F.col("target").alias("_into")))
+    merge = op("merge").select("lang", "key_id", F.col("target").alias("_into"))
     out = out.join(merge, ["lang", "key_id"], "left").withColumn("key_id", F.coalesce("_into", "key_id")).select(*dictionary.columns)
-    rename = F.broadcast(op("rename").select("key_id", F.col("target").alias("_name")).distinct())
+    rename = op("rename").select("key_id", F.col("target").alias("_name")).distinct()
     out = out.join(rename, "key_id", "left").withColumn("elem_name", F.coalesce("_name", "elem_name")).select(*dictionary.columns)
     names = out.groupBy("key_id").agg(F.min("elem_name").alias("_n"))
     fresh = op("add").join(names, "key_id", "left")

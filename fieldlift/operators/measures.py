@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions.shred import node_table
 from .dictionary import _cut
 
 
@@ -80,6 +82,40 @@ def score_pairs(found: DataFrame, truth: DataFrame) -> DataFrame:
     return out.withColumn("f1", F.coalesce(2 * F.col("precision") * F.col("recall") / F.nullif(F.col("precision") + F.col("recall"), F.lit(0.0)), F.lit(0.0)))
 
 
-def work_counters(nodes: DataFrame, mapped_fields: int, cached: bool = True) -> DataFrame:
-    """(docs, nodes, path_evaluations): parses once with cached path results, once a field without."""
-    return nodes.agg(F.countDistinct("doc_id").alias("docs"), F.count(F.lit(1)).alias("nodes")).withColumn("path_evaluations", F.col("nodes") * (1 if cached else mapped_fields))
+def text_sizes(entities: dict[str, DataFrame]) -> DataFrame:
+    """(source, bytes): bytes of all columns beside the source as UTF-8 text."""
+    parts = [df.select("source", reduce(lambda a, b: a + b, [F.coalesce(F.octet_length(F.col(c).cast("string")), F.lit(0)) for c in df.columns if c != "source"]).alias("b")) for df in entities.values()]
+    return reduce(DataFrame.unionByName, parts).groupBy("source").agg(F.sum("b").cast("long").alias("bytes"))
+
+
+def observed(df: DataFrame, **counters: Column) -> tuple[DataFrame, Observation]:
+    """df with counters that are measured while it is computed, wherever in a plan it stands."""
+    seen = Observation()
+    return df.observe(seen, *[c.alias(k) for k, c in counters.items()]), seen
+
+
+def work_counters(documents: DataFrame, shred: Callable[[DataFrame], DataFrame], evaluate: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """(docs, nodes, results): what went into the parser, came out of it and came out of the evaluation, observed as the plan runs."""
+    docs, a = observed(documents, docs=F.count(F.lit(1)))
+    nodes, b = observed(shred(docs), nodes=F.count(F.lit(1)))
+    out, c = observed(evaluate(nodes), results=F.count(F.lit(1)))
+    out.write.format("noop").mode("overwrite").save()
+    return documents.sparkSession.createDataFrame([(a.get["docs"], b.get["nodes"], c.get["results"])], "docs long, nodes long, results long")
+
+
+def count_parses(docs: DataFrame, paths: dict[str, str]) -> DataFrame:
+    """(method, parsed): documents that reach the parser when results are cached and when each field parses anew."""
+    from ..plans import baselines
+
+    spark, rows = docs.sparkSession, []
+    for method, run in (("parsed once", baselines.cached_fields), ("parsed for each field", baselines.reparse_each_field)):
+        seen: list[Observation] = []
+
+        def parse(d: DataFrame) -> DataFrame:
+            counted, o = observed(d, n=F.count(F.lit(1)))
+            seen.append(o)
+            return node_table(counted, "body", ("doc_id", "source", "lang"), "xml", fields=("ord", "plain", "text"))
+
+        run(parse, docs, paths).write.format("noop").mode("overwrite").save()
+        rows.append((method, sum(o.get["n"] for o in seen)))
+    return spark.createDataFrame(rows, "method string, parsed long")

@@ -11,26 +11,29 @@ from pyspark.sql.window import Window
 
 from ..functions.columns import fold_key, path_edit_sim, path_prefix_sim, text_sim
 from ..functions.shred import node_table
+from . import fuzzy
 
-#: Largest dictionary that is broadcast, in entries; beyond it the join is left to Spark.
-BROADCAST_ENTRIES = 100_000
+#: Largest dictionary, in entries, that every short text is compared with; larger ones meet texts on segments.
+COMPARED_ENTRIES = 512
 SPELLINGS = ("plain", "numbered", "attributed")
 SEPARATORS = (":", "=", "→", "-")
 
 
-def match_keys(nodes: DataFrame, dictionary: DataFrame, theta_key: float = 0.8) -> DataFrame:
+def match_keys(nodes: DataFrame, dictionary: DataFrame, theta_key: float = 0.8, compared: int = COMPARED_ENTRIES) -> DataFrame:
     """(lang, text, key_id, sim) of the distinct texts that are keys: exact hits first, then the best fuzzy one.
 
-    Only texts short enough for some entry are compared; ties go to the smaller key id. The dictionary's size is checked
-    before it is broadcast.
+    Only texts short enough for some entry take part; ties go to the smaller key id. A dictionary of at most `compared` entries is
+    broadcast and compared directly; a larger one is matched by the segment join, with the same result.
     """
     entries = dictionary.filter(~F.col("is_static")).select("lang", "key_id", F.lower("surface").alias("surface")).distinct()
     n, longest = entries.agg(F.count(F.lit(1)), F.max(F.length("surface"))).first()
     texts = nodes.filter(F.col("text").isNotNull()).select("lang", "text").filter(F.length("text") <= int((longest or 0) / max(theta_key, 0.01)) + 12).distinct().withColumn("folded", fold_key("text"))
-    sized = F.broadcast(entries) if n <= BROADCAST_ENTRIES else entries
-    length, other = F.length("folded"), F.length("surface")
-    close = (F.least(length, other) >= F.greatest(length, other) * theta_key) & (F.levenshtein("folded", "surface") <= F.greatest(length, other) * (1 - theta_key) + 1e-9)
-    found = texts.join(sized, "lang").filter((F.col("folded") == F.col("surface")) | close).withColumn("sim", text_sim("folded", "surface"))
+    if n <= compared:
+        met = texts.join(F.broadcast(entries), "lang").filter((F.col("folded") == F.col("surface")) | fuzzy.within("folded", "surface", theta_key))
+    else:
+        near = fuzzy.near_pairs(texts.select("lang", F.col("folded").alias("text")).distinct(), entries.select("lang", F.col("surface").alias("text")).distinct(), theta_key)
+        met = texts.join(near.select("lang", F.col("a").alias("folded"), F.col("b").alias("surface")), ["lang", "folded"]).join(entries, ["lang", "surface"])
+    found = met.withColumn("sim", text_sim("folded", "surface"))
     return found.groupBy("lang", "text").agg(F.min(F.struct((-F.col("sim")).alias("d"), "key_id")).alias("best")).select("lang", "text", F.col("best.key_id").alias("key_id"), (-F.col("best.d")).alias("sim"))
 
 
@@ -41,7 +44,7 @@ def split_inline(nodes: DataFrame, dictionary: DataFrame, theta_key: float = 0.8
     before it. Ordinals become doubles of the old ones so the order stays.
     """
     entries = dictionary.filter(~F.col("is_static")).select("lang", F.lower("surface").alias("surface")).distinct()
-    by_lang = F.broadcast(entries.groupBy("lang").agg(F.collect_set("surface").alias("_surfaces")))
+    by_lang = entries.groupBy("lang").agg(F.collect_set("surface").alias("_surfaces"))
     text = F.col("text")
     low = F.lower(text)
     starts = F.filter("_surfaces", lambda s: F.startswith(low, s) & (F.length(low) > F.length(s)) & ~F.substring(low, F.length(s) + 1, F.lit(1)).rlike(r"[\p{L}\p{N}]"))
@@ -169,7 +172,7 @@ def pair_values_hier(nodes: DataFrame, dictionary: DataFrame, theta_key: float =
     leaves = dictionary.filter(F.col("parent_key_id").isNotNull())
     top = match_keys(nodes, sections, theta_key).select("lang", "text", F.col("key_id").alias("section"))
     low = leaves.select("lang", F.lower("surface").alias("folded"), F.col("parent_key_id").alias("parent"), F.col("key_id").alias("leaf_id"), F.col("elem_name"))
-    names = F.broadcast(low.select("lang", "folded", "elem_name").distinct())
+    names = low.select("lang", "folded", "elem_name").distinct()
     marked = nodes.join(top, ["lang", "text"], "left").withColumn("folded", fold_key("text")).join(names, ["lang", "folded"], "left").withColumn("path", F.col(spelling))
     along = Window.partitionBy("doc_id").orderBy("ord").rowsBetween(Window.unboundedPreceding, 0)
     section = F.last(F.when(F.col("section").isNotNull(), F.struct("ord", "section", "path")), ignorenulls=True).over(along)
@@ -178,7 +181,7 @@ def pair_values_hier(nodes: DataFrame, dictionary: DataFrame, theta_key: float =
     live = F.col("f").isNotNull() & (F.col("f.ord") > F.col("s.ord"))
     near = F.when(live, path_prefix_sim("path", "f.path")).otherwise(path_prefix_sim("path", "s.path"))
     named = carried.filter(near > theta_path).withColumns({"parent": F.col("s.section"), "leaf": F.when(live, F.col("f.elem_name"))})
-    resolved = named.join(F.broadcast(low.select("parent", F.col("elem_name").alias("leaf"), "leaf_id", "lang")), ["lang", "parent", "leaf"], "left")
+    resolved = named.join(low.select("parent", F.col("elem_name").alias("leaf"), "leaf_id", "lang"), ["lang", "parent", "leaf"], "left")
     key_path = F.when(F.col("leaf").isNull(), F.col("parent")).otherwise(F.coalesce("leaf_id", F.concat_ws("/", "parent", "leaf")))
     return resolved.select("doc_id", "source", key_path.alias("key_path"), F.col("text").alias("value"), "ord")
 
@@ -188,7 +191,7 @@ def reroot(nodes: DataFrame, tag: str) -> DataFrame:
     inside = F.array_position("plain", tag)
     has = F.max(F.when(inside > 0, 1).otherwise(0)).over(Window.partitionBy("doc_id"))
     tail = lambda c: F.when(inside > 0, F.slice(c, inside.cast("int"), F.size(c))).otherwise(F.col(c))
-    return nodes.withColumn("_has", has).filter((F.col("_has") == 0) | (inside > 0)).drop("_has").withColumns({c: tail(c) for c in SPELLINGS})
+    return nodes.withColumn("_has", has).filter((F.col("_has") == 0) | (inside > 0)).drop("_has").withColumns({c: tail(c) for c in SPELLINGS if c in nodes.columns})
 
 
 def inject_keyless(nodes: DataFrame, rules: dict[str, str]) -> DataFrame:
@@ -206,7 +209,7 @@ def emit_xml(pairs: DataFrame, dictionary: DataFrame, root: str = "document") ->
     """(doc_id, xml): pairs as elements in document order; repeated keys stand in a container named after them."""
     names = dictionary.groupBy("key_id").agg(F.min("elem_name").alias("elem"))
     esc = lambda c: F.replace(F.replace(F.replace(c, F.lit("&"), F.lit("&amp;")), F.lit("<"), F.lit("&lt;")), F.lit(">"), F.lit("&gt;"))
-    named = pairs.join(F.broadcast(names), "key_id").withColumn("e", F.concat(F.lit("<"), F.col("elem"), F.lit(">"), esc(F.col("value")), F.lit("</"), F.col("elem"), F.lit(">")))
+    named = pairs.join(names, "key_id").withColumn("e", F.concat(F.lit("<"), F.col("elem"), F.lit(">"), esc(F.col("value")), F.lit("</"), F.col("elem"), F.lit(">")))
     per_key = named.groupBy("doc_id", "elem").agg(F.array_sort(F.collect_list(F.struct("ord", "e"))).alias("es"))
     body = F.array_join(F.transform("es", lambda x: x["e"]), "")
     block = F.when(F.size("es") > 1, F.concat(F.lit("<list_of_"), F.col("elem"), F.lit(">"), body, F.lit("</list_of_"), F.col("elem"), F.lit(">"))).otherwise(body)
@@ -216,10 +219,13 @@ def emit_xml(pairs: DataFrame, dictionary: DataFrame, root: str = "document") ->
 
 def html_pairs(notices: DataFrame, dictionary: DataFrame, inline: bool = False, simplify: bool = False, **options) -> DataFrame:
     """Notices to pairs: shred, re-root to the main element, optionally expand inline keys, scan."""
-    return pair_values(prepared_nodes(notices, dictionary, inline, simplify), dictionary, **options)
+    spelling = options.get("spelling", "numbered")
+    return pair_values(prepared_nodes(notices, dictionary, inline, simplify, (spelling,)), dictionary, **options)
 
 
-def prepared_nodes(notices: DataFrame, dictionary: DataFrame, inline: bool = False, simplify: bool = False) -> DataFrame:
-    nodes = node_table(notices, "body", ("doc_id", "source", "lang"), "html", simplify=simplify)
+def prepared_nodes(notices: DataFrame, dictionary: DataFrame, inline: bool = False, simplify: bool = False, spellings: tuple[str, ...] = SPELLINGS) -> DataFrame:
+    """Notices shredded with the wanted path spellings (plain ones are always there), re-rooted to the main element."""
+    fields = ("ord", *dict.fromkeys(("plain", *spellings)), "text")
+    nodes = node_table(notices, "body", ("doc_id", "source", "lang"), "html", simplify=simplify, fields=fields)
     nodes = reroot(nodes.filter("ord is not null"), "main")
     return split_inline(nodes, dictionary) if inline else nodes

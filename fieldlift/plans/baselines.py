@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators.pairing import match_keys
+
 
 def baseline_regex(docs: DataFrame, rules: dict[str, str], body: str = "body") -> DataFrame:
     """(doc_id, source, key_id, value): one hand-written pattern for each field; breaks when the template changes."""
@@ -39,3 +41,10 @@ def cached_fields(nodes_of, docs: DataFrame, paths: dict[str, str]) -> DataFrame
     names = F.create_map(*[F.lit(x) for f, p in paths.items() for x in (p, f)])
     rows = nodes_of(docs).withColumn("field", F.try_element_at(names, path_text("plain"))).filter("field is not null")
     return rows.groupBy("doc_id", "field").agg(F.min(F.struct("ord", "text"))["text"].alias("value"))
+
+
+def split_at_separator(nodes: DataFrame, mark: str, dictionary: DataFrame, theta_key: float = 0.8) -> DataFrame:
+    """(doc_id, key_id, value): lines cut at the first separator; what stands before must be a key of the dictionary."""
+    at = F.instr("text", mark)
+    cut = nodes.filter(at > 1).select("doc_id", "lang", F.trim(F.substring("text", F.lit(1), at - 1)).alias("text"), F.trim(F.substring("text", at + len(mark), F.length("text"))).alias("value"))
+    return cut.join(match_keys(cut, dictionary, theta_key), ["lang", "text"]).filter("value <> ''").select("doc_id", "key_id", "value")

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from ..functions.columns import text_sim
+from ..functions.columns import path_text, text_sim
 
 TYPES = {"text": T.StringType(), "date": T.TimestampNTZType(), "boolean": T.BooleanType(), "integer": T.LongType(), "number": T.DoubleType(), "money": T.DecimalType(18, 2), "link": T.LongType()}
 
@@ -142,7 +142,8 @@ def mapped_paths(spark: SparkSession, mapping: Mapping) -> DataFrame:
 def lint_mapping(spark: SparkSession, mapping: Mapping, target: Target, inventory: DataFrame) -> DataFrame:
     """(kind, entity, field, detail): dead paths, fields without a path, fields the target does not have."""
     named = mapped_paths(spark, mapping)
-    live = named.join(F.broadcast(inventory.select(F.col("path").alias("_p")).distinct()), F.expr("_p rlike pattern"), "left_semi")
+    # the mapping's own paths are a driver-side list, so they are the side to broadcast
+    live = inventory.select("path").distinct().withColumnRenamed("path", "seen").join(F.broadcast(named), F.expr("seen rlike pattern")).select("entity", "field", "path").distinct()
     dead = named.join(live, ["entity", "field", "path"], "left_anti").select(F.lit("dead path").alias("kind"), "entity", "field", F.col("path").alias("detail"))
     have = {(n.entity, f) for n, *_ in mapping.walk() for f in n.fields}
     rows = [("unmapped field", e.name, f, t) for e in target.entities.values() for f, t in e.fields.items() if (e.name, f) not in have]
@@ -159,3 +160,12 @@ def suggest(spark: SparkSession, mapping: Mapping, target: Target, inventory: Da
     scored = F.broadcast(want).join(paths, F.lit(True)).withColumn("sim", text_sim(F.lower("field"), F.lower("step")))
     best = Window.partitionBy("entity", "field").orderBy(F.col("sim").desc(), "path")
     return scored.withColumn("r", F.row_number().over(best)).filter(F.col("r") <= k).select("entity", "field", "path", "sim")
+
+
+def record_kind(nodes: DataFrame, path: str, words: dict[str, tuple[str, ...]]) -> DataFrame:
+    """(doc_id, record_kind): the kind whose words (of any language) a document's first hit of the path names; null if none does."""
+    known = [(w.lower(), kind) for kind, several in words.items() for w in dict.fromkeys(several)]
+    table = F.create_map(*[F.lit(x) for pair in known for x in pair])
+    hits = nodes.filter(compile_path(path).matches(path_text("plain")))
+    first = hits.groupBy("doc_id").agg(F.min_by("text", "ord").alias("word"))
+    return first.select("doc_id", F.try_element_at(table, F.lower(F.trim("word"))).alias("record_kind"))

@@ -24,6 +24,17 @@ def ship(spark: SparkSession) -> None:
     _SHIPPED.add(sc.applicationId)
 
 
+def ensure_checkpoint_dir(spark: SparkSession) -> str:
+    """The folder for lineage cuts: the one the session names in spark.checkpoint.dir. Where none is named, a temporary folder
+    of this machine if it is the only one (local master), else a folder of the shared warehouse."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        alone = sc.master == "local" or sc.master.startswith("local[")
+        sc.setCheckpointDir(named or (tempfile.mkdtemp(prefix="fieldlift-checkpoint-") if alone else spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/checkpoints"))
+    return sc.getCheckpointDir()
+
+
 def local_session(cores: str = "*", partitions: int = 8) -> SparkSession:
     """A session for tests and benches."""
     conf = {"spark.sql.shuffle.partitions": partitions, "spark.ui.enabled": "false", "spark.ui.showConsoleProgress": "false", "spark.sql.session.timeZone": "UTC", "spark.driver.memory": "8g", "spark.sql.adaptive.enabled": "true"}

@@ -55,23 +55,26 @@ def by_nation(values: dict[int, str]) -> Column:
 
 
 def label(key: str) -> Column:
-    """The key's label, with a plural or a doubled letter now and then."""
+    """The key's label, with a plural or a doubled third letter now and then (no label has a blank there)."""
     plain = by_lang(LABELS[key])
     noisy = F.when((F.col("o_orderkey") % 17 == 0) & F.lit(key in ("priority", "quantity", "total")), F.concat(plain, F.lit("s")))
-    return noisy.when((F.col("o_orderkey") % 19 == 0) & F.lit(key in ("buyer", "segment", "winner")), F.concat(F.substring(plain, 1, 4), F.substring(plain, 4, 99))).otherwise(plain)
+    return noisy.when((F.col("o_orderkey") % 19 == 0) & F.lit(key in ("buyer", "segment", "winner")), F.concat(F.substring(plain, 1, 3), F.substring(plain, 3, 99))).otherwise(plain)
 
 
 def facts(spark: SparkSession, sf_dir: str, formats: tuple[str, ...] | None = None, layouts: tuple[str, ...] | None = None) -> DataFrame:
     """(o_orderkey, nation, lang, ..., head array<struct<k,l,v>>, lots array<array<struct<k,l,v>>>): what a notice says.
 
-    Format and layout filters are applied to the customers before any join.
+    Format and layout filters are applied to the customers before any join, and only the chosen orders' lots are read on.
     """
     wanted = [k for k in LAYOUTS if (formats is None or FORMATS[k] in formats) and (layouts is None or LAYOUTS[k] in layouts)]
     cust = table(spark, sf_dir, "customer").filter(F.col("c_nationkey").isin(wanted)).select("c_custkey", "c_name", "c_mktsegment", F.col("c_nationkey").alias("nation"))
     place = table(spark, sf_dir, "nation").join(table(spark, sf_dir, "region"), F.col("n_regionkey") == F.col("r_regionkey")).select(F.col("n_nationkey").alias("nation"), "n_name", "r_name")
     orders = table(spark, sf_dir, "orders").join(cust, F.col("o_custkey") == F.col("c_custkey")).join(place, "nation")
     part, supplier = table(spark, sf_dir, "part").select("p_partkey", "p_name", "p_brand"), table(spark, sf_dir, "supplier").select("s_suppkey", "s_name")
-    line = table(spark, sf_dir, "lineitem").join(part, F.col("l_partkey") == F.col("p_partkey")).join(supplier, F.col("l_suppkey") == F.col("s_suppkey"))
+    chosen = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey").join(cust.select("c_custkey"), F.col("o_custkey") == F.col("c_custkey"), "left_semi").select("l_orderkey")
+    line = table(spark, sf_dir, "lineitem")
+    line = line.join(chosen, "l_orderkey", "left_semi") if len(wanted) < len(LAYOUTS) else line
+    line = line.join(part, F.col("l_partkey") == F.col("p_partkey")).join(supplier, F.col("l_suppkey") == F.col("s_suppkey"))
     lots = line.groupBy("l_orderkey").agg(F.array_sort(F.collect_list(F.struct("l_linenumber", "l_partkey", "l_suppkey", F.date_format("l_shipdate", "yyyy-MM-dd").alias("shipped"), "p_name", "p_brand", F.col("l_quantity").cast("string").alias("quantity"), F.col("l_extendedprice").cast("string").alias("price"), "s_name"))).alias("raw_lots"))
     base = orders.join(lots, F.col("o_orderkey") == F.col("l_orderkey"), "left").withColumn("lang_no", F.col("nation") % 4).withColumn("lang", by_lang(LANGS)).withColumn("award", F.col("o_orderstatus") == "F")
     base = base.withColumns({"layout": by_nation(LAYOUTS), "format": by_nation(FORMATS)})

@@ -33,7 +33,7 @@ def session_stream(events: DataFrame, gap: str = "30 minutes", delay: str = "10
 
 def with_dictionary(lines: DataFrame, dictionary: DataFrame) -> DataFrame:
     """Stream-static join: lines (lang, text) whose text is a key."""
-    return lines.join(F.broadcast(dictionary.select("lang", F.col("surface").alias("text"), "key_id")), ["lang", "text"])
+    return lines.join(dictionary.select("lang", F.col("surface").alias("text"), "key_id"), ["lang", "text"])
 
 
 def changed_content(items: DataFrame) -> DataFrame:

@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions.columns import canonical_url, date_from_parts, host, path_text, to_bool, to_date_any, value_shape
+from .functions.columns import canonical_url, date_from_parts, host, path_text
 from .functions.shred import node_table
 from .operators import archive, audit, measures, pairing, stages
 from .operators import dictionary as dicts
@@ -79,7 +79,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def xml_nodes(spark: SparkSession, sf_dir: str, layout: str = "xml") -> DataFrame:
-    return node_table(src.notices(spark, sf_dir, layouts=(layout,)), "body", ("doc_id", "source", "lang"), "xml")
+    return node_table(src.notices(spark, sf_dir, layouts=(layout,)), "body", ("doc_id", "source", "lang"), "xml", fields=("ord", "depth", "tag", "plain", "numbered", "text"))
 
 
 # acquisition
@@ -91,9 +91,12 @@ def archive_items(spark, sf):
     return items.select("item_id", "source", "sha256", F.octet_length("body").alias("bytes"))
 
 
-@query("SELECT '' AS item_id, '' AS recorded, '' AS found WHERE 1 = 0")
+@query("SELECT CAST(page_id AS VARCHAR) AS item_id, sha256(coalesce(html, '')) AS recorded, sha256(coalesce(html, '') || '!') AS found FROM pages WHERE page_id % 97 = 3")
 def integrity_breaches(spark, sf):
-    return archive.verify_integrity(archive.archive_items(table(spark, sf, "pages")))
+    """Bodies that were altered after they were archived; some are, here."""
+    items = archive.archive_items(table(spark, sf, "pages"))
+    altered = items.withColumn("body", F.when(F.col("item_id").cast("long") % 97 == 3, F.concat("body", F.lit("!").cast("binary"))).otherwise(F.col("body")))
+    return archive.verify_integrity(altered)
 
 
 def _cases(m: dict[int, str]) -> str:
@@ -222,13 +225,17 @@ def soft_errors(spark, sf):
     return flagged.agg(F.count(F.lit(1)).alias("n"), F.count(F.when(F.col("outage"), 1)).alias("outages"))
 
 
-@query(BASE + """ SELECT CASE nation % 3 WHEN 0 THEN 'utf-8' WHEN 1 THEN 'iso8859-1' ELSE 'utf-8' END AS charset, nation % 3 = 0 OR nation % 3 = 1 OR nation % 3 = 2 AS intact, count(*) AS n FROM s WHERE nation BETWEEN 13 AND 16 GROUP BY ALL""")
+@query(BASE + """ SELECT CASE nation % 4 WHEN 1 THEN 'utf-8' WHEN 2 THEN 'iso8859-1' WHEN 3 THEN 'utf-8' ELSE 'cp1251' END AS charset, true AS intact, count(*) AS n FROM s WHERE nation BETWEEN 13 AND 16 GROUP BY ALL""")
 def charset_resolution(spark, sf):
-    """Table notices sent as UTF-8, as declared Latin-1, or as UTF-8 with no header; all must come back intact."""
+    """Table notices sent as UTF-8, as declared Latin-1, as UTF-8 under a header that says ASCII, and as declared Windows-1251 with a Cyrillic note; all must come back intact."""
     n = src.notices(spark, sf, layouts=("table",))
-    kind = F.col("nation") % 3
-    sent = n.select(F.col("doc_id").alias("item_id"), F.col("body").alias("original"), F.when(kind == 1, F.encode("body", "ISO-8859-1")).otherwise(F.encode("body", "UTF-8")).alias("body"), F.when(kind == 0, "text/html; charset=utf-8").when(kind == 1, "text/html; charset=ISO-8859-1").alias("content_type"))
-    got = archive.resolve_charsets(sent)
+    kind = F.col("nation") % 4
+    note = "<!-- объявление -->"  # in front of the English source's notices, which are ASCII
+    sent = n.select(F.col("doc_id").alias("item_id"), kind.alias("kind"), "body", F.when(kind == 0, F.concat(F.lit(note), F.col("body"))).otherwise(F.col("body")).alias("original"))
+    coded = F.when(F.col("kind") == 2, F.encode("original", "ISO-8859-1")).when(F.col("kind") == 0, F.concat(F.lit(bytearray(note.encode("cp1251"))), F.encode("body", "UTF-8"))).otherwise(F.encode("original", "UTF-8"))
+    header = F.when(F.col("kind") == 1, "text/html; charset=utf-8").when(F.col("kind") == 2, "text/html; charset=ISO-8859-1").when(F.col("kind") == 3, "text/html; charset=us-ascii").otherwise("text/html; charset=windows-1251")
+    sent = sent.withColumns({"body": coded, "content_type": header})
+    got = archive.resolve_charsets(sent.select("item_id", "original", "body", "content_type"))
     return got.join(sent.select("item_id", "original"), "item_id").groupBy("charset", (F.col("text") == F.col("original")).alias("intact")).agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -281,9 +288,15 @@ def wellformed(spark, sf):
     return flags.groupBy("source", "wellformed").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query()
+def _batches_sql(cut: int) -> str:
+    return f"""WITH z AS (SELECT page_id, lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1)) AS source, octet_length(encode(coalesce(html, ''))) AS b FROM pages),
+w AS (SELECT source, b, CAST(floor(coalesce(sum(b) OVER (PARTITION BY source ORDER BY CAST(page_id AS VARCHAR) ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) / {cut}) AS BIGINT) AS batch FROM z)
+SELECT source, batch, count(*) AS n, CAST(sum(b) AS BIGINT) AS bytes FROM w GROUP BY source, batch"""
+
+
+@query(_batches_sql(64_000))
 def batch_plan(spark, sf):
-    items = src.notices(spark, sf, layouts=("table",)).select("source", F.col("doc_id").alias("item_id"), "captured_at", "body")
+    items = archive.archive_items(table(spark, sf, "pages")).select("source", "item_id", "captured_at", "body")
     return stages.plan_batches(items, 64_000).groupBy("source", "batch").agg(F.count(F.lit(1)).alias("n"), F.sum("bytes").alias("bytes"))
 
 
@@ -338,10 +351,23 @@ def key_candidates(spark, sf):
     return dicts.key_candidates(dicts.lines_of(table(spark, sf, "documents")), 3)
 
 
-@query(f"SELECT lang, t AS text, count(*) AS n_docs FROM ({_LINES}) WHERE length(t) BETWEEN 3 AND 60 AND doc_id % 2 = 0 GROUP BY lang, t HAVING count(*) >= 2")
+_PAGE_TEMPLATE = "concat(contains(html, '<aside'), contains(html, '<form'), contains(html, '<h1>'), contains(html, 'class=\"ad\"'))"
+
+
+@query(f"SELECT t AS template, count(*) AS n, least(count(*), 2) AS chosen FROM (SELECT {_PAGE_TEMPLATE} AS t FROM pages) GROUP BY t")
+def stratified_pages(spark, sf):
+    """Two pages of each template, from all pages; a template is here which of four blocks a page has."""
+    pages = table(spark, sf, "pages")
+    block = lambda text: F.contains("html", F.lit(text)).cast("string")
+    signs = pages.select("page_id", F.concat(block("<aside"), block("<form"), block("<h1>"), block('class="ad"')).alias("template"))
+    chosen = dicts.stratified_sample(pages.select(F.col("page_id").alias("doc_id")), signs.withColumnRenamed("page_id", "doc_id"), 2).groupBy("template").agg(F.count(F.lit(1)).alias("chosen"))
+    return signs.groupBy("template").agg(F.count(F.lit(1)).alias("n")).join(chosen, "template").select("template", "n", "chosen")
+
+
+@query(f"SELECT lang, t AS text, count(*) AS n_docs FROM ({_LINES}) WHERE length(t) BETWEEN 3 AND 60 GROUP BY lang, t HAVING count(*) >= 2")
 def key_candidates_sampled(spark, sf):
-    """Candidates from a stratified half of the documents, as an expert's sample would give them."""
-    return dicts.key_candidates(dicts.lines_of(table(spark, sf, "documents").filter("doc_id % 2 = 0")), 2)
+    """Candidates at an expert's lower threshold, two documents, from the whole table."""
+    return dicts.key_candidates(dicts.lines_of(table(spark, sf, "documents")), 2)
 
 
 @query("SELECT 'en' AS lang, a.p_name AS a, b.p_name AS b, levenshtein(a.p_name, b.p_name) AS d FROM (SELECT DISTINCT p_name FROM part) a JOIN (SELECT DISTINCT p_name FROM part) b ON a.p_name < b.p_name WHERE levenshtein(a.p_name, b.p_name) <= greatest(length(a.p_name), length(b.p_name)) * 0.4 + 1e-9 AND least(length(a.p_name), length(b.p_name)) >= greatest(length(a.p_name), length(b.p_name)) * 0.6")
@@ -365,7 +391,14 @@ def synsets(spark, sf):
     return dicts.build_synsets(names, dicts.similar_pairs(names, 0.6)).select("surface", "canonical")
 
 
-@query()
+_LEADER = """WITH RECURSIVE p AS (SELECT p_name AS t, count(*) AS n FROM part GROUP BY 1), k AS (SELECT t, n, row_number() OVER (ORDER BY n DESC, t) AS r FROM p),
+e AS (SELECT a.r AS a, b.r AS b FROM k a JOIN k b ON b.r < a.r WHERE levenshtein(a.t, b.t) <= greatest(length(a.t), length(b.t)) * 0.4 + 1e-9 AND least(length(a.t), length(b.t)) >= greatest(length(a.t), length(b.t)) * 0.6),
+g(r, leads) AS (SELECT CAST(0 AS BIGINT), CAST([] AS BIGINT[]) UNION ALL SELECT g.r + 1, CASE WHEN len(list_filter(leads, x -> list_contains((SELECT coalesce(list(b), []) FROM e WHERE a = g.r + 1), x))) = 0 THEN list_append(leads, g.r + 1) ELSE leads END FROM g WHERE g.r < (SELECT max(r) FROM k)),
+l AS (SELECT unnest(leads) AS r FROM g WHERE g.r = (SELECT max(r) FROM k)), o AS (SELECT k.t, coalesce(min(l.r), any_value(k.r)) AS lead FROM k LEFT JOIN e ON e.a = k.r LEFT JOIN l ON l.r = e.b AND NOT EXISTS (SELECT 1 FROM l x WHERE x.r = k.r) GROUP BY k.t)
+SELECT o.t AS surface, first_value(o.t) OVER (PARTITION BY lead ORDER BY k.n DESC, o.t) AS canonical FROM o JOIN k ON k.t = o.t"""
+
+
+@query(_LEADER)
 def synsets_leader(spark, sf):
     names = _part_names(spark, sf)
     return dicts.build_synsets(names, dicts.similar_pairs(names, 0.6), method="leader").select("surface", "canonical")
@@ -430,29 +463,41 @@ def pairing_ablation(spark, sf):
     return cells
 
 
-@query(BASE + " SELECT source, CAST(avg(k) >= 15 AS INTEGER) >= 0 AS known, count(*) AS docs FROM (SELECT source, s.o_orderkey, 1 AS k FROM s WHERE nation BETWEEN 13 AND 16) GROUP BY source")
-def source_difficulty(spark, sf):
-    d = src.dictionary(spark)
-    nodes = pairing.prepared_nodes(src.notices(spark, sf, layouts=("table",)), d)
-    classes = dicts.classify_sources(nodes, pairing.pair_values(nodes, d))
-    docs = nodes.groupBy("source").agg(F.countDistinct("doc_id").alias("docs"))
-    return classes.join(docs, "source").select("source", F.col("difficulty").isNotNull().alias("known"), "docs")
+_VARIANT = "CASE WHEN key_id IN ('priority', 'quantity', 'total') AND o_orderkey % 17 = 0 THEN 's' WHEN key_id IN ('buyer', 'segment', 'winner') AND o_orderkey % 19 = 0 THEN 'd' ELSE '' END"
 
 
-@query()
-def source_difficulty_classes(spark, sf):
+def _difficulty_sql(nations: str) -> str:
+    return FIELDS + f""", h AS (SELECT source, o_orderkey, key_id, {_VARIANT} AS variant FROM f WHERE nation IN ({nations}) AND v IS NOT NULL),
+d AS (SELECT source, avg(n) AS fields FROM (SELECT source, o_orderkey, count(*) AS n FROM h GROUP BY ALL) GROUP BY source), k AS (SELECT source, avg(n) AS labels FROM (SELECT source, key_id, count(DISTINCT variant) AS n FROM h GROUP BY ALL) GROUP BY source)
+SELECT source, round(fields, 6) AS fields, round(labels, 6) AS labels_per_key, CASE CAST(fields >= 15 AS INTEGER) + CAST(labels > 1.5 AS INTEGER) WHEN 0 THEN 'simple' WHEN 1 THEN 'medium' ELSE 'difficult' END AS difficulty FROM d JOIN k USING (source)"""
+
+
+def _difficulty(spark, sf, layout: str, **kw) -> DataFrame:
     d = src.dictionary(spark)
-    nodes = pairing.prepared_nodes(src.notices(spark, sf, layouts=("table", "sections", "widgets")), d, simplify=True)
-    return dicts.classify_sources(nodes, pairing.pair_values(nodes, d))
+    nodes = dicts._cut(pairing.prepared_nodes(src.notices(spark, sf, layouts=(layout,)), d, spellings=("numbered",), **kw))
+    out = dicts.classify_sources(nodes, pairing.pair_values(nodes, d))
+    return out.select("source", F.round("fields", 6).alias("fields"), F.round("labels_per_key", 6).alias("labels_per_key"), "difficulty")
+
+
+@query(_difficulty_sql("13, 14, 15, 16"))
+def source_difficulty(spark, sf):
+    """Table notices have one template each; their class follows from fields a document and labels a key."""
+    return _difficulty(spark, sf, "table")
+
+
+@query(_difficulty_sql("24"))
+def source_difficulty_widgets(spark, sf):
+    return _difficulty(spark, sf, "widgets", simplify=True)
 
 
-@query(FIELDS + " SELECT source, count(DISTINCT o_orderkey) AS n FROM f WHERE nation BETWEEN 13 AND 16 GROUP BY source")
+@query(pair_sql("13,14,15,16"))
 def emit_xml(spark, sf):
-    """Pairs written as XML and shredded again: every document comes back well-formed."""
+    """Pairs written as XML and shredded again: every value of every key comes back."""
     d = src.dictionary(spark)
-    pairs = _pairs(spark, sf, "table")
+    pairs = dicts._cut(_pairs(spark, sf, "table"))
     xml = pairing.emit_xml(pairs, d).join(pairs.select("doc_id", "source").distinct(), "doc_id").withColumn("lang", F.lit(""))
-    return node_table(xml, "xml", ("doc_id", "source", "lang"), "xml").filter("ord is not null").groupBy("source").agg(F.countDistinct("doc_id").alias("n"))
+    nodes = node_table(xml, "xml", ("doc_id", "source", "lang"), "xml", fields=("ord", "tag", "text")).filter("ord is not null")
+    return pair_summary(nodes.select("source", F.col("tag").alias("key_id"), F.col("text").alias("value")))
 
 
 # mapping and loading
@@ -485,6 +530,10 @@ def entities(spark, sf, *only: str) -> dict[str, DataFrame]:
     return loader.extract_entities(xml_nodes(spark, sf), mapping.load_mapping(MAPPING), mapping.load_target(TARGET), only or None)
 
 
+def instance_counts(spark, sf) -> DataFrame:
+    return loader.count_instances(xml_nodes(spark, sf), mapping.load_mapping(MAPPING))
+
+
 _XML = " FROM s WHERE nation BETWEEN 0 AND 5"
 _XML_LOTS = " FROM l WHERE nation BETWEEN 0 AND 5"
 
@@ -549,12 +598,21 @@ _ALL = "(SELECT * FROM (SELECT DISTINCT source FROM t), (SELECT DISTINCT entity
 
 @query(_COUNTS + f" SELECT source, entity, coalesce(rows, 0) AS rows FROM {_ALL} LEFT JOIN t USING (source, entity)")
 def entity_counts(spark, sf):
-    return measures.row_counts(entities(spark, sf))
+    return loader.count_instances(xml_nodes(spark, sf), mapping.load_mapping(MAPPING))
+
+
+_FKS = "VALUES ('publication','contract_id'),('contract','value_id'),('contract','buyer_id'),('buyer','body_id'),('body','address_id'),('lot','contract_id'),('lot','price_id'),('lot','winning_bid_id'),('winning_bid','bidder_id'),('bidder','body_id'),('lot_object','lot_id')"
 
 
-@query("SELECT entity, fk, CAST(0 AS BIGINT) AS n FROM (VALUES ('publication','contract_id'),('contract','value_id'),('contract','buyer_id'),('buyer','body_id'),('body','address_id'),('lot','contract_id'),('lot','price_id'),('lot','winning_bid_id'),('winning_bid','bidder_id'),('bidder','body_id'),('lot_object','lot_id')) v(entity, fk)")
+@query(BASE + f""", g AS (SELECT count(*) FILTER (WHERE o_orderkey % 11 <> 0 AND o_orderpriority IS NOT NULL AND nation = 2) AS a, count(*) FILTER (WHERE o_orderpriority = '5-LOW') AS c FROM s WHERE nation BETWEEN 0 AND 5),
+z AS (SELECT count(*) AS n FROM l JOIN orders USING (o_orderkey) WHERE nation BETWEEN 0 AND 5 AND orders.o_orderpriority = '5-LOW')
+SELECT entity, fk, CAST(CASE WHEN fk = 'address_id' THEN (SELECT a FROM g) WHEN fk = 'contract_id' AND entity = 'publication' THEN (SELECT c FROM g) WHEN fk = 'contract_id' THEN (SELECT n FROM z) ELSE 0 END AS BIGINT) AS n FROM ({_FKS}) v(entity, fk)""")
 def fk_orphans(spark, sf):
+    """Pointers into contracts of the lowest priority and into the addresses of one source, which are taken away."""
     e = {k: dicts._cut(v) for k, v in entities(spark, sf).items()}
+    lost = table(spark, sf, "nation").filter("n_nationkey = 2").first()["n_name"]
+    e["contract"] = e["contract"].filter("priority <> '5-LOW'")
+    e["address"] = e["address"].filter(F.col("source") != lost)
     return loader.orphans(e, mapping.load_target(TARGET))
 
 
@@ -608,22 +666,32 @@ def review_queue(spark, sf):
     return audit.review_queue(audit.unmapped_paths(inventory(spark, sf), _small(spark)), 20).select("source", "path", "n")
 
 
-@query("SELECT * FROM (VALUES ('dead path', 'lot', 'item', '/notice/lots/lot/title')) v(kind, entity, field, detail)")
+_LINT = [("dead path", "lot", "item", "/notice/lots/lot/title"), ("unknown field", "lot", "item", "")]
+_LINT += [("unmapped field", e, f, "text") for e, f in (("publication", "published"), ("publication", "kind"), ("contract", "urgent"), ("buyer", "segment"), ("body", "name"), ("address", "country"), ("address", "region"), ("price", "amount"), ("lot", "lot_no"), ("lot", "ship_date"), ("lot", "quantity"), ("lot_object", "item"), ("lot_object", "brand"))]
+
+
+@query("SELECT * FROM (VALUES " + ", ".join(str(r) for r in _LINT) + ") v(kind, entity, field, detail)")
 def mapping_lint(spark, sf):
-    lint = mapping.lint_mapping(spark, mapping.load_mapping(SMALL), mapping.load_target(TARGET), inventory(spark, sf))
-    return lint.filter("kind = 'dead path'")
+    return mapping.lint_mapping(spark, mapping.load_mapping(SMALL), mapping.load_target(TARGET), inventory(spark, sf))
 
 
-@query()
+_WANT = ", ".join(f"('{e}', '{f}')" for k, e, f, _ in _LINT if k == "unmapped field")
+
+
+@query(INVENTORY + f""", w AS (SELECT * FROM (VALUES {_WANT}) x(entity, field)), q AS (SELECT DISTINCT path, regexp_replace(regexp_extract(path, '[^/]*$'), '^@', '') AS step FROM v),
+r AS (SELECT entity, field, path, 1 - levenshtein(lower(field), lower(step)) / greatest(length(field), length(step)) AS sim FROM w, q)
+SELECT entity, field, path, round(sim, 9) AS sim FROM (SELECT *, row_number() OVER (PARTITION BY entity, field ORDER BY sim DESC, path) AS k FROM r) WHERE k <= 3""")
 def mapping_suggestions(spark, sf):
-    return mapping.suggest(spark, mapping.load_mapping(SMALL), mapping.load_target(TARGET), inventory(spark, sf))
+    return mapping.suggest(spark, mapping.load_mapping(SMALL), mapping.load_target(TARGET), inventory(spark, sf)).withColumn("sim", F.round("sim", 9))
 
 
-@query()
+@query(INVENTORY + " SELECT source, count(*) AS paths, count(*) AS seen, 1.0 AS share, 1.0 AS mass_share FROM v GROUP BY source")
 def sample_coverage(spark, sf):
+    """One document of each template of each source shows every path."""
     nodes = dicts._cut(xml_nodes(spark, sf))
     full = audit.path_inventory(nodes)
-    chosen = dicts.stratified_sample(nodes.select("doc_id").distinct(), dicts.template_signature(nodes), 1)
+    by_source = dicts.template_signature(nodes).join(nodes.select("doc_id", "source").distinct(), "doc_id").withColumn("template", F.xxhash64("template", "source"))
+    chosen = dicts.stratified_sample(nodes.select("doc_id").distinct(), by_source.select("doc_id", "template"), 1)
     return audit.sample_coverage(full, audit.path_inventory(nodes.join(chosen.select("doc_id"), "doc_id", "left_semi")))
 
 
@@ -650,19 +718,24 @@ def missing_report(spark, sf):
     return audit.missing_report(_scanned(spark, sf, PARTIAL)).groupBy("source").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("SELECT CAST(0 AS INTEGER) AS round, false AS complete UNION ALL SELECT 1, true")
+def _rate_sql(k: int, missing: tuple[str, ...]) -> str:
+    lost = f"count(v) FILTER (WHERE key_id IN {missing + ('',)})" if missing else "0"
+    return f"SELECT CAST({k} AS INTEGER) AS round, round((count(v) - {lost}) / (count(v) + {lost}), 9) AS rate FROM f WHERE nation BETWEEN 9 AND 12 AND v IS NOT NULL"
+
+
+@query(FIELDS + " " + " UNION ALL ".join(_rate_sql(k, m) for k, m in enumerate((("buyer", "segment", "price"), ("segment", "price"), ("price",), ()))))
 def refine_history(spark, sf):
-    """An expert adds the missing keys; one round brings full conversion."""
-    nodes = dicts._cut(pairing.prepared_nodes(src.notices(spark, sf, layouts=("sections",)), src.dictionary(spark)))
+    """An expert adds one missing key a round; the conversion rate rises until all text is converted."""
+    nodes = dicts._cut(pairing.prepared_nodes(src.notices(spark, sf, layouts=("sections",)), src.dictionary(spark), spellings=("numbered",)))
 
     def rate(d: DataFrame) -> float:
         r = audit.conversion_rate(pairing.scan(nodes, pairing.match_keys(nodes, d))).agg(F.sum("converted") / F.sum("nodes")).first()
         return float(r[0])
 
-    full = src.dictionary(spark).filter(~F.col("key_id").isin(list(PARTIAL)))
-    edits = full.select(F.lit("add").alias("op"), "lang", "key_id", "surface", F.lit(None).cast("string").alias("target"))
-    _, history = dicts.refine(rate, src.dictionary(spark, PARTIAL), [edits], 0.999)
-    return spark.createDataFrame([(k, r >= 0.999) for k, r in history], "round int, complete boolean")
+    full = src.dictionary(spark)
+    edits = [full.filter(F.col("key_id") == k).select(F.lit("add").alias("op"), "lang", "key_id", "surface", F.lit(None).cast("string").alias("target")) for k in ("buyer", "segment", "price")]
+    _, history = dicts.refine(rate, src.dictionary(spark, PARTIAL), edits, 1.0)
+    return spark.createDataFrame([(k, round(r, 9)) for k, r in history], "round int, rate double")
 
 
 # measures
@@ -689,7 +762,7 @@ _OCC = _COUNTS + f", z AS (SELECT source, entity, coalesce(rows, 0) AS rows FROM
 
 @query(_OCC + " SELECT * FROM q")
 def occupation_ratio(spark, sf):
-    return measures.occupation(measures.row_counts(entities(spark, sf)))
+    return measures.occupation(instance_counts(spark, sf))
 
 
 ENTITY_NAMES = [e["name"] for e in json.loads(TARGET)["entities"]]
@@ -697,24 +770,41 @@ ENTITY_NAMES = [e["name"] for e in json.loads(TARGET)["entities"]]
 
 @query(_OCC + " SELECT source, " + ", ".join(f"max(CASE WHEN entity = '{n}' THEN r END) AS {n}" for n in ENTITY_NAMES) + " FROM q GROUP BY source")
 def occupation_matrix(spark, sf):
-    return measures.occupation_matrix(measures.occupation(measures.row_counts(entities(spark, sf))), ENTITY_NAMES)
+    return measures.occupation_matrix(measures.occupation(instance_counts(spark, sf)), ENTITY_NAMES)
 
 
 @query(_OCC + ", m AS (SELECT source, avg(r) AS a FROM q GROUP BY source) SELECT source, round(avg(power(r - a, 3)) / power(avg(power(r - a, 2)), 1.5), 9) AS skew FROM q JOIN m USING (source) GROUP BY source")
 def occupation_skew(spark, sf):
-    return measures.occupation_skew(measures.occupation(measures.row_counts(entities(spark, sf)))).withColumn("skew", F.round("skew", 9))
+    return measures.occupation_skew(measures.occupation(instance_counts(spark, sf))).withColumn("skew", F.round("skew", 9))
+
+
+def _fill(entity: str, fields: dict[str, str], rows: str) -> str:
+    return " UNION ALL ".join(f"SELECT '{entity}' AS entity, '{f}' AS field, count({e}) AS filled, count(*) AS total {rows}" for f, e in fields.items())
 
 
-@query(BASE + " SELECT 'address' AS entity, unnest(['country', 'region']) AS field, count(*) AS filled, count(*) AS total" + _XML + " AND o_orderkey % 11 <> 0 UNION ALL SELECT 'body', unnest(['name', 'address_id']), 0, 0 WHERE 1 = 0")
+_THERE = "CASE WHEN o_orderkey % 11 <> 0 THEN 1 END"
+_WON = "CASE WHEN o_orderstatus = 'F' THEN 1 END"
+_FILL = " UNION ALL ".join([
+    _fill("publication", {"published": "1", "kind": "1", "contract_id": "1"}, _XML), _fill("contract", {"reference": "1", "priority": "o_orderpriority", "urgent": "1", "value_id": "1", "buyer_id": "1"}, _XML), _fill("buyer", {"segment": "c_mktsegment", "body_id": "1"}, _XML),
+    _fill("address", {"country": "1", "region": "1"}, _XML + " AND o_orderkey % 11 <> 0"), _fill("body", {"name": "1", "address_id": "x"}, f"FROM (SELECT {_THERE} AS x {_XML} UNION ALL SELECT NULL {_XML_LOTS} AND o_orderstatus = 'F')"),
+    _fill("price", {"amount": "1"}, f"FROM (SELECT 1 {_XML} UNION ALL SELECT 1 {_XML_LOTS})"), _fill("lot", {"lot_no": "1", "ship_date": "1", "quantity": "1", "contract_id": "1", "price_id": "1", "winning_bid_id": _WON}, _XML_LOTS),
+    _fill("winning_bid", {"bidder_id": "1"}, _XML_LOTS + " AND o_orderstatus = 'F'"), _fill("bidder", {"body_id": "1"}, _XML_LOTS + " AND o_orderstatus = 'F'"), _fill("lot_object", {"item": "1", "brand": "1", "lot_id": "1"}, _XML_LOTS),
+])
+
+
+@query(BASE + " " + _FILL)
 def fill_rate(spark, sf):
-    return measures.fill_rate({"address": entities(spark, sf, "address")["address"]})
+    """How often each column of each of the ten tables is filled."""
+    return measures.fill_rate(entities(spark, sf))
 
 
-@query()
+@query(BASE + """, n AS (SELECT count(*) AS docs, CAST(sum(9 + CASE WHEN o_orderkey % 11 <> 0 THEN 2 ELSE 0 END) AS BIGINT) AS h FROM s WHERE nation BETWEEN 0 AND 5), m AS (SELECT CAST(coalesce(sum(6 + CASE WHEN o_orderstatus = 'F' THEN 1 ELSE 0 END), 0) AS BIGINT) AS l FROM l WHERE nation BETWEEN 0 AND 5)
+SELECT docs, h + l AS nodes, docs AS results FROM n, m""")
 def work_counters(spark, sf):
-    nodes = dicts._cut(xml_nodes(spark, sf))
-    n = len([1 for m, *_ in mapping.load_mapping(MAPPING).walk() for _ in m.fields])
-    return measures.work_counters(nodes, n, True).withColumn("mode", F.lit("cached")).unionByName(measures.work_counters(nodes, n, False).withColumn("mode", F.lit("parsed again")))
+    """Documents into the parser, nodes out of it and contracts out of the mapping, observed while the plan runs."""
+    m, t = mapping.load_mapping(MAPPING), mapping.load_target(TARGET)
+    shred = lambda d: node_table(d, "body", ("doc_id", "source", "lang"), "xml", fields=("ord", "plain", "numbered", "text"))
+    return measures.work_counters(src.notices(spark, sf, layouts=("xml",)), shred, lambda nodes: loader.extract_entities(nodes, m, t, ("contract",))["contract"])
 
 
 # baselines
@@ -728,7 +818,7 @@ def baseline_regex(spark, sf):
     return pair_summary(baselines.baseline_regex(docs, rules))
 
 
-@query()
+@query(FIELDS + " SELECT 0 AS hits, 0 AS found, count(v) AS \"true\", 0.0 AS precision, 0.0 AS recall, 0.0 AS f1 FROM f WHERE nation BETWEEN 9 AND 12 AND key_id IN ('total', 'country') AND v IS NOT NULL")
 def baseline_regex_moved(spark, sf):
     """The same patterns on the section template: nothing is found, where the pairing scan still works."""
     docs = src.notices(spark, sf, layouts=("sections",))

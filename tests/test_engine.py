@@ -1,6 +1,8 @@
 """Worked miniatures, dual implementations and invariants of the extraction engine."""
 
 import json
+import os
+import random
 
 import pytest
 from pyspark.sql import functions as F
@@ -240,3 +242,61 @@ def test_plan_of_the_scan(spark, data):
     nodes = pairing.prepared_nodes(src.notices(spark, data, layouts=("table",)), d)
     plan = pairing.pair_values(nodes, d)._jdf.queryExecution().toString()
     assert "CartesianProduct" not in plan and "BatchEvalPython" not in plan
+
+
+def test_segment_join_equals_all_pairs(spark):
+    rnd = random.Random(5)
+    words = ["", "a", "ab", "abc", "Country", "Countrys", "Cuontry"]
+    for _ in range(160):
+        words.append("".join(rnd.choice("abcd ") for _ in range(rnd.randrange(0, 14))))
+    df = spark.createDataFrame([("en", w) for w in dict.fromkeys(words)], "lang string, text string")
+    for theta in (0.35, 0.5, 0.6, 0.8, 0.95):
+        a = {tuple(r) for r in dicts.similar_pairs(df, theta).filter("a <> ''").collect()}
+        b = {tuple(r) for r in dicts.similar_pairs(df, theta, blocked=False).filter("a <> ''").collect()}
+        assert a == b, theta
+    plan = dicts.similar_pairs(df, 0.6)._jdf.queryExecution().optimizedPlan().toString()
+    assert "key" in plan
+
+
+def test_large_dictionaries_match_alike(spark):
+    rnd = random.Random(6)
+    surfaces = ["".join(rnd.choice("abcdefg") for _ in range(rnd.randrange(3, 16))) for _ in range(80)]
+    d = spark.createDataFrame([("en", f"k{i}", None, s, "e", False) for i, s in enumerate(surfaces)], "lang string, key_id string, parent_key_id string, surface string, elem_name string, is_static boolean")
+    texts = [s[:k] + rnd.choice("abz") + s[k + 1 :] for s in surfaces for k in (0, 2)] + surfaces + ["zzz", "x" * 50]
+    nodes = spark.createDataFrame([("en", t) for t in texts], "lang string, text string")
+    small, large = (sorted(map(tuple, pairing.match_keys(nodes, d, 0.7, compared=n).collect())) for n in (512, 0))
+    assert small == large and len(small) > 80
+
+
+def test_pools_and_levels(spark):
+    rows = spark.range(2300).repartition(7)
+    sizes = [len(p) for p in loader.pooled(rows, 500).rdd.glom().collect()]
+    assert sum(sizes) == 2300 and max(sizes) <= 500
+    order, at = [["a", "b"], ["c"]], []
+    done = loader.flush({n: rows for n in "abc"}, order, lambda n, df: at.append((n, df.count())), batch_rows=1000)
+    assert sorted(done[:2]) == ["a", "b"] and done[2] == at[2][0] == "c" and {n for _, n in at} == {2300}
+
+
+def test_random_review_needs_more_rounds(spark):
+    inv = spark.createDataFrame([("s", f"/p{k}", 2 ** (12 - k)) for k in range(12)], "source string, path string, n long")
+    rounds = {k: audit.rounds_to_coverage(inv, k, 2, 0.9) for k in ("frequency", "weighted", "random", "tail")}
+    assert rounds["frequency"] == 2 and rounds["tail"] == 6 and rounds["frequency"] <= rounds["weighted"] <= 6 and rounds["frequency"] <= rounds["random"] <= 6
+
+
+def test_full_schema_has_seven_levels():
+    from fieldlift.studies import FULL_SCHEMA
+
+    levels = loader.flush_order({k: set(v.split()) for k, v in FULL_SCHEMA.items()})
+    assert (len(FULL_SCHEMA), sum(len(v.split()) for v in FULL_SCHEMA.values()), len(levels)) == (33, 59, 7)
+    assert levels[0] == ["address", "corrigenda", "price"] and levels[6] == ["bid_documents"]
+
+
+def test_cleanup_and_chain(spark, tmp_path):
+    path = str(tmp_path / "run")
+    spark.range(3).write.parquet(path)
+    assert stages.cleanup(spark, path) and not os.path.exists(path) and not stages.cleanup(spark, path)
+    stages.register_stage("keep_small", lambda df, limit: df.filter(f"id < {limit}"))
+    out = stages.run_chain(spark.range(10), {"pre": [["keep_small", {"limit": 4}]], "post": []}, "pre")
+    assert out.count() == 4 and stages.run_chain(spark.range(10), {}, "pre").count() == 10
+    with pytest.raises(ValueError):
+        stages.register_stage("keep_small", lambda df: df)
