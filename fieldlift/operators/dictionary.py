@@ -129,7 +129,9 @@ def edit_dictionary(dictionary: DataFrame, edits: DataFrame) -> DataFrame:
     op = lambda name: edits.filter(F.col("op") == name)
     out = dictionary.join(op("remove").select("lang", "key_id", "surface"), ["lang", "key_id", "surface"], "left_anti").select(*dictionary.columns)
     merge = op("merge").select("lang", "key_id", F.col("target").alias("_into"))
-    out = out.join(merge, ["lang", "key_id"], "left").withColumn("key_id", F.coalesce("_into", "key_id")).select(*dictionary.columns)
+    element = dictionary.groupBy("lang", F.col("key_id").alias("_into")).agg(F.min("elem_name").alias("_elem"))
+    merge = merge.join(element, ["lang", "_into"], "left")  # a merged surface takes the other key's element
+    out = out.join(merge, ["lang", "key_id"], "left").withColumns({"key_id": F.coalesce("_into", "key_id"), "elem_name": F.coalesce("_elem", "elem_name")}).select(*dictionary.columns)
     rename = op("rename").select("key_id", F.col("target").alias("_name")).distinct()
     out = out.join(rename, "key_id", "left").withColumn("elem_name", F.coalesce("_name", "elem_name")).select(*dictionary.columns)
     names = out.groupBy("key_id").agg(F.min("elem_name").alias("_n"))

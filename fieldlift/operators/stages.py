@@ -173,7 +173,7 @@ def nest_numbered(nodes: DataFrame, pattern: str = r"^(.*?)_(\d+)_(.+)$") -> Dat
     parts = lambda s: F.when(F.regexp_extract(s, pattern, 2) != "", F.array(F.regexp_extract(s, pattern, 1), F.regexp_extract(s, pattern, 3))).otherwise(F.array(s))
     # a numbered step already has its own counter at its end, so the pattern's number is enough to tell instances apart
     numbered = lambda s: F.when(F.regexp_extract(s, pattern, 2) != "", F.array(F.concat(F.regexp_extract(s, pattern, 1), F.regexp_extract(s, pattern, 2)), F.regexp_extract(s, pattern, 3))).otherwise(F.array(s))
-    out = nodes.withColumns({"plain": F.flatten(F.transform("plain", parts)), "numbered": F.flatten(F.transform("numbered", numbered)), "attributed": F.flatten(F.transform("attributed", numbered))})
+    out = nodes.withColumns({c: F.flatten(F.transform(c, parts if c == "plain" else numbered)) for c in ("plain", "numbered", "attributed") if c in nodes.columns})
     return out.withColumns({"tag": F.element_at("plain", -1), "depth": F.size("plain")})
 
 
@@ -191,5 +191,12 @@ def plan_batches(items: DataFrame, target_bytes: int, order: str = "fifo") -> Da
     return sized.withColumn("batch", F.floor(F.coalesce(F.sum("bytes").over(w), F.lit(0)) / target_bytes)).select("source", "item_id", "bytes", "batch")
 
 
-for _name, _fn in {"unpack": unpack, "fold_numbered": fold_numbered, "nest_numbered": nest_numbered, "csv": csv_to_tree, "json": json_to_tree, "txt": txt_to_tree}.items():
+def to_utf8(items: DataFrame) -> DataFrame:
+    """Bodies as UTF-8 text (item_id, charset, agreed, text) beside their other columns: the charset chain as a stage."""
+    from .archive import resolve_charsets
+
+    return items.drop("text", "charset", "agreed").join(resolve_charsets(items), "item_id")
+
+
+for _name, _fn in {"utf8": to_utf8, "unpack": unpack, "fold_numbered": fold_numbered, "nest_numbered": nest_numbered, "csv": csv_to_tree, "json": json_to_tree, "txt": txt_to_tree}.items():
     register_stage(_name, _fn)

@@ -17,14 +17,14 @@ from .workloads import _COUNTS, _HEAD, _LINES, _LOT, _XML, _XML_LOTS, BASE, FIEL
 
 # dictionary and mapping work
 
-#: Frequent lines that an expert calls values, not keys, for the static filter: every candidate that ends in a full stop.
+#: Frequent lines that an expert calls values, not keys, for the static filter: every candidate of more than 40 letters.
 _CANDIDATES = f"SELECT lang, t AS text, count(*) AS n_docs FROM ({_LINES}) WHERE length(t) BETWEEN 3 AND 60 GROUP BY lang, t HAVING count(*) >= 3"
 
 
-@query(f"SELECT * FROM ({_CANDIDATES}) WHERE NOT regexp_matches(text, '[.]$')")
+@query(f"SELECT * FROM ({_CANDIDATES}) WHERE length(text) <= 40")
 def candidates_without_static(spark, sf):
     found = dicts._cut(dicts.key_candidates(dicts.lines_of(table(spark, sf, "documents")), 3))
-    return dicts.drop_static(found, found.filter(F.col("text").rlike(r"\.$")).select("lang", "text"))
+    return dicts.drop_static(found, found.filter(F.length("text") > 40).select("lang", "text"))
 
 
 @query("SELECT 'en' AS lang, p_name AS surface, trim(regexp_replace(lower(p_name), '[^a-z0-9]+', '_', 'g'), '_') AS elem_name FROM (SELECT DISTINCT p_name FROM part)")
@@ -39,7 +39,7 @@ def _rows(rows: list[tuple]) -> str:
     return ", ".join("(" + ", ".join("NULL" if x is None else f"'{x}'" for x in r) + ")" for r in rows)
 
 
-@query("SELECT * FROM (VALUES ('en', 'buyer', 'Authority', 'purchaser'), ('en', 'buyer', 'Contracting authority', 'purchaser'), ('en', 'total', 'Overall sum', 'total'), ('en', 'total', 'Total value', 'total'), ('en', 'total', 'Price offered', 'price')) v(lang, key_id, surface, elem_name)")
+@query("SELECT * FROM (VALUES ('en', 'buyer', 'Authority', 'purchaser'), ('en', 'buyer', 'Contracting authority', 'purchaser'), ('en', 'total', 'Overall sum', 'total'), ('en', 'total', 'Total value', 'total'), ('en', 'total', 'Price offered', 'total')) v(lang, key_id, surface, elem_name)")
 def edited_dictionary(spark, sf):
     """Every edit of an expert: add and remove surfaces, merge a key into another, rename an element."""
     d = src.dictionary(spark, ("buyer", "total", "price", "region")).filter("lang = 'en'").withColumn("version", F.lit("1"))
@@ -189,14 +189,14 @@ def expert_cycle(spark, sf):
 # coverage in two phases, review orders
 
 
-_PHASES = FIELDS + """, i AS (SELECT source, nation, key_id, count(v) AS n FROM f WHERE v IS NOT NULL AND (nation BETWEEN 0 AND 5 OR nation BETWEEN 13 AND 16) GROUP BY ALL),
-a AS (SELECT source, 'native' AS phase, CAST(count(*) AS BIGINT) AS paths, CAST(sum(n) AS BIGINT) AS mass FROM i WHERE nation BETWEEN 0 AND 5 GROUP BY ALL
-UNION ALL SELECT source, 'converted', count(*), CAST(sum(n) AS BIGINT) FROM i WHERE nation BETWEEN 13 AND 16 GROUP BY ALL) SELECT * FROM a"""
+_PHASES = FIELDS + """, d AS (SELECT source, nation, o_orderkey, key_id, count(v) AS n FROM f WHERE v IS NOT NULL AND (nation BETWEEN 0 AND 5 OR nation BETWEEN 13 AND 16) GROUP BY ALL)
+SELECT source, CASE WHEN nation < 6 THEN 'native' ELSE 'converted' END AS phase, count(DISTINCT CASE WHEN nation < 6 THEN key_id ELSE concat(key_id, n > 1) END) AS paths, CAST(sum(n) AS BIGINT) AS mass FROM d GROUP BY source, nation"""
 
 
 @query(_PHASES)
 def audit_phases(spark, sf):
-    """Sources audited one by one: native XML by its own paths first, then HTML by the paths of its converted XML."""
+    """Sources audited one by one: native XML by its own paths first, then HTML by the paths of its converted XML (a key that repeats in a
+    document has a second path, in its list)."""
     native = audit.path_inventory(xml_nodes(spark, sf), attributes=False).filter("path like '/notice/head/%' or path like '/notice/lots/lot/%'")
     d = src.dictionary(spark)
     pairs = pairing.html_pairs(src.notices(spark, sf, layouts=("table",)), d)

@@ -393,7 +393,8 @@ def synsets(spark, sf):
 
 _LEADER = """WITH RECURSIVE p AS (SELECT p_name AS t, count(*) AS n FROM part GROUP BY 1), k AS (SELECT t, n, row_number() OVER (ORDER BY n DESC, t) AS r FROM p),
 e AS (SELECT a.r AS a, b.r AS b FROM k a JOIN k b ON b.r < a.r WHERE levenshtein(a.t, b.t) <= greatest(length(a.t), length(b.t)) * 0.4 + 1e-9 AND least(length(a.t), length(b.t)) >= greatest(length(a.t), length(b.t)) * 0.6),
-g(r, leads) AS (SELECT CAST(0 AS BIGINT), CAST([] AS BIGINT[]) UNION ALL SELECT g.r + 1, CASE WHEN len(list_filter(leads, x -> list_contains((SELECT coalesce(list(b), []) FROM e WHERE a = g.r + 1), x))) = 0 THEN list_append(leads, g.r + 1) ELSE leads END FROM g WHERE g.r < (SELECT max(r) FROM k)),
+m AS (SELECT a, list(b) AS bs FROM e GROUP BY a),
+g(r, leads) AS (SELECT CAST(0 AS BIGINT), CAST([] AS BIGINT[]) UNION ALL SELECT g.r + 1, CASE WHEN len(list_intersect(leads, coalesce(m.bs, CAST([] AS BIGINT[])))) = 0 THEN list_append(leads, g.r + 1) ELSE leads END FROM g LEFT JOIN m ON m.a = g.r + 1 WHERE g.r < (SELECT max(r) FROM k)),
 l AS (SELECT unnest(leads) AS r FROM g WHERE g.r = (SELECT max(r) FROM k)), o AS (SELECT k.t, coalesce(min(l.r), any_value(k.r)) AS lead FROM k LEFT JOIN e ON e.a = k.r LEFT JOIN l ON l.r = e.b AND NOT EXISTS (SELECT 1 FROM l x WHERE x.r = k.r) GROUP BY k.t)
 SELECT o.t AS surface, first_value(o.t) OVER (PARTITION BY lead ORDER BY k.n DESC, o.t) AS canonical FROM o JOIN k ON k.t = o.t"""
 

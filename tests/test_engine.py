@@ -298,5 +298,7 @@ def test_cleanup_and_chain(spark, tmp_path):
     stages.register_stage("keep_small", lambda df, limit: df.filter(f"id < {limit}"))
     out = stages.run_chain(spark.range(10), {"pre": [["keep_small", {"limit": 4}]], "post": []}, "pre")
     assert out.count() == 4 and stages.run_chain(spark.range(10), {}, "pre").count() == 10
+    items = spark.createDataFrame([("1", bytearray("café".encode("latin-1")), "text/html; charset=iso-8859-1")], "item_id string, body binary, content_type string")
+    assert stages.run_chain(items, {"load": ["utf8"]}, "load").first().text == "café"
     with pytest.raises(ValueError):
         stages.register_stage("keep_small", lambda df: df)
