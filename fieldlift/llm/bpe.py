@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from .common import map_batches
 
 #: Chunks kept in a task's table before it is cleared.
-TABLE = 600_000
+TABLE = 200_000
 _PLAIN = re.compile(r"[\x1c-\x1f]")
 #: Unicode White_Space.
 _BLANK = re.compile("[" + "".join(map(chr, (*range(9, 14), 32, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000))) + "]+")

@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 from pyspark.sql.window import Window
 
-from .common import cut, free_name, slices, utf8
+from .common import cut, free_name, slices, trimmed, utf8
 
 #: Words of a shingle, similarity in hundredths.
 WORDS, PERCENT = 5, 75
@@ -127,7 +127,7 @@ def profile(docs: DataFrame) -> DataFrame:
             packed = [zlib.compress(b"".join((x & 255).astype(np.uint8).tobytes() for x in (q, q >> 8)), 1) for q in (np.minimum(p, 65535) for _, p in pieces)]
             yield pa.RecordBatch.from_arrays([pa.array(np.ones(n, np.int32)), pa.array([k for k, _ in pieces], pa.int64()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.array(packed, pa.binary())], NAMES)
 
-    return docs.select("doc_id", "text").mapInArrow(run, "kind int, id long, n long, key long, counts binary")
+    return docs.select("doc_id", "text").mapInArrow(trimmed(run), "kind int, id long, n long, key long, counts binary")
 
 
 class Frequencies:
@@ -158,7 +158,7 @@ def frequencies(profiled: DataFrame) -> Frequencies:
         ids = sorted(total)
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([np.rint(8 * np.log2(total[k] + 1)).astype(np.uint8).tobytes() for k in ids], pa.binary()), pa.array([int(total[k].sum()) for k in ids], pa.int64())], ["id", "codes", "n"])
 
-    rows = profiled.filter("kind = 1").select("id", "counts").repartition("id").mapInArrow(add, "id long, codes binary, n long").collect()
+    rows = profiled.filter("kind = 1").select("id", "counts").repartition("id").mapInArrow(trimmed(add), "id long, codes binary, n long").collect()
     codes = np.zeros(SKETCH_ROWS * CELLS, np.uint8)
     for r in rows:
         codes[r["id"] * PIECE : (r["id"] + 1) * PIECE] = np.frombuffer(r["codes"], np.uint8)
@@ -215,7 +215,7 @@ def postings(docs: DataFrame, known: Frequencies) -> DataFrame:
                 salt = np.where(np.concatenate(length) > LONG, c % SALTS, -1).astype(np.int32)
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(token).view(np.int64)), pa.array(salt), pa.array(c), pa.array(np.concatenate(packed))], ["token", "salt", "cls", "packed"])
 
-    return docs.select("text").mapInArrow(run, "token long, salt int, cls long, packed long")
+    return docs.select("text").mapInArrow(trimmed(run), "token long, salt int, cls long, packed long")
 
 
 def wanted_filter(ids: DataFrame) -> np.ndarray:
@@ -252,7 +252,7 @@ def sets_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(sets, pa.list_(pa.int64()))], ["cls", "tokens"])
 
     rows = docs.select(F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(FILTER_BITS)).alias("h"), "text")
-    return rows.mapInArrow(run, "cls long, tokens array<bigint>").groupBy("cls").agg(F.first("tokens").alias("tokens"))
+    return rows.mapInArrow(trimmed(run), "cls long, tokens array<bigint>").groupBy("cls").agg(F.first("tokens").alias("tokens"))
 
 
 def linked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -417,7 +417,7 @@ def with_class(docs: DataFrame, name: str) -> DataFrame:
             for part in slices(batch, "text", 4 << 20):
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array([set_key(shingle(r)) for r in utf8(part.column(at))], pa.int64())], [*part.schema.names, name])
 
-    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField(name, LongType())]))
+    return docs.mapInArrow(trimmed(run), StructType([*docs.schema.fields, StructField(name, LongType())]))
 
 
 def first_of_components(docs: DataFrame) -> DataFrame:

@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from .common import free_name, slices, utf8
+from .common import free_name, slices, trimmed, utf8
 
 #: Parameters: labelled rows sampled per label (the fit's bound), hashed features, latent rank, neighbours, sharpness of the similarity weight.
 SAMPLE, DIMS, RANK, NEAR, POWER = 2000, 4096, 48, 15, 8
@@ -132,8 +132,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, dims: int = DI
 
     # the picked ids are bounded by 2 * sample, hence the broadcast
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(picked), "doc_id").filter(F.length("text") > 0).select("doc_id", F.col("quality").cast("int").alias("quality"), "text")
-    sampled = rows.mapInArrow(run, "doc_id long, quality int, x binary").groupBy("doc_id").agg(F.min("quality").alias("quality"), F.min("x").alias("x"))
-    got = sampled.repartition(1).sortWithinPartitions("doc_id").mapInArrow(solve, "model binary").first()
+    sampled = rows.mapInArrow(trimmed(run), "doc_id long, quality int, x binary").groupBy("doc_id").agg(F.min("quality").alias("quality"), F.min("x").alias("x"))
+    got = sampled.repartition(1).sortWithinPartitions("doc_id").mapInArrow(trimmed(solve), "model binary").first()
     return pickle.loads(got["model"]) if got else learn(np.zeros((0, dims), np.float32), np.empty(0), rank)
 
 
@@ -150,7 +150,7 @@ def score_documents(docs: DataFrame, model: Model, name: str = "quality_score")
             for part in slices(batch, "text", 4 << 20):
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(m.scores(utf8(part.column(at))), pa.float64())], names)
 
-    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
+    return docs.mapInArrow(trimmed(run), StructType([*docs.schema.fields, StructField(name, DoubleType())]))
 
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:

@@ -37,7 +37,7 @@ ISSUED = r"^(?:AKIA|ASIA)[0-9A-Z]{16}$|^gh[pousr]_[A-Za-z0-9]{20,}|^sk[-_][A-Za-
 STANDS_FOR = r"(?i)change.?me|example|your|placeholder|dummy|sample|redacted|xxxx|\*\*\*|\$\{|\{\{|todo|none|null|1234567"
 BESIDE = r"(?i)\b(?:commit|sha1?|sha256|md5|checksum|digest|hash|etag|uuid|guid|revision|version|build|isbn|order|invoice|ticket|phone|http|https|www|file|path|image|base64|doi|color)\W{0,4}$"
 TELLING = r"(?i)(?:password|passwd|pwd|passphrase|secret|token|key|credential|auth)\w*\W{0,5}$"
-COMMON = "about above account admin after again another before below change class client company config content could data default document every example field file first form found from function general group have home image index info input into item level line link list local login main make many model module name need next node note number object order other page param part path people place point public read release report request result right sample search server service session simple some state string system table test text that their them then there these they this time title tree type under update user value version view water what when where which with word work world would write year your".split()
+COMMON = tuple("about above account admin after again another before below change class client company config content could data default document every example field file first form found from function general group have home image index info input into item level line link list local login main make many model module name need next node note number object order other page param part path people place point public read release report request result right sample search server service session simple some state string system table test text that their them then there these they this time title tree type under update user value version view water what when where which with word work world would write year your".split())
 FEATURES = ("length", "digits", "uppers", "transitions", "coverage", "variety", "hex", "slashes", "issued", "stands_for", "beside", "telling", "breaks", "vowels")
 #: Parameters of the forest.
 TREES, DEPTH, SEED = 24, 5, 17
@@ -53,7 +53,7 @@ def value_of(candidate: Column) -> Column:
     return F.when(assigned != "", assigned).otherwise(candidate)
 
 
-def feature_array(candidate: Column, before: Column, after: Column) -> Column:
+def feature_array(candidate: Column, before: Column, after: Column, words: tuple[str, ...] = COMMON) -> Column:
     value = value_of(candidate)
     beside = F.concat(before, F.substring(candidate, F.lit(1), F.length(candidate) - F.length(value)))
     n = F.greatest(F.length(value), F.lit(1))
@@ -64,7 +64,7 @@ def feature_array(candidate: Column, before: Column, after: Column) -> Column:
         share(value, "[0-9]"),
         share(value, "[A-Z]"),
         turns / n,
-        share(F.lower(value), "|".join(COMMON)),
+        share(F.lower(value), "|".join(re.escape(w) for w in sorted(words, key=len, reverse=True))),
         F.size(F.array_distinct(F.split(value, ""))) / n,
         flag(value.rlike("^[0-9a-f]+$") | value.rlike("^[0-9A-F]+$")),
         share(value, r"[/\\.]"),
@@ -119,9 +119,9 @@ def findings_frame(spark: SparkSession, findings: list[dict]) -> DataFrame:
     return spark.range(1).select(F.inline(F.from_json(F.lit(json.dumps(findings)), schema)))
 
 
-def train(findings: DataFrame, trees: int = TREES, depth: int = DEPTH) -> list[tuple]:
+def train(findings: DataFrame, trees: int = TREES, depth: int = DEPTH, words: tuple[str, ...] = COMMON) -> list[tuple]:
     """Fits the forest and returns its trees as nested (feature, limit, left, right) or a leaf's class."""
-    rows = findings.select(F.col("label").cast("double").alias("label"), array_to_vector(feature_array(F.col("candidate"), F.col("before"), F.col("after"))).alias("features")).coalesce(1)
+    rows = findings.select(F.col("label").cast("double").alias("label"), array_to_vector(feature_array(F.col("candidate"), F.col("before"), F.col("after"), words)).alias("features")).coalesce(1)
     model = RandomForestClassifier(numTrees=trees, maxDepth=depth, seed=SEED, featureSubsetStrategy="sqrt", minInstancesPerNode=2).fit(rows)
     found, lines = [], iter(model.toDebugString.splitlines())
 
@@ -162,7 +162,7 @@ def heads(rows: Column) -> Column:
     return bound(F.array_sort(rows), lambda s: F.filter(s, lambda r, i: (i == 0) | (F.get(s, i - 1)["value"] != r["value"])))
 
 
-def judge(text: Column, forest: list[tuple]) -> Column:
+def judge(text: Column, forest: list[tuple], words: tuple[str, ...] = COMMON) -> Column:
     """array<struct<value, kind, score>> of a text's distinct values, each with the best of its places, in order of first appearance."""
     places = F.struct(F.regexp_extract_all(text, F.lit(CANDIDATE), F.lit(0)).alias("found"), F.split(text, CANDIDATE, -1).alias("between"))
 
@@ -172,7 +172,7 @@ def judge(text: Column, forest: list[tuple]) -> Column:
         before = F.concat(part("found", -3), F.right(part("between", -2), F.lit(24)), part("found", -2), F.right(part("between", -1), F.lit(24)), part("found", -1), F.right(part("between", 0), F.lit(24)))
         after = F.concat(F.left(part("between", 1), F.lit(16)), part("found", 1), F.left(part("between", 2), F.lit(16)), part("found", 2))
         kind = F.when(c.rlike(ISSUED), "issued").when(c.rlike(f"^(?:{ASSIGNED})"), "assigned").otherwise("run")
-        return F.struct(value_of(c).alias("value"), kind.alias("kind"), feature_array(c, F.right(before, F.lit(24)), F.left(after, F.lit(16))).alias("x"), i.alias("at"))
+        return F.struct(value_of(c).alias("value"), kind.alias("kind"), feature_array(c, F.right(before, F.lit(24)), F.left(after, F.lit(16)), words).alias("x"), i.alias("at"))
 
     found = bound(places, lambda s: F.transform(s["found"], lambda c, i: finding(s, c, i)))
     scored = F.transform(found, lambda f: F.struct(f["value"].alias("value"), f["kind"].alias("kind"), vote(forest, f["x"]).alias("score"), f["at"].alias("at")))
@@ -186,20 +186,21 @@ def judge(text: Column, forest: list[tuple]) -> Column:
     return F.when(text.rlike(CANDIDATE), bound(scored, best)).otherwise(F.array().cast("array<struct<value:string,kind:string,score:double>>"))
 
 
-def scan(docs: DataFrame, findings: DataFrame | None = None, limit: float = 0.5) -> DataFrame:
+def scan(docs: DataFrame, findings: DataFrame | None = None, limit: float = 0.5, words: tuple[str, ...] = COMMON) -> DataFrame:
     """docs with _findings (all judged candidates), _secrets (those kept) and _clean (text with secrets replaced).
 
+    findings (before, candidate, after, label) train the forest, words are the dictionary of its coverage feature.
     Where docs has a column of such a name, underscores follow the new one's.
     """
     found, secret, clean = (free_name(docs, c) for c in ("_findings", "_secrets", "_clean"))
-    return judged_texts(docs.select("*", F.col("text").alias(clean)), clean, found, secret, findings, limit).select(*docs.columns, found, secret, clean)
+    return judged_texts(docs.select("*", F.col("text").alias(clean)), clean, found, secret, findings, limit, words).select(*docs.columns, found, secret, clean)
 
 
-def judged_texts(rows: DataFrame, text: str, found: str, secret: str, findings: DataFrame | None = None, limit: float = 0.5) -> DataFrame:
+def judged_texts(rows: DataFrame, text: str, found: str, secret: str, findings: DataFrame | None = None, limit: float = 0.5, words: tuple[str, ...] = COMMON) -> DataFrame:
     """rows with judged candidates and secrets of a text column, which loses its secrets."""
     spark = rows.sparkSession
-    forest = train(findings if findings is not None else findings_frame(spark, labelled_findings()))
-    judged = rows.withColumn(found, judge(F.coalesce(text, F.lit("")), forest))
+    forest = train(findings if findings is not None else findings_frame(spark, labelled_findings()), words=words)
+    judged = rows.withColumn(found, judge(F.coalesce(text, F.lit("")), forest, words))
     judged = judged.withColumn(secret, F.filter(found, lambda f: f["score"] > limit))
     # longer values first, so a value inside another doesn't break it up
     values = F.array_sort(F.array_distinct(F.transform(secret, lambda f: F.struct((-F.length(f["value"])).alias("n"), f["value"].alias("v")))))

@@ -243,13 +243,13 @@ def test_forest_ascends_above_its_shards(spark):
 
 def test_forest_stops_early_with_a_small_breadth(spark):
     rng = np.random.default_rng(8)
-    centres = rng.standard_normal((200, 32))
-    x = (centres[np.arange(6000) % 200] + 0.15 * rng.standard_normal((6000, 32))).astype(float)
-    got = neighbours.search(vector_frame(spark, x), every=60, breadth=1200, shard=700).collect()
+    centres = rng.standard_normal((400, 32))
+    x = centres[np.arange(12_000) % 400] + 0.15 * rng.standard_normal((12_000, 32))
+    got = neighbours.search(vector_frame(spark, x), every=120, breadth=504, shard=1500).collect()
     share = np.mean([r.n_compared for r in got]) / len(x)
-    assert share < 0.1 and recall(got, x, 60) >= 0.9, (share, recall(got, x, 60))
-    wide = neighbours.search(vector_frame(spark, x), every=60, breadth=24 * 6000, shard=700).collect()
-    assert {r.n_compared for r in wide} == {6000} and recall(wide, x, 60) == 1.0
+    assert share < 0.1 and recall(got, x, 120) >= 0.9, (share, recall(got, x, 120))
+    wide = neighbours.search(vector_frame(spark, x), every=600, breadth=24 * 12_000, shard=1500).collect()
+    assert {r.n_compared for r in wide} == {12_000} and recall(wide, x, 600) == 1.0
 
 
 def test_forest_equal_vectors_and_shared_ids(spark):
