@@ -162,18 +162,12 @@ def test_path_dialect():
     assert mapping.compile_path("/a/b[2]").index == 2 and mapping.compile_path("/a/b/text()").text == "/a/b"
 
 
-def annex() -> dict[str, set[str]]:
-    """A 33-node graph of the published shape: 3, 1, 2, 4, 12, 10 and 1 entities on seven levels."""
-    sizes, levels, out = (3, 1, 2, 4, 12, 10, 1), [], {}
-    for k, n in enumerate(sizes):
-        levels.append([f"e{k}_{i}" for i in range(n)])
-        for i, name in enumerate(levels[k]):
-            out[name] = {levels[k - 1][i % sizes[k - 1]]} if k else set()
-    return out
-
-
 def test_flush_order():
-    assert [len(x) for x in loader.flush_order(annex())] == [3, 1, 2, 4, 12, 10, 1]
+    from fieldlift.studies import FULL_SCHEMA
+
+    levels = loader.flush_order({k: set(v.split()) for k, v in FULL_SCHEMA.items()})
+    assert (len(FULL_SCHEMA), sum(len(v.split()) for v in FULL_SCHEMA.values())) == (33, 59)
+    assert [len(x) for x in levels] == [3, 1, 2, 4, 12, 10, 1] and levels[0] == ["address", "corrigenda", "price"] and levels[6] == ["bid_documents"]
     with pytest.raises(ValueError, match="cycle: a -> b -> a"):
         loader.flush_order({"a": {"b"}, "b": {"a"}})
 
@@ -283,14 +277,6 @@ def test_random_review_needs_more_rounds(spark):
     assert rounds["frequency"] == 2 and rounds["tail"] == 6 and rounds["frequency"] <= rounds["weighted"] <= 6 and rounds["frequency"] <= rounds["random"] <= 6
 
 
-def test_full_schema_has_seven_levels():
-    from fieldlift.studies import FULL_SCHEMA
-
-    levels = loader.flush_order({k: set(v.split()) for k, v in FULL_SCHEMA.items()})
-    assert (len(FULL_SCHEMA), sum(len(v.split()) for v in FULL_SCHEMA.values()), len(levels)) == (33, 59, 7)
-    assert levels[0] == ["address", "corrigenda", "price"] and levels[6] == ["bid_documents"]
-
-
 def test_cleanup_and_chain(spark, tmp_path):
     path = str(tmp_path / "run")
     spark.range(3).write.parquet(path)
