@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 from pyspark.sql.window import Window
 
-from .common import cut, free_name, slices, trimmed, utf8
+from .common import cut, free_name, release, slices, trimmed, utf8
 
 #: Words of a shingle, similarity in hundredths.
 WORDS, PERCENT = 5, 75
@@ -281,6 +281,7 @@ def components(nodes: DataFrame, edges: DataFrame) -> DataFrame:
         if now == was:
             break
         was = now
+        release(e.sparkSession)
     return nodes.join(e.select(F.col("u").alias("cls"), F.col("v").alias("comp")), "cls", "left").select("cls", F.coalesce("comp", "cls").alias("comp"))
 
 
@@ -342,25 +343,24 @@ def cross_pairs(live: DataFrame, done: DataFrame | None) -> DataFrame:
 
     A pair is found by its first common token: a link of sizes n <= m needs o common tokens, of which o - 1 are behind the first
     in both sets, so its places are at most n - o + 1 and m - o + 1. Rare tokens come first: sets with too many tokens of their
-    own have no common ones there and make no rows. Found pairs then count their shared prefix tokens.
+    own have no common ones there and make no rows. Each row carries its set's prefix, so the join itself makes a pair only at
+    the first token that both have, and only if their prefixes share as many tokens as a link needs.
     """
     whole = 100 + PERCENT
     lively = live.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo != hi").select("token")
-    first = live.filter(f"p <= n - cast(ceil({PERCENT} * cast(n as long) / 100.0) as long) + 1").join(lively, "token").select("token", "comp", "cls", "n", "p")
+    prefixes = live.groupBy("cls").agg(F.min("comp").alias("comp"), F.min("n").alias("n"), F.min("l").alias("l"), F.map_from_entries(F.collect_list(F.struct("token", "w"))).alias("at"), F.collect_list(F.struct("token", "p")).alias("pre"))
+    rows = prefixes.withColumn("e", F.explode("pre")).select("cls", "comp", "n", "l", "at", "pre", F.col("e.token").alias("token"), F.col("e.p").alias("p"))
+    first = rows.filter(f"p <= n - cast(ceil({PERCENT} * cast(n as long) / 100.0) as long) + 1").join(lively, "token")
+    first = first.withColumn("prev", F.transform(F.filter("pre", lambda x: x["p"] < F.col("p")), lambda x: x["token"])).drop("pre")
     small = first.filter(f"p <= n - ({2 * PERCENT} * cast(n as long) + {whole - 1}) div {whole} + 1")
-    other = first.select("token", *[F.col(c).alias(f"{c}2") for c in ("comp", "cls", "n", "p")])
+    other = first.select(*[F.col(c).alias(f"{c}2") for c in first.columns])
     o = f"({PERCENT} * (cast(n as long) + n2) + {whole - 1}) div {whole}"
     places = F.expr(f"p <= n - {o} + 1 and p2 <= n2 - {o} + 1")
     ordered = F.expr("n < n2 or (n = n2 and cls < cls2)")
-    rows = small.join(other, (small["token"] == other["token"]) & ordered & (F.col("comp") != F.col("comp2")) & near("n", "n2") & places)
-    found = rows.select(F.least("cls", "cls2").alias("a"), F.greatest("cls", "cls2").alias("b")).distinct()
-    if done is not None:
-        found = found.join(done, ["a", "b"], "left_anti")
-    prefixes = live.groupBy("cls").agg(F.min("n").alias("n"), F.min("l").alias("l"), F.map_from_entries(F.collect_list(F.struct("token", "w"))).alias("at"))
-    mate = prefixes.select(F.col("cls").alias("b"), F.col("n").alias("n2"), F.col("l").alias("l2"), F.col("at").alias("at2"))
-    both = found.join(prefixes.withColumnRenamed("cls", "a"), "a").join(mate, "b")
     shared = F.aggregate(F.array_intersect(F.map_keys("at"), F.map_keys("at2")), F.lit(0), lambda c, t: c + F.least(F.element_at("at", t), F.element_at("at2", t)))
-    return both.filter(shared >= needed("n", "l", "n2", "l2")).select("a", "b")
+    met = (F.col("token") == F.col("token2")) & ordered & (F.col("comp") != F.col("comp2")) & near("n", "n2") & places & ~F.arrays_overlap("prev", "prev2")
+    found = small.join(other, met & (shared >= needed("n", "l", "n2", "l2"))).select(F.least("cls", "cls2").alias("a"), F.greatest("cls", "cls2").alias("b"))
+    return found if done is None else found.join(done, ["a", "b"], "left_anti")
 
 
 def place_classes(docs: DataFrame, rounds: int = ROUNDS) -> tuple[DataFrame, DataFrame]:
@@ -368,6 +368,7 @@ def place_classes(docs: DataFrame, rounds: int = ROUNDS) -> tuple[DataFrame, Dat
     profiled = cut(profile(docs))
     rows = profiled.filter("kind = 0").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("key").alias("cls"))
     lists = merged_lists(postings(docs, frequencies(profiled)))
+    release(docs.sparkSession)
     nodes = cut(lists.select("cls").distinct())
     comp = nodes.withColumn("comp", F.col("cls"))
     first = rows.filter("cls != 0").groupBy("cls").agg(F.min("doc_id").alias("id"))
@@ -395,6 +396,7 @@ def place_classes(docs: DataFrame, rounds: int = ROUNDS) -> tuple[DataFrame, Dat
                 comp = cut(components(nodes, links))
         if not stars:
             break
+        release(docs.sparkSession)
         k, stars = k + 1, found and k + 1 < rounds
     of_class = rows.filter("cls != 0").groupBy("cls").agg(F.min("doc_id").alias("least"))
     return rows, of_class.join(comp, "cls", "left").withColumn("comp", F.coalesce("comp", "cls"))
