@@ -255,10 +255,14 @@ def sets_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
     return rows.mapInArrow(trimmed(run), "cls long, tokens array<bigint>").groupBy("cls").agg(F.first("tokens").alias("tokens"))
 
 
-def linked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """pairs (a, b) with the exact answer in column `link`. Only sets that some pair names are shuffled."""
-    named = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct().limit(FEW + 1)
-    sets = sets.join(F.broadcast(named), "cls", "left_semi") if named.count() <= FEW else sets
+def endpoints(pairs: DataFrame) -> DataFrame:
+    """(cls) of all sets that pairs name; each side is made distinct before they meet."""
+    return pairs.select(F.col("a").alias("cls")).distinct().union(pairs.select(F.col("b").alias("cls")).distinct()).distinct()
+
+
+def linked(pairs: DataFrame, sets: DataFrame, named: DataFrame) -> DataFrame:
+    """pairs (a, b) with the exact answer in column `link`. Only the sets that some pair names are shuffled."""
+    sets = sets.join(F.broadcast(named.limit(FEW)), "cls", "left_semi") if named.limit(FEW + 1).count() <= FEW else sets
     full = pairs.join(sets.select(F.col("cls").alias("a"), F.col("tokens").alias("x")), "a").join(sets.select(F.col("cls").alias("b"), F.col("tokens").alias("y")), "b")
     counted = full.select("a", "b", F.size(F.array_intersect("x", "y")).cast("long").alias("both"), (F.size("x") + F.size("y")).cast("long").alias("sizes"))
     return counted.select("a", "b", (100 * F.col("both") >= PERCENT * (F.col("sizes") - F.col("both"))).alias("link"))
@@ -380,14 +384,14 @@ def place_classes(docs: DataFrame, rounds: int = ROUNDS) -> tuple[DataFrame, Dat
         else:
             live = lists.withColumn("comp", F.col("cls")).withColumn("members", F.lit(1).cast("long"))
         pairs = cut(star_pairs(live, done, k) if stars else cross_pairs(live, done))
-        asked = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
-        asked = cut(asked if had is None else asked.join(had, "cls", "left_anti"))
+        named = cut(endpoints(pairs))
+        asked = named if had is None else cut(named.join(had, "cls", "left_anti"))
         if asked.limit(1).count():
             more = cut(sets_of(docs, first.join(asked, "cls", "left_semi").select("id")).join(asked, "cls", "left_semi"))
             sets, had = (more, asked) if sets is None else (sets.unionByName(more), had.unionByName(asked))
         found = False
         if sets is not None:
-            tested = cut(linked(pairs, sets))
+            tested = cut(linked(pairs, sets, named))
             done = tested.select("a", "b") if done is None else done.union(tested.select("a", "b"))
             fresh = tested.filter("link").select("a", "b")
             links = fresh if links is None else links.union(fresh)
