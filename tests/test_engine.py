@@ -69,6 +69,26 @@ def test_tag_soup_ends():
     assert xml_nodes("<a><b></a>") is None and xml_nodes("<a x='1'><b>t</b></a>")[0][3] == ["a", "@x"]
 
 
+CUT_OFF = "<html><head><title>A &amp; b&amp</title></head><body><article><h1>A &amp; b&amp</h1><p>c</p></article></body></html>"
+
+
+def cut_off_pages(spark, tmp_path):
+    """Two pages; a title ends inside a reference, as those of longer tables do."""
+    rows = [(1, "https://a.example/1", CUT_OFF), (2, "https://a.example/2", CUT_OFF.replace("b&amp", "&lt;b&gt; &#38; c &ampx"))]
+    spark.createDataFrame(rows, "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    return str(tmp_path)
+
+
+def test_open_references():
+    assert html_nodes("<p>a&amp</p>")[0][7] == "a&" and html_nodes("<p>a&amp</p>", closed=True)[0][7] == "a&amp"
+    assert html_nodes("<p>&lt;&#65;&#x42;&nosuch; &amp;amp; &</p>", closed=True)[0][7] == "<AB&nosuch; &amp; &"
+
+
+def test_page_titles_keep_open_references(spark, tmp_path):
+    got = w.QUERIES["page_titles"](spark, cut_off_pages(spark, tmp_path)).collect()
+    assert {(r.doc_id, r.value) for r in got} == {("1", "A & b&amp"), ("2", "A & <b> & c &ampx")}
+
+
 def test_similarities_match_plain_python(spark):
     paths = [(["a", "b", "c"], ["a", "b", "d", "c"]), ([], []), (["a"], []), (["x", "y"], ["x", "y"]), (["a", "b"], ["c", "d"])]
     df = spark.createDataFrame([(i, p, q) for i, (p, q) in enumerate(paths)], "i int, p array<string>, q array<string>")
