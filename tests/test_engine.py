@@ -89,6 +89,11 @@ def test_page_titles_keep_open_references(spark, tmp_path):
     assert {(r.doc_id, r.value) for r in got} == {("1", "A & b&amp"), ("2", "A & <b> & c &ampx")}
 
 
+def test_keyless_title_keeps_open_references(spark, tmp_path):
+    got = w.QUERIES["keyless_title"](spark, cut_off_pages(spark, tmp_path)).collect()
+    assert {(r.doc_id, r.value) for r in got} == {("1", "A & b&amp"), ("2", "A & <b> & c &ampx")}
+
+
 def test_similarities_match_plain_python(spark):
     paths = [(["a", "b", "c"], ["a", "b", "d", "c"]), ([], []), (["a"], []), (["x", "y"], ["x", "y"]), (["a", "b"], ["c", "d"])]
     df = spark.createDataFrame([(i, p, q) for i, (p, q) in enumerate(paths)], "i int, p array<string>, q array<string>")
