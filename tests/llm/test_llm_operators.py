@@ -678,3 +678,13 @@ def test_native_plans_have_no_python(docs):
     for df in (secrets.scan_digest(docs), mixing.mix_plan(docs)):
         plan = df._jdf.queryExecution().executedPlan().toString()
         assert not any(x in plan for x in ("ArrowEval", "BatchEval", "MapInArrow", "MapInPandas", "FlatMapGroups"))
+
+
+def test_last_round_carries_only_hopeful_tokens(spark):
+    """Sets that share many tokens, but too few for any link, send no prefix into the last round's join; a real pair still does."""
+    rows = [(a, a, 400, 1, b * 100 + a if a < b else a * 100 + b, p, 1) for a in range(20) for p, b in enumerate((b for b in range(20) if b != a), 1)]
+    rows += [(c, c, 400, 1, 10_000 + p, p, 1) for c in (50, 51) for p in range(1, 102)]
+    live = spark.createDataFrame(rows, "comp long, cls long, n int, l int, token long, p int, w int")
+    assert {r.cls for r in near_copies.hopeful(live).collect()} == {50, 51}
+    assert near_copies.hopeful(live).filter("not far").count() == 2 * 58  # of 2 * 101
+    assert [tuple(r) for r in near_copies.cross_pairs(live, None).collect()] == [(50, 51)]
