@@ -313,3 +313,25 @@ def test_cleanup_and_chain(spark, tmp_path):
     assert stages.run_chain(items, {"load": ["utf8"]}, "load").first().text == "café"
     with pytest.raises(ValueError):
         stages.register_stage("keep_small", lambda df: df)
+
+
+# GIVEN_TABLES
+
+
+def reads_and_matches(spark, data, name, *tables):
+    """The query's plan reads given tables, and its rows are those of its SQL."""
+    import duckdb
+
+    df = w.queries()[name](spark, data)
+    assert {f.rsplit("/", 1)[1] for f in df.inputFiles()} >= {f"{t}.parquet" for t in tables}
+    con = duckdb.connect()
+    for t in ("region", "nation", "customer", "supplier", "part", "orders", "lineitem"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{data}/{t}.parquet'")
+    cur = con.execute(w.oracle_sql()[name])
+    assert df.columns == [d[0] for d in cur.description]
+    mine, theirs = sorted(map(str, map(tuple, df.collect()))), sorted(map(str, cur.fetchall()))
+    assert mine == theirs and mine
+
+
+def test_flush_levels_reads_a_table(spark, data):
+    reads_and_matches(spark, data, "flush_levels", *("orders", "lineitem"))
