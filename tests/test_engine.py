@@ -335,3 +335,7 @@ def reads_and_matches(spark, data, name, *tables):
 
 def test_flush_levels_reads_a_table(spark, data):
     reads_and_matches(spark, data, "flush_levels", *("orders", "lineitem"))
+
+
+def test_flush_levels_full_reads_a_table(spark, data):
+    reads_and_matches(spark, data, "flush_levels_full", *("orders", "lineitem"))
