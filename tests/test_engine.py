@@ -339,3 +339,7 @@ def test_flush_levels_reads_a_table(spark, data):
 
 def test_flush_levels_full_reads_a_table(spark, data):
     reads_and_matches(spark, data, "flush_levels_full", *("orders", "lineitem"))
+
+
+def test_merged_mapping_reads_a_table(spark, data):
+    reads_and_matches(spark, data, "merged_mapping", *("orders", "lineitem"))
