@@ -343,3 +343,7 @@ def test_flush_levels_full_reads_a_table(spark, data):
 
 def test_merged_mapping_reads_a_table(spark, data):
     reads_and_matches(spark, data, "merged_mapping", *("orders", "lineitem"))
+
+
+def test_edited_dictionary_reads_a_table(spark, data):
+    reads_and_matches(spark, data, "edited_dictionary", *("part",))
