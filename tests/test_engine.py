@@ -7,7 +7,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from fieldlift import workloads as w
+from fieldlift import studies, workloads as w  # noqa: F401 (studies registers its queries)
 from fieldlift.functions import columns as c
 from fieldlift.functions.shred import html_nodes, node_table, xml_nodes
 from fieldlift.operators import archive, audit, measures, pairing, stages
@@ -315,9 +315,6 @@ def test_cleanup_and_chain(spark, tmp_path):
         stages.register_stage("keep_small", lambda df: df)
 
 
-# GIVEN_TABLES
-
-
 def reads_and_matches(spark, data, name, *tables):
     """The query's plan reads given tables, and its rows are those of its SQL."""
     import duckdb
