@@ -688,3 +688,31 @@ def test_last_round_carries_only_hopeful_tokens(spark):
     assert {r.cls for r in near_copies.hopeful(live).collect()} == {50, 51}
     assert near_copies.hopeful(live).filter("not far").count() == 2 * 58  # of 2 * 101
     assert [tuple(r) for r in near_copies.cross_pairs(live, None).collect()] == [(50, 51)]
+
+
+def test_star_rounds_shuffle_thin_rows_once(spark):
+    """A star round's lists go through one exchange by token, without a join and without the centres' structs in its rows."""
+    rows = [(c, c, 10, 1, t, 1, 2, 1) for t, of in ((7, (1, 2, 3)), (8, (4, 5)), (9, (6,))) for c in of]
+    live = spark.createDataFrame(rows, "comp long, cls long, n int, l int, token long, p int, w int, members long")
+    pairs = near_copies.star_pairs(live, None, 0)
+    plan = pairs._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and plan.count("Exchange hashpartitioning(token#") == 1
+    assert sorted(map(tuple, pairs.collect())) == [(1, 2), (1, 3), (2, 3), (4, 5)]
+
+
+def test_wanted_sets_are_not_shuffled(spark):
+    """Sets are picked by the filters of ids and of keys where they are made; an id alone, or a text of no wanted key, brings none."""
+    df = spark.createDataFrame([(1, "a b c d e f"), (2, "g h i j k l"), (3, "m n o p q r")], "doc_id long, text string")
+    keys = [near_copies.set_key(near_copies.Shingler()(t.text.encode())) for t in df.collect()]
+    got = near_copies.sets_of(df, df.filter("doc_id < 3").select(F.col("doc_id").alias("id")), spark.createDataFrame([(keys[1],), (keys[2],)], "cls long"))
+    assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString()
+    assert [r.cls for r in got.collect()] == [keys[1]]
+
+
+def test_near_copies_free_the_driver_between_checkpoints(docs, monkeypatch):
+    """At most four tables are cut between two releases, so the driver's heap doesn't grow from round to round."""
+    seen, cut, release = [], near_copies.cut, near_copies.release
+    monkeypatch.setattr(near_copies, "cut", lambda df: (seen.append("c"), cut(df))[1])
+    monkeypatch.setattr(near_copies, "release", lambda s: (seen.append("r"), release(s))[1])
+    near_copies.place_classes(docs)
+    assert max(map(len, "".join(seen).split("r"))) <= 4
