@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import WORD, cut, numbered
+from .common import WORD, cut, numbered, release
 
 #: Fixed values of the mix: weights repeating over the sources in code-point order, share, largest rate.
 WEIGHTS = (3.0, 1.0, 2.0)
@@ -97,6 +97,7 @@ def newton_rates(hist: DataFrame, targets: DataFrame, cap: float = CAP, toleranc
         )
         if not (state.agg(F.max("_off")).first()[0] or 0.0):
             break
+        release(state.sparkSession)
     return state.select("_skey", "_lam", "_mean", "_full")
 
 
