@@ -716,3 +716,36 @@ def test_near_copies_free_the_driver_between_checkpoints(docs, monkeypatch):
     monkeypatch.setattr(near_copies, "release", lambda s: (seen.append("r"), release(s))[1])
     near_copies.place_classes(docs)
     assert max(map(len, "".join(seen).split("r"))) <= 4
+
+
+def test_near_copies_ship_prefix_tokens_packed(docs):
+    """Few rows of many tokens, each in fewer bytes than its token and its set's key have, instead of a row for each token."""
+    profiled = near_copies.profile(docs).cache()
+    rows = near_copies.postings(docs.coalesce(1), near_copies.frequencies(profiled), 3).collect()
+    tokens = sum(int(np.frombuffer(r.rows, np.int64, 1)[0]) for r in rows)
+    size = sum(len(zlib.compress(bytes(r.rows), 1)) for r in rows)
+    assert {r.bucket for r in rows} == {0, 1, 2} and len(rows) == 3
+    assert tokens > 10_000 and size < 14 * tokens
+
+
+def test_near_copies_packed_tokens_come_back():
+    """Tokens of at least two sets, and all of long lists, with their sets; the same set of several tasks once."""
+    draw, blobs, wanted = np.random.default_rng(5), {}, {}
+    for _ in range(3):
+        keys = np.unique(draw.integers(1, 80, 50))
+        sets = [np.unique(near_copies.scramble(np.random.default_rng(k).integers(1, 400, 20).astype(np.uint64))) for k in keys]
+        token, owner, place = np.concatenate(sets), np.repeat(np.arange(len(keys)), [len(s) for s in sets]), np.concatenate([np.arange(1, len(s) + 1) for s in sets])
+        long = token % np.uint64(5) == 0
+        for t, o, p, far in zip(token, owner, place, long):
+            cls = int(keys[o])
+            wanted.setdefault((int(t.view(np.int64)), cls % near_copies.SALTS if far else -1), {})[cls] = (cls << 32) + (int(p) << 4) + 3
+        for bucket, raw in near_copies.pack_tokens(token, owner, place, long, keys, (keys << 4) + 3, 7):
+            blobs.setdefault(bucket, []).append(raw)
+    got, signs = {}, {}
+    for rows in blobs.values():
+        for r in near_copies.shared_tokens(rows).to_pylist():
+            assert r["cls"] not in got.setdefault((r["token"], r["salt"]), {})
+            got[r["token"], r["salt"]][r["cls"]] = r["packed"]
+            signs.setdefault((r["token"], r["salt"]), set()).add(r["sign"])
+    assert got == {k: v for k, v in wanted.items() if len(v) > 1 or k[1] >= 0}
+    assert all(len(s) == 1 for s in signs.values())
