@@ -7,6 +7,7 @@ import random
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -722,8 +723,7 @@ def test_near_copies_ship_prefix_tokens_packed(docs):
     """Few rows of many tokens, each in fewer bytes than its token and its set's key have, instead of a row for each token."""
     profiled = near_copies.profile(docs).cache()
     rows = near_copies.postings(docs.coalesce(1), near_copies.frequencies(profiled), 3).collect()
-    tokens = sum(int(np.frombuffer(r.rows, np.int64, 1)[0]) for r in rows)
-    size = sum(len(zlib.compress(bytes(r.rows), 1)) for r in rows)
+    tokens, size = sum(r.n for r in rows), sum(len(r.tokens) + len(r.rest) for r in rows)
     assert {r.bucket for r in rows} == {0, 1, 2} and len(rows) == 3
     assert tokens > 10_000 and size < 14 * tokens
 
@@ -739,8 +739,8 @@ def test_near_copies_packed_tokens_come_back():
         for t, o, p, far in zip(token, owner, place, long):
             cls = int(keys[o])
             wanted.setdefault((int(t.view(np.int64)), cls % near_copies.SALTS if far else -1), {})[cls] = (cls << 32) + (int(p) << 4) + 3
-        for bucket, raw in near_copies.pack_tokens(token, owner, place, long, keys, (keys << 4) + 3, 7):
-            blobs.setdefault(bucket, []).append(raw)
+        for bucket, n, m, tokens, rest in near_copies.pack_tokens(token, owner, place, long, keys, (keys << 4) + 3, 7):
+            blobs.setdefault(bucket, []).append((n, m, pa.py_buffer(tokens), pa.py_buffer(rest)))
     got, signs = {}, {}
     for rows in blobs.values():
         for r in near_copies.shared_tokens(rows).to_pylist():
