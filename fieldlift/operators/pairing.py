@@ -11,10 +11,13 @@ from pyspark.sql.window import Window
 
 from ..functions.columns import fold_key, path_edit_sim, path_prefix_sim, text_sim
 from ..functions.shred import node_table
+from ..session import ensure_checkpoint_dir
 from . import fuzzy
 
 #: Largest dictionary, in entries, that every short text is compared with; larger ones meet texts on segments.
 COMPARED_ENTRIES = 512
+#: Most distinct key texts that are broadcast.
+FEW_MATCHES = 20_000
 SPELLINGS = ("plain", "numbered", "attributed")
 SEPARATORS = (":", "=", "→", "-")
 
@@ -100,11 +103,18 @@ def unmatched_of(scanned: DataFrame) -> DataFrame:
     return scanned.filter("role = 'unmatched'").select("doc_id", "source", "ord", F.col("last_key.key_id").alias("key_ctx"), "text", reason.alias("reason"))
 
 
+def spread(matches: DataFrame, few: int = FEW_MATCHES) -> DataFrame:
+    """The matches cut off, and broadcast if they are at most so many: then the nodes stay dealt by document."""
+    ensure_checkpoint_dir(matches.sparkSession)
+    matches = matches.checkpoint()
+    return F.broadcast(matches) if matches.limit(few + 1).count() <= few else matches
+
+
 def pair_values(nodes: DataFrame, dictionary: DataFrame, spelling: str = "numbered", sim: str = "prefix", theta_path: float = 0.5, theta_key: float = 0.8, impl: str = "window", norm: str = "max") -> DataFrame:
     """Key/value pairs by the carried-key scan. impl: window (default), fold (higher-order functions) or arrow (grouped Python)."""
     matches = match_keys(nodes, dictionary, theta_key)
     if impl == "window":
-        return pairs_of(scan(nodes, matches, spelling, sim, theta_path, norm))
+        return pairs_of(scan(nodes, spread(matches), spelling, sim, theta_path, norm))
     keyed = nodes.join(matches.select("lang", "text", "key_id"), ["lang", "text"], "left").select("doc_id", "source", "ord", "text", "key_id", F.col(spelling).alias("path"))
     return (fold_scan if impl == "fold" else arrow_scan)(keyed, sim, theta_path, norm)
 
@@ -205,16 +215,19 @@ def inject_keyless(nodes: DataFrame, rules: dict[str, str]) -> DataFrame:
     return nodes.withColumn("_n", F.explode(both)).withColumns({"ord": F.col("_n.ord"), "text": F.col("_n.text")}).drop("_n")
 
 
-def emit_xml(pairs: DataFrame, dictionary: DataFrame, root: str = "document") -> DataFrame:
-    """(doc_id, xml): pairs as elements in document order; repeated keys stand in a container named after them."""
+def emit_xml(pairs: DataFrame, dictionary: DataFrame, root: str = "document", keep: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, the keep columns, xml): pairs as elements in document order; repeated keys stand in a container named after them.
+
+    Columns to keep have one value in a document. Pairs that are dealt by document stay so.
+    """
     names = dictionary.groupBy("key_id").agg(F.min("elem_name").alias("elem"))
     esc = lambda c: F.replace(F.replace(F.replace(c, F.lit("&"), F.lit("&amp;")), F.lit("<"), F.lit("&lt;")), F.lit(">"), F.lit("&gt;"))
-    named = pairs.join(names, "key_id").withColumn("e", F.concat(F.lit("<"), F.col("elem"), F.lit(">"), esc(F.col("value")), F.lit("</"), F.col("elem"), F.lit(">")))
-    per_key = named.groupBy("doc_id", "elem").agg(F.array_sort(F.collect_list(F.struct("ord", "e"))).alias("es"))
+    named = pairs.join(F.broadcast(names), "key_id").withColumn("e", F.concat(F.lit("<"), F.col("elem"), F.lit(">"), esc(F.col("value")), F.lit("</"), F.col("elem"), F.lit(">")))
+    per_key = named.groupBy("doc_id", *keep, "elem").agg(F.array_sort(F.collect_list(F.struct("ord", "e"))).alias("es"))
     body = F.array_join(F.transform("es", lambda x: x["e"]), "")
     block = F.when(F.size("es") > 1, F.concat(F.lit("<list_of_"), F.col("elem"), F.lit(">"), body, F.lit("</list_of_"), F.col("elem"), F.lit(">"))).otherwise(body)
-    docs = per_key.select("doc_id", F.struct(F.element_at("es", 1)["ord"].alias("ord"), block.alias("b")).alias("p")).groupBy("doc_id").agg(F.array_sort(F.collect_list("p")).alias("ps"))
-    return docs.select("doc_id", F.concat(F.lit(f"<{root}>"), F.array_join(F.transform("ps", lambda p: p["b"]), ""), F.lit(f"</{root}>")).alias("xml"))
+    docs = per_key.select("doc_id", *keep, F.struct(F.element_at("es", 1)["ord"].alias("ord"), block.alias("b")).alias("p")).groupBy("doc_id", *keep).agg(F.array_sort(F.collect_list("p")).alias("ps"))
+    return docs.select("doc_id", *keep, F.concat(F.lit(f"<{root}>"), F.array_join(F.transform("ps", lambda p: p["b"]), ""), F.lit(f"</{root}>")).alias("xml"))
 
 
 def html_pairs(notices: DataFrame, dictionary: DataFrame, inline: bool = False, simplify: bool = False, **options) -> DataFrame:

@@ -344,3 +344,17 @@ def test_merged_mapping_reads_a_table(spark, data):
 
 def test_edited_dictionary_reads_a_table(spark, data):
     reads_and_matches(spark, data, "edited_dictionary", *("part",))
+
+
+def test_audit_phases_read_their_documents_once(spark, data):
+    """Native records and converted ones are each shredded by one pass, and only counts of paths are shuffled."""
+    plan = studies.audit_phases(spark, data)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("MapInArrow") == 2
+
+
+def test_path_counts_equal_the_inventory(spark):
+    rows = [("d1", "s", 0, ["a", "b"], "x"), ("d1", "s", 1, ["a", "b"], "y"), ("d1", "s", 2, ["a", "@k"], "z"), ("d2", "s", 0, ["a", "b"], " "), ("d2", "t", 1, ["a"], "x"), ("d3", "t", None, None, None)]
+    nodes = spark.createDataFrame(rows, "doc_id string, source string, ord int, plain array<string>, text string")
+    for options in ({}, {"attributes": False}, {"non_empty": False}):
+        whole = audit.path_inventory(nodes, **options).select("source", "path", "n")
+        assert sorted(map(tuple, audit.path_counts(nodes, **options).collect())) == sorted(map(tuple, whole.collect()))
