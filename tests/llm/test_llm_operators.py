@@ -749,3 +749,22 @@ def test_near_copies_packed_tokens_come_back():
             signs.setdefault((r["token"], r["salt"]), set()).add(r["sign"])
     assert got == {k: v for k, v in wanted.items() if len(v) > 1 or k[1] >= 0}
     assert all(len(s) == 1 for s in signs.values())
+
+
+def exchanges(df, key):
+    """Exchanges by the column of this name in the plan as it ran; a reused one doesn't count again."""
+    df.collect()
+    plan = df._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
+    return sum("ReusedExchange" not in x and f"Exchange hashpartitioning({key}#" in x for x in plan.splitlines())
+
+
+def test_last_round_shuffles_tokens_and_prefixes_once(spark):
+    """Rows meet by token in one exchange, not in one for each side of a join; no row carries a prefix to a token where no partner can meet it."""
+    rows = [(c, c, 400, 1, 10_000 + p, p, 1) for c in (50, 51) for p in range(1, 102)]
+    rows += [(60, 60, 400, 1, 20_000 + p, p, 1) for p in range(1, 102)] + [(61, 61, 400, 1, 20_000 + p, p + 100, 1) for p in range(1, 102)]
+    live = spark.createDataFrame(rows, "comp long, cls long, n int, l int, token long, p int, w int")
+    hopeful = near_copies.hopeful(live)
+    assert exchanges(hopeful, "token") == 1 and exchanges(hopeful, "cls") == 1
+    pairs = near_copies.cross_pairs(live, None)
+    assert [tuple(r) for r in pairs.collect()] == [(50, 51)]
+    assert "LeftSemi" in pairs._jdf.queryExecution().executedPlan().toString()
